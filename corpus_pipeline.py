@@ -1,15 +1,76 @@
-"""A corpus clean-up in stages; each stage's result is written as Parquet and reread as the next one's documents."""
+"""A corpus clean-up in stages; each stage's result is written as Parquet and reread as the next one's documents.
+
+1. quality_rules: documents that the compression bands or the base rules reject go.
+2. near_duplicates: of each class of the n-gram Jaccard join, the document whose id is the class id stays.
+3. decontamination: documents that contain a test item (question and answer) go.
+4. secret_scans: secrets are masked in the text, and n_chars follows the new text; no document goes.
+5. bpe: documents are encoded and decoded; the result has their ids' count and digests.
+
+Columns that the stages don't know pass through the first four; a null text fails stage 1. SQL cannot express the
+stages' compression, signatures, retrieval or merges, so there is no ORACLE_SQL: the tests hold each stage and the
+whole against brute force.
+"""
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from xorvault.llm.common import fresh, shared_dir
+from xorvault.llm.compression_rules import rules_column
+from xorvault.llm.decontaminate import contaminated_column
+from xorvault.llm.jaccard_forest import ngram_jaccard_join
+from xorvault.llm.pair_index_bpe import encode_documents
+from xorvault.llm.secret_guess import secrets_column
 
-STAGES: list = []
 ORACLE_SQL = None
 
 
+def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    mark = fresh(docs, "_kept")
+    return docs.withColumn(mark, rules_column()(F.col("text"))["kept"]).where(F.col(mark)).drop(mark)
+
+
+def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Rows that repeat an id and a text count as copies: one of them stays."""
+    found = ngram_jaccard_join(docs)
+    gone = found.where("doc_id <> class_id").select("doc_id").distinct()
+    kept = docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    same = found.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").select("doc_id")
+    alone, repeated = kept.join(same, "doc_id", "left_anti"), kept.join(same, "doc_id", "left_semi")
+    return alone.select(*docs.columns).unionAll(repeated.select(*docs.columns).dropDuplicates(["doc_id", "text"]))
+
+
+def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    mark = fresh(docs, "_items")
+    items = spark.read.parquet(f"{sf_dir}/benchmark.parquet")
+    return docs.withColumn(mark, contaminated_column(items)(F.col("text"))["n_items"]).where(F.col(mark) == 0).drop(mark)
+
+
+def secret_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    mark = fresh(docs, "_masked")
+    masked = docs.withColumn(mark, secrets_column(redact=True)(F.col("text")))
+    text = {"text": F.when(F.col("text").isNotNull(), F.col(mark)["text"])}
+    count = {"n_chars": F.when(F.col(mark)["n_spans"] > 0, F.length(F.col(mark)["text"])).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType)} if "n_chars" in docs.columns else {}
+    return masked.withColumns(text | count).select(*docs.columns)
+
+
+def bpe_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return encode_documents(docs, keep_ids=False)
+
+
+STAGES = [("quality_rules", quality_stage), ("near_duplicates", near_duplicate_stage), ("decontamination", decontamination_stage), ("secret_scans", secret_stage), ("bpe", bpe_stage)]
+
+
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The stages in order; every result but the last is written to the shared folder and reread."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
+    base = f"{shared_dir(spark).rstrip('/')}/pipeline-{uuid.uuid4().hex}"
+    for k, (name, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
+        if k < len(STAGES) - 1:
+            docs.write.parquet(path := f"{base}/{k}-{name}")
+            docs = spark.read.parquet(path)
     return docs
