@@ -122,7 +122,7 @@ def backoff_scores(docs: DataFrame, *, spec: Backoff = Backoff(), id_col: str =
     run = "bucket bigint, chunk bigint, n bigint, hashes binary, counts binary"
     run_schema = to_arrow_schema(T._parse_datatype_string(run))
 
-    def send(key, table: pa.Table) -> pa.Table:
+    def send(key, table):
         values, counts = Chunk(table["text"].to_pylist(), spec.order).distinct()
         bucket = ((values >> np.uint64(32)) * np.uint64(partitions) >> np.uint64(32)).astype(np.int64)
         cuts = np.flatnonzero(np.diff(bucket, prepend=-1, append=-1)) if len(bucket) else np.zeros(0, np.int64)
@@ -135,7 +135,7 @@ def backoff_scores(docs: DataFrame, *, spec: Backoff = Backoff(), id_col: str =
     back = "chunk bigint, bucket bigint, n bigint, counts binary"
     back_schema = to_arrow_schema(T._parse_datatype_string(back))
 
-    def total(key, table: pa.Table) -> pa.Table:
+    def total(key, table):
         n = table["n"].to_numpy()
         hashes = np.concatenate([unpack_sorted(x, k) for x, k in zip(table["hashes"].to_pylist(), n)])
         counts = np.concatenate([unpacked(x, k) for x, k in zip(table["counts"].to_pylist(), n)])
@@ -151,7 +151,7 @@ def backoff_scores(docs: DataFrame, *, spec: Backoff = Backoff(), id_col: str =
     out_kind = T.StructType([T.StructField("id", kind), T.StructField("n_words", T.LongType()), T.StructField("log_score", T.DoubleType())])
     out_schema = to_arrow_schema(out_kind)
 
-    def score(left: pa.Table, right: pa.Table) -> pa.Table:
+    def score(left, right):
         if not left.num_rows:
             return out_schema.empty_table()
         chunk = Chunk(left["text"].to_pylist(), spec.order)

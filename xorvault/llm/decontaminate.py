@@ -1,17 +1,18 @@
 """Benchmark decontamination: training passages are queries on a BM25 inverted index of test items.
 
-Texts are cut in half-passages of a fixed count of words; a query is two neighbouring halves, so that an item of up to
-a half's length lies whole in some query (longer items' halves are checked in more than one query). A term's weight in
-an item is BM25's; items lie in blocks of the index, and each term keeps its greatest weight per block. The sum of
-these block maxima over a query's terms bounds every item's score in that block (block-max WAND's pivot test): blocks
-whose bound is below the least threshold of their items are never opened. Opened blocks are scored exactly, and all
-items at or above a set share of their own self-score are retrieved, without a cap. Verification then asks that the
-item's question and its answer both occur: word n-grams of each must be contained in the text up to a given share.
+Items are indexed in pieces of at most one and a half half-passages, so that a piece lies in some query whole or for the
+most part, however long its item. Texts are cut in half-passages of a fixed count of words; a query is two neighbouring
+halves. A term's weight in a piece is BM25's; pieces lie in blocks, and each term keeps its greatest weight per block. The
+sum of these block maxima over a query's terms bounds every piece's score in that block (block-max WAND's pivot test):
+blocks whose bound is below the least threshold of their pieces are never opened. Opened blocks are scored exactly, and
+the items of all pieces at or above a set share of their own self-score are retrieved, without a cap. Verification then
+asks that the item's question and its answer both occur: word n-grams of each must be contained in the text up to a
+given share.
 
 A test item's question is its text up to its last sentence, its answer that last sentence; where there is only one
-sentence it is both. The item table is read in shards of at most `shard_items` items, each shard's index being built on
-the driver and broadcast: its size is bounded by that parameter, and more items mean more shards, not a larger
-broadcast. Null or empty texts and items match nothing. A pair is returned once for each input row.
+sentence it is both. The item table is read in shards of at most about `shard_items` items, each shard's index being
+built on the driver; a scan of the documents takes at most `shards_per_scan` of them along, which bounds what is sent to
+executors. More items mean more scans. Null or empty texts and items match nothing; each input row has its own pairs.
 """
 
 from __future__ import annotations
@@ -36,12 +37,13 @@ SENTENCE = re.compile(r"(?<=[.!?])\s+")
 class Match:
     k1: float = 1.2
     b: float = 0.75
-    least_share: float = 0.55
-    half: int = 64
-    block: int = 8
+    least_share: float = 0.5
+    half: int = 32
+    block: int = 4
     gram: int = 3
     least_overlap: float = 0.7
-    shard_items: int = 20_000
+    shard_items: int = 1000
+    shards_per_scan: int = 16
 
 
 class Words(dict):
@@ -69,73 +71,72 @@ class ItemIndex:
 
     def __init__(self, items: list[tuple[object, str]], match: Match = Match()):
         self.match = match
-        split = [(i, text or "") for i, text in items]
-        words = [WORD.findall(t.lower()) for _, t in split]
-        # Items that share words go to the same block, so that block maxima stay tight.
-        order = sorted((j for j in range(len(split)) if words[j]), key=lambda j: (min(words[j], key=lambda w: (-len(w), w)), words[j]))
-        self.ids = [split[j][0] for j in order]
-        words = [words[j] for j in order]
-        texts = [split[j][1] for j in order]
+        kept = [(i, t, WORD.findall(t.lower())) for i, t in items if t]
+        kept = [x for x in kept if x[2]]
+        self.ids = [i for i, _, _ in kept]
         self.number: dict[str, int] = {}
-        for w in words:
-            for x in w:
+        for _, _, words in kept:
+            for x in words:
                 self.number.setdefault(x, len(self.number))
-        n = len(words)
-        mean = sum(map(len, words)) / max(1, n)
+        numbers = lambda s: [self.number[x] for x in WORD.findall(s.lower())]
+        self.parts, pieces = [], []
+        for j, (_, text, words) in enumerate(kept):
+            sentences = [s for s in SENTENCE.split(text.strip()) if WORD.search(s)]
+            self.parts.append((numbers(" ".join(sentences[:-1]) if len(sentences) > 1 else text), numbers(sentences[-1])))
+            count = -(-len(words) // (match.half * 3 // 2))
+            size = -(-len(words) // count)
+            pieces += [(j, [self.number[x] for x in words[k : k + size]]) for k in range(0, len(words), size)]
+        n = len(pieces)
+        mean = sum(len(p) for _, p in pieces) / max(1, n)
         df = np.zeros(len(self.number))
-        for w in words:
-            df[[self.number[x] for x in set(w)]] += 1
+        for _, p in pieces:
+            df[list(set(p))] += 1
         idf = np.log(1 + (n - df + 0.5) / (df + 0.5))
-        self.weight = np.zeros((len(self.number) + 1, 0), np.float32)
-        self.blocks: list[dict[int, list[tuple[int, float]]]] = []
-        tops = np.zeros((len(self.number) + 1, -(-n // match.block)), np.float32)
+        # Pieces whose common words are alike go to the same block, so that block maxima stay tight.
+        pieces.sort(key=lambda p: sorted(set(p[1]), key=lambda t: (-df[t], t))[:3])
+        self.item = [j for j, _ in pieces]
+        blocks = -(-n // match.block)
+        self.tops = np.zeros((len(self.number), blocks), np.float32)
+        self.postings: list[dict[int, list[tuple[int, float]]]] = [{} for _ in range(blocks)]
         self.self_score = np.zeros(n)
-        for j, w in enumerate(words):
-            if j % match.block == 0:
-                self.blocks.append({})
-            count: dict[int, int] = {}
-            for x in w:
-                count[self.number[x]] = count.get(self.number[x], 0) + 1
-            for t, c in count.items():
-                v = float(idf[t] * c * (match.k1 + 1) / (c + match.k1 * (1 - match.b + match.b * len(w) / mean)))
-                self.blocks[-1].setdefault(t, []).append((j, v))
-                tops[t, j // match.block] = max(tops[t, j // match.block], v)
-                self.self_score[j] += v
-        self.tops = tops
-        self.least = np.array([self.self_score[k : k + match.block].min() * match.least_share for k in range(0, n, match.block)])
-        self.parts = []
-        for text, w in zip(texts, words):
-            sentences = [s for s in SENTENCE.split(text.strip()) if WORD.search(s)]
-            question = " ".join(sentences[:-1]) if len(sentences) > 1 else text
-            as_terms = lambda s: [self.number[x] for x in WORD.findall(s.lower())]
-            self.parts.append((as_terms(question), as_terms(sentences[-1])))
+        for k, (_, p) in enumerate(pieces):
+            b = k // match.block
+            for t in set(p):
+                c = p.count(t)
+                v = float(idf[t] * c * (match.k1 + 1) / (c + match.k1 * (1 - match.b + match.b * len(p) / mean)))
+                self.postings[b].setdefault(t, []).append((k, v))
+                self.tops[t, b] = max(self.tops[t, b], v)
+                self.self_score[k] += v
+        self.least = np.array([self.self_score[k : k + match.block].min() * match.least_share for k in range(0, n, match.block)], np.float32)
 
     def candidates(self, terms: np.ndarray) -> list[tuple[int, float]]:
-        """All (item, score) with a score of at least the item's threshold for some query of this text; -1 is no term."""
-        half, n = self.match.half, len(terms)
-        if not n or not self.ids:
+        """All items of which a piece reaches its threshold for some query of this text, with the best such score; -1 is no term."""
+        n, size = len(terms), len(self.number)
+        at = np.flatnonzero(terms >= 0)
+        if not len(at) or not self.ids:
             return []
-        halves = -(-n // half)
-        at = np.arange(n) // half
-        pair = np.unique(at[terms >= 0] * np.int64(len(self.number) + 1) + terms[terms >= 0])
-        if not len(pair):
-            return []
-        which, term = pair // (len(self.number) + 1), pair % (len(self.number) + 1)
+        halves = -(-n // self.match.half)
+        pair = (at // self.match.half) * np.int64(size) + terms[at]
+        pair.sort()
+        pair = pair[np.append(True, pair[1:] != pair[:-1])]
+        which, term = pair // size, pair % size
         starts = np.flatnonzero(np.append(True, which[1:] != which[:-1]))
         bound = np.zeros((halves + 1, self.tops.shape[1]), np.float32)
         bound[which[starts]] = np.add.reduceat(self.tops[term], starts)
-        both = bound[:-1] + bound[1:]
+        bound[:-1] += bound[1:]
         best: dict[int, float] = {}
-        for h, b in zip(*np.nonzero(both >= self.least * (1 - 1e-5))):
-            query = set(term[(which == h) | (which == h + 1)].tolist())
+        query, held = {}, -1
+        for h, b in zip(*np.nonzero(bound[:-1] >= self.least * np.float32(1 - 1e-5))):
+            if h != held:
+                query, held = set(term[(which == h) | (which == h + 1)].tolist()), h
             got: dict[int, float] = {}
-            postings = self.blocks[b]
+            postings = self.postings[b]
             for t in postings.keys() & query:
-                for j, v in postings[t]:
-                    got[j] = got.get(j, 0.0) + v
-            for j, s in got.items():
-                if s >= self.match.least_share * self.self_score[j] and s > best.get(j, 0.0):
-                    best[j] = s
+                for k, v in postings[t]:
+                    got[k] = got.get(k, 0.0) + v
+            for k, s in got.items():
+                if s >= self.match.least_share * self.self_score[k] and s > best.get(self.item[k], 0.0):
+                    best[self.item[k]] = s
         return sorted(best.items())
 
     def overlap(self, terms: list[int], grams: set[tuple], item: int) -> tuple[float, float]:
@@ -156,7 +157,7 @@ class ItemIndex:
         for j, score in found:
             q, a = self.overlap(terms, grams, j)
             if q >= self.match.least_overlap and a >= self.match.least_overlap:
-                out.append({"item_id": self.ids[j], "score": score, "self_score": float(self.self_score[j]), "question_overlap": q, "answer_overlap": a})
+                out.append({"item_id": self.ids[j], "score": score, "question_overlap": q, "answer_overlap": a})
         return out
 
 
@@ -181,23 +182,25 @@ def _terms(words: Words, text: str) -> list[int]:
 
 
 def find_contamination(docs: DataFrame, items: DataFrame, *, match: Match = Match(), id_col: str = "doc_id", text_col: str = "text", item_id: str = "item_id", item_text: str = "text") -> DataFrame:
-    """A row per document row and item that it contains: id, item_id, score, self_score and both overlaps."""
+    """A row per document row and item that it contains: id, item_id, score (of its best piece) and both overlaps."""
     kind = items.schema[item_id].dataType.simpleString()
-    columns = f"item_id {kind}, score double, self_score double, question_overlap double, answer_overlap double"
+    columns = f"item_id {kind}, score double, question_overlap double, answer_overlap double"
     id_kind = docs.schema[id_col].dataType.simpleString()
     found = []
-    for index in shards(items, match, item_id, item_text):
+    indexes = shards(items, match, item_id, item_text)
+    for k in range(0, len(indexes), match.shards_per_scan):
+        taken = indexes[k : k + match.shards_per_scan]
 
-        def search(batches, index=index):
-            words = Words(index.number)
+        def search(batches, taken=taken):
+            words = [Words(x.number) for x in taken]
             for batch in slices(batches):
-                ids, hits = [], []
+                rows, hits = [], []
                 for j, text in enumerate(batch.column(1).to_pylist()):
-                    for m in index.matches(_terms(words, text or "")):
-                        ids.append(j)
-                        hits.append(m)
-                taken = batch.column(0).take(pa.array(ids, pa.int64()))
-                yield {"_id": taken, **{c: [h[c] for h in hits] for c in ("item_id", "score", "self_score", "question_overlap", "answer_overlap")}}
+                    for index, known in zip(taken, words):
+                        for m in index.matches(_terms(known, text or "")):
+                            rows.append(j)
+                            hits.append(m)
+                yield {"_id": batch.column(0).take(pa.array(rows, pa.int64())), **{c: [h[c] for h in hits] for c in ("item_id", "score", "question_overlap", "answer_overlap")}}
 
         found.append(map_arrow(docs.select(id_col, text_col), search, f"_id {id_kind}, {columns}"))
     return reduce(DataFrame.unionAll, found).withColumnRenamed("_id", id_col)

@@ -22,8 +22,9 @@ from pyspark.sql import functions as F
 from .common import text_function
 from .pair_index_bpe import PRETOKEN
 
-#: Trie nodes, and pre-tokens with their counts, that a Python worker remembers.
-NODES_REMEMBERED = 500_000
+#: Trie nodes, and pre-tokens with their results, that a Python worker remembers.
+NODES_REMEMBERED = 600_000
+WORDS_REMEMBERED = 500_000
 ZIPF_OFFSET = 2.7
 
 
@@ -46,15 +47,16 @@ class PretokenTrie:
         self.scores = scores
         lengths: dict[bytes, set[int]] = {}
         for piece in scores:
-            lengths.setdefault(piece[-2:], set()).add(len(piece))
+            if len(piece) > 1:
+                lengths.setdefault(piece[-2:], set()).add(len(piece))
         self.lengths = {end: tuple(sorted(x)) for end, x in lengths.items()}
         self.find = regex.compile(PRETOKEN).findall
         self.reset()
 
     def reset(self) -> None:
-        self.nodes: dict[bytes, tuple[float, int]] = {b"": (0.0, 0)}
-        self.terminal: dict[str, int] = {}
-        self.best: dict[str, float] = {}
+        # A result is one complex number, log-probability + tokens * 1j, so that one sum adds up both.
+        self.nodes: dict[bytes, complex] = {b"": 0j}
+        self.terminal: dict[str, complex] = {}
 
     def insert(self, word: str) -> None:
         """Put word in the trie: only the nodes beyond its longest known prefix are worked out."""
@@ -64,31 +66,37 @@ class PretokenTrie:
             have -= 1
         path = [nodes[data[:k]] for k in range(have + 1)]
         for end in range(have + 1, n + 1):
-            top, count = -math.inf, 0
-            tail = data[max(0, end - 2) : end]
-            for size in (1, *lengths.get(tail, ())) if end > 1 else (1,):
+            best = path[end - 1] + complex(scores[data[end - 1 : end]], 1)
+            top, count = best.real, best.imag
+            for size in lengths.get(data[end - 2 : end], ()) if end > 1 else ():
                 if size > end:
                     break
                 p = scores.get(data[end - size : end])
                 if p is not None:
-                    s, c = path[end - size]
-                    s += p
-                    if s > top or s == top and c + 1 < count:
-                        top, count = s, c + 1
-            path.append((top, count))
-            nodes[data[:end]] = (top, count)
-        self.best[word], self.terminal[word] = path[n]
+                    z = path[end - size]
+                    s = z.real + p
+                    if s > top or s == top and z.imag + 1 < count:
+                        top, count = s, z.imag + 1
+            path.append(complex(top, count))
+            nodes[data[:end]] = path[end]
+        self.terminal[word] = path[n]
 
     def count(self, texts: list[str]) -> list[dict]:
-        if len(self.nodes) > NODES_REMEMBERED or len(self.terminal) > NODES_REMEMBERED:
-            self.reset()
+        if len(self.nodes) > NODES_REMEMBERED:
+            self.nodes = {b"": 0j}
         split = [self.find(t) for t in texts]
+        terminal = self.terminal
         for tokens in split:
             for word in set(tokens):
-                if word not in self.terminal:
+                if word not in terminal:
                     self.insert(word)
-        terminal, best = self.terminal.__getitem__, self.best.__getitem__
-        return [{"n_pretokens": len(tokens), "n_tokens": sum(map(terminal, tokens)), "n_bytes": len(text.encode("utf-8")), "log_score": math.fsum(map(best, tokens))} for text, tokens in zip(texts, split)]
+        if len(terminal) > WORDS_REMEMBERED:  # words in use stay
+            terminal = self.terminal = {t: terminal[t] for tokens in split for t in tokens}
+        get, out = terminal.__getitem__, []
+        for text, tokens in zip(texts, split):
+            total = sum(map(get, tokens), 0j)
+            out.append({"n_pretokens": len(tokens), "n_tokens": round(total.imag), "n_bytes": len(text.encode("utf-8")), "log_score": total.real})
+        return out
 
 
 @lru_cache(maxsize=2)

@@ -1,8 +1,9 @@
 """Toxicity by the nearest labelled examples under exact TF-IDF cosine, found in a block-max inverted index.
 
-Terms are lower-case letter runs at which labelled examples of the two classes differ (a chi-square test on a bounded
-sample picks them; in prose most words say nothing about the label, and would drown those that do). Document
-frequencies of the chosen terms come from the whole corpus. Examples are indexed by term; postings are cut in blocks of
+Terms are lower-case letter runs and their prefixes (stems) at which labelled examples of the two classes differ; a
+chi-square test on a bounded sample picks them, since in prose most words say nothing about the label and would drown
+those that do. All other words of a text count as one term, so that a cosine also compares how dense the chosen terms
+are. Document frequencies come from the whole corpus. Examples are indexed by term; postings are cut in blocks of
 examples, and each term keeps its greatest weight per block. A query adds these up to bounds of all blocks, opens blocks
 from the highest bound down and stops when no closed block can reach the k-th best cosine, so the neighbours are exact.
 Equal cosines go to the lower example. Votes are weighted by cosine; the vote share is calibrated by an isotonic fit on
@@ -29,8 +30,17 @@ from .linear import fold, isotonic, labelled_sample
 LETTERS = re.compile(r"[^\W\d_]+")
 
 
+#: Lengths of the prefixes that are terms.
+STEMS = range(4, 9)
+
+
 def terms_of_word(word: bytes) -> tuple[bytes, ...]:
-    return tuple(x.encode() for x in LETTERS.findall(word.decode("utf-8", "replace").lower()))
+    """A blank-separated word's letter runs, and with a mark their proper prefixes."""
+    out = []
+    for run in LETTERS.findall(word.decode("utf-8", "replace").lower()):
+        out.append(run.encode())
+        out += [f"{run[:n]}-".encode() for n in STEMS if n < len(run)]
+    return tuple(out)
 
 
 class Terms(dict):
@@ -47,10 +57,15 @@ class Terms(dict):
         return found
 
     def counts(self, text: str) -> dict[int, int]:
+        """Counts by term; the last number stands for all words without a chosen term. Empty if none has one."""
         out: dict[int, int] = {}
-        for found in map(self.__getitem__, words_of(text)):
+        words, some = words_of(text), 0
+        for found in filter(None, map(self.__getitem__, words)):
+            some += 1
             for t in found:
                 out[t] = out.get(t, 0) + 1
+        if out and some < len(words):
+            out[len(self.vocabulary)] = len(words) - some
         return out
 
 
@@ -154,7 +169,7 @@ def choose_terms(features: list[set[bytes]], label: np.ndarray, least_chi2: floa
     return [x for _, x in sorted(out)[:most]]
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, *, label: str = "toxic", folds: int = 5, held_out: int = 0, train_rows: int = 8000, k: int = 15, least_chi2: float = 20.0, least_df: int = 4, most_terms: int = 5000, id_col: str = "doc_id", text_col: str = "text") -> ToxicityModel:
+def fit_toxicity(docs: DataFrame, labels: DataFrame, *, label: str = "toxic", folds: int = 5, held_out: int = 0, train_rows: int = 8000, k: int = 15, least_chi2: float = 30.0, least_df: int = 4, most_terms: int = 5000, id_col: str = "doc_id", text_col: str = "text") -> ToxicityModel:
     sample = labelled_sample(docs, labels, label, folds=folds, held_out=held_out, rows=train_rows, id_col=id_col, text_col=text_col)
     seed = 0x5EED
 
@@ -171,10 +186,11 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, *, label: str = "toxic", fo
     def counted(batches):  # then the chosen terms' words and counts
         memo: dict[bytes, tuple] = {}
         for batch in slices(batches):
-            rows = []
+            rows, others = [], []
             for x in batch.column("_text").to_pylist():
                 row: dict[bytes, int] = {}
-                for w in words_of(x or ""):
+                words = words_of(x or "")
+                for w in words:
                     if w not in memo:
                         if len(memo) > 300_000:
                             memo.clear()
@@ -182,26 +198,27 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, *, label: str = "toxic", fo
                     for t in memo[w]:
                         row[t] = row.get(t, 0) + 1
                 rows.append(row)
-            yield {"id": batch.column(id_col).cast(pa.string()), "label": batch.column("_label"), "terms": [list(r) for r in rows], "counts": [list(r.values()) for r in rows]}
+                others.append(sum(not memo[w] for w in words))
+            yield {"id": batch.column(id_col).cast(pa.string()), "label": batch.column("_label"), "terms": [list(r) for r in rows], "counts": [list(r.values()) for r in rows], "others": others}
 
-    got = map_arrow(sample, counted, "id string, label int, terms array<binary>, counts array<int>").toArrow().to_pylist()
+    got = map_arrow(sample, counted, "id string, label int, terms array<binary>, counts array<int>, others bigint").toArrow().to_pylist()
     got.sort(key=lambda r: (len(r["id"]), r["id"]))
     terms = sorted({t for r in got for t in r["terms"]})
     number = {t: j for j, t in enumerate(terms)}
     n_docs, df = _document_frequencies(docs, number, text_col)
-    idf = np.log((1 + n_docs) / (1 + df)) + 1
-    rows = [{number[t]: c for t, c in zip(r["terms"], r["counts"])} for r in got]
+    idf = np.append(np.log((1 + n_docs) / (1 + df)) + 1, 1.0)
+    rows = [{number[t]: c for t, c in zip(r["terms"], r["counts"])} | ({len(terms): r["others"]} if r["others"] else {}) for r in got]
     y = np.array([r["label"] for r in got], np.int64)
-    some = [j for j, r in enumerate(rows) if r]
-    index = BlockMaxIndex(len(terms), [got[j]["id"] for j in some], y[some] if some else np.zeros(0, np.int64), idf)
-    vectors = [index.vector(rows[j]) for j in some]
+    index = BlockMaxIndex(len(terms) + 1, [r["id"] for r in got], y, idf)
+    vectors = [index.vector(r) for r in rows]
     index.add(vectors)
-    none = np.array([not r for r in rows], bool)
+    some = [j for j, r in enumerate(got) if r["terms"]]
+    none = np.array([not r["terms"] for r in got], bool)
     bare = (y[none].sum() + 0.5) / (none.sum() + 2) if len(y) else 0.5
     model = ToxicityModel(terms, index, k, np.zeros(1), np.full(1, 0.5), float(bare))
     if some:
-        shares = np.array([model.share(*index.nearest(*v, k, without=j)) for j, v in enumerate(vectors)])
-        model.knots, model.levels = isotonic(shares, index.label.astype(float), prior=float(index.label.mean()))
+        shares = np.array([model.share(*index.nearest(*vectors[j], k, without=j)) for j in some])
+        model.knots, model.levels = isotonic(shares, y[some].astype(float), prior=float(y[some].mean()))
     return model
 
 
@@ -245,9 +262,9 @@ def score_toxicity(docs: DataFrame, labels: DataFrame, *, threshold: float = 0.5
             if at not in known:
                 if len(known) > 50_000:
                     known.clear()
-                found, cosine = model.index.nearest(*model.index.vector(counts), model.k)
+                found, cosine = model.index.nearest(*model.index.vector(counts), model.k) if counts else (np.zeros(0, np.int64), np.zeros(0))
                 score = model.calibrated(model.share(found, cosine)) if len(found) else model.bare
-                known[at] = {"score": score, "neighbours": [model.index.ids[j] for j in found[:5]], "shared_terms": [model.terms[t].decode() for t in sorted(counts)]}
+                known[at] = {"score": score, "neighbours": [model.index.ids[j] for j in found[:5]], "shared_terms": [model.terms[t].decode() for t in sorted(counts) if t < len(model.terms)]}
             return known[at]
 
         return lambda texts: [one(x) for x in texts]
