@@ -27,7 +27,7 @@ PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!
 SELF_BYTES = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
 
 #: Distinct pre-tokens whose ids a Python worker remembers.
-REMEMBERED = 250_000
+REMEMBERED = 800_000
 
 
 def default_vocabulary() -> str:
@@ -130,8 +130,6 @@ class PairIndexBpe:
     def encode_batch(self, texts: list[str]) -> list[bytes]:
         """Each text's ids as little-endian unsigned 32-bit integers."""
         known, find = self.known, self.find
-        if len(known) > REMEMBERED:
-            known.clear()
         parts: list[list[tuple[bool, list[str] | int]]] = []
         new: set[str] = set()
         for text in texts:
@@ -148,6 +146,8 @@ class PairIndexBpe:
         fresh = list(new)
         for word, ids in zip(fresh, self.merge_all([w.encode("utf-8") for w in fresh])):
             known[word] = np.array(ids, "<u4").tobytes()
+        if len(known) > REMEMBERED:  # words in use stay
+            known = self.known = {t: known[t] for row in parts for special, x in row if not special for t in x}
         get = known.__getitem__
         return [b"".join(x.to_bytes(4, "little") if special else b"".join(map(get, x)) for special, x in row) for row in parts]
 
