@@ -38,7 +38,7 @@ class Backoff:
     order: int = 3
     backoff: float = 0.4
     least: int = 2
-    chunk_bytes: int = 8 << 20
+    chunk_bytes: int = 3 << 20
     partitions_per_chunk: int = 2
 
 
@@ -81,17 +81,36 @@ class Chunk:
             self.grams.append((salted, at + k - 1 - self.first[at + k - 1] >= k - 1))  # by start; whether it lies in one document
 
     def distinct(self) -> tuple[np.ndarray, np.ndarray]:
+        """Sorted distinct hashes with the chunk's counts, and the empty n-gram with the chunk's words."""
         each = np.concatenate([g[ok] for g, ok in self.grams])
-        values, counts = np.unique(each, return_counts=True)
+        each.sort()
+        starts = np.flatnonzero(np.append(True, each[1:] != each[:-1])) if len(each) else np.zeros(0, np.int64)
+        values, counts = each[starts], np.diff(np.append(starts, len(each)))
         at = int(np.searchsorted(values, EMPTY))
         return np.insert(values, at, EMPTY), np.insert(counts, at, self.n)
 
-    def scores(self, values: np.ndarray, counts: np.ndarray, spec: Backoff) -> np.ndarray:
-        """Each document's sum of log scores."""
-        total = float(counts[np.searchsorted(values, EMPTY)])
-        count = [np.where(ok, counts[np.minimum(np.searchsorted(values, g), len(values) - 1)], 0).astype(float) for g, ok in self.grams]
+    def scores(self, counts: np.ndarray, spec: Backoff) -> np.ndarray:
+        """Each document's sum of log scores, from the corpus counts of distinct()'s hashes in their order."""
         if not self.n:
             return np.zeros(len(self.lengths))
+        where = [np.flatnonzero(ok) for _, ok in self.grams]
+        each = np.concatenate([g[w] for (g, _), w in zip(self.grams, where)])
+        order = np.argsort(each)
+        each = each[order]
+        rank = np.cumsum(np.append(False, each[1:] != each[:-1]))
+        at = int(np.searchsorted(each, EMPTY))
+        skip = int(rank[at]) if at < len(each) else int(rank[-1]) + 1  # where the empty n-gram stands among the distinct ones
+        total = float(counts[skip])
+        counts = np.delete(counts, skip)
+        per = np.empty(len(each))
+        per[order] = counts[rank]
+        del each, order, rank
+        count, done = [], 0
+        for (g, _), w in zip(self.grams, where):
+            c = np.zeros(len(g))
+            c[w] = per[done : done + len(w)]
+            done += len(w)
+            count.append(c)
         log = np.log(count[0]) - math.log(total)
         for k in range(2, len(self.grams) + 1):
             c = count[k - 1]
@@ -102,10 +121,8 @@ class Chunk:
             deep = np.arange(self.n) - self.first >= k - 1
             log = np.where(deep & ~seen, log + math.log(spec.backoff), log)
             log[ends] = np.log(c[ends - k + 1]) - np.log(count[k - 2][ends - k + 1])
-        sums = np.concatenate([[0.0], np.cumsum(log)])
         ends = np.cumsum(self.lengths)
-        exact = [math.fsum(log[e - n : e]) for e, n in zip(ends, self.lengths)]
-        return np.array(exact) if len(exact) else sums[:0]
+        return np.array([math.fsum(log[e - n : e].tolist()) for e, n in zip(ends, self.lengths)])
 
 
 def bytes_of(df: DataFrame) -> int:
@@ -139,7 +156,7 @@ def backoff_scores(docs: DataFrame, *, spec: Backoff = Backoff(), id_col: str =
         n = table["n"].to_numpy()
         hashes = np.concatenate([unpack_sorted(x, k) for x, k in zip(table["hashes"].to_pylist(), n)])
         counts = np.concatenate([unpacked(x, k) for x, k in zip(table["counts"].to_pylist(), n)])
-        order = np.argsort(hashes, kind="stable")
+        order = np.argsort(hashes)
         hashes = hashes[order]
         starts = np.flatnonzero(np.append(True, hashes[1:] != hashes[:-1]))
         sums = np.add.reduceat(counts[order], starts)
@@ -155,10 +172,9 @@ def backoff_scores(docs: DataFrame, *, spec: Backoff = Backoff(), id_col: str =
         if not left.num_rows:
             return out_schema.empty_table()
         chunk = Chunk(left["text"].to_pylist(), spec.order)
-        values, _ = chunk.distinct()
         right = right.sort_by("bucket")
         counts = np.concatenate([unpacked(x, k) for x, k in zip(right["counts"].to_pylist(), right["n"].to_pylist())])
-        return pa.table({"id": left["id"].combine_chunks(), "n_words": pa.array(chunk.lengths), "log_score": pa.array(chunk.scores(values, counts, spec))}, schema=out_schema)
+        return pa.table({"id": left["id"].combine_chunks(), "n_words": pa.array(chunk.lengths), "log_score": pa.array(chunk.scores(counts, spec))}, schema=out_schema)
 
     runs = rows.groupBy("chunk").applyInArrow(send, run)
     counts = runs.groupBy("bucket").applyInArrow(total, back)
