@@ -125,14 +125,17 @@ class Chunk:
         return np.array([math.fsum(log[e - n : e].tolist()) for e, n in zip(ends, self.lengths)])
 
 
-def bytes_of(df: DataFrame) -> int:
-    """The optimiser's estimate of df's bytes, from the sizes of its files."""
-    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+def bytes_of(docs: DataFrame, text_col: str) -> int:
+    """The optimiser's estimate of the bytes of docs, from the sizes of its files; where it has none, the texts' bytes."""
+    known = int(str(docs._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    if known < 1 << 60:
+        return known
+    return docs.agg(F.sum(F.octet_length(text_col)).alias("n")).first()["n"] or 0
 
 
 def backoff_scores(docs: DataFrame, *, spec: Backoff = Backoff(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per input row: id, n_words, log_score, mean_log_score."""
-    chunks = max(1, math.ceil(min(bytes_of(docs.select(id_col, text_col)), 1 << 62) / spec.chunk_bytes))
+    chunks = max(1, math.ceil(bytes_of(docs.select(id_col, text_col), text_col) / spec.chunk_bytes))
     partitions = chunks * spec.partitions_per_chunk
     kind = docs.schema[id_col].dataType
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"), F.pmod(F.xxhash64(id_col, text_col), F.lit(chunks)).alias("chunk"))

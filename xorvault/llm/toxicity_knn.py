@@ -20,11 +20,10 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_arrow, slices, text_function, words_of
+from .common import map_arrow, slices, stored, text_function, words_of
 from .linear import fold, isotonic, labelled_sample
 
 LETTERS = re.compile(r"[^\W\d_]+")
@@ -71,14 +70,14 @@ class Terms(dict):
 
 @dataclass
 class BlockMaxIndex:
-    """Unit vectors of examples by term; examples are numbered in order of their ids."""
+    """Unit vectors of examples by term; the last term stands for all words without a chosen one."""
 
     n_terms: int
     ids: list
     label: np.ndarray
     idf: np.ndarray
     block: int = 64
-    postings: dict[int, tuple[np.ndarray, np.ndarray]] = field(default_factory=dict)
+    postings: dict[int, tuple[np.ndarray, np.ndarray, list[int]]] = field(default_factory=dict)
     tops: dict[int, np.ndarray] = field(default_factory=dict)
 
     def vector(self, counts: dict[int, int]) -> tuple[np.ndarray, np.ndarray]:
@@ -99,37 +98,43 @@ class BlockMaxIndex:
             at, of = np.array(at), np.array(of)
             top = np.zeros(blocks)
             np.maximum.at(top, at // self.block, of)
-            self.postings[t], self.tops[t] = (at, of), top
+            starts = np.searchsorted(at, np.arange(blocks + 1) * self.block).tolist()
+            self.postings[t], self.tops[t] = (at, of, starts), top
 
     def nearest(self, terms: np.ndarray, weights: np.ndarray, k: int, without: int = -1) -> tuple[np.ndarray, np.ndarray]:
         """The k examples of highest cosine above 0, ties to the lower number; `without` is left out."""
         parts = [(self.postings[t], self.tops[t], w) for t, w in zip(terms.tolist(), weights.tolist()) if t in self.postings]
+        found, cosine = np.zeros(0, np.int64), np.zeros(0)
         if not parts:
-            return np.zeros(0, np.int64), np.zeros(0)
-        bound = sum(top * w for _, top, w in parts)
+            return found, cosine
+        bound = np.zeros(len(parts[0][1]))
+        for _, top, w in parts:
+            bound += top * w
         order = np.argsort(-bound, kind="stable")
-        found, cosine, worst = np.zeros(0, np.int64), np.zeros(0), 0.0
-        at, step = 0, 4
-        while at < len(order):
+        bound = bound[order]
+        at, step, size = 0, 2, self.block
+        while at < len(order) and bound[at] > 0:
+            if len(found) == k:  # a closed block can only matter above the k-th cosine, or with it and lower numbers
+                worst = cosine[-1]
+                if bound[at] < worst - 1e-9:
+                    break
+                if bound[at] < worst + 1e-9 and (order[at : np.searchsorted(-bound, -(worst - 1e-9), "right")] * size > found[-1]).all():
+                    break
             opened = np.sort(order[at : at + step])
-            if bound[order[at]] <= 0 or len(found) == k and bound[order[at]] < worst - 1e-12:
-                break
-            lows = opened * self.block
-            scores = np.zeros(len(opened) * self.block)
-            for (docs, of), _, w in parts:
-                a, b = np.searchsorted(docs, lows), np.searchsorted(docs, lows + self.block)
-                for j in range(len(opened)):
-                    if b[j] > a[j]:
-                        scores[docs[a[j] : b[j]] - lows[j] + j * self.block] += of[a[j] : b[j]] * w
+            scores = np.zeros(len(opened) * size)
+            for (docs, of, starts), _, w in parts:
+                for j, b in enumerate(opened.tolist()):
+                    lo, hi = starts[b], starts[b + 1]
+                    if hi > lo:
+                        scores[docs[lo:hi] + (j - b) * size] += of[lo:hi] * w
             hit = np.flatnonzero(scores > 0)
-            ids = lows[hit // self.block] + hit % self.block
+            ids = opened[hit // size] * size + hit % size
             if without >= 0:
                 hit, ids = hit[ids != without], ids[ids != without]
             found, cosine = np.append(found, ids), np.append(cosine, np.round(scores[hit], 12))
             best = np.lexsort((found, -cosine))[:k]
             found, cosine = found[best], cosine[best]
-            worst = cosine[-1] if len(found) == k else 0.0
-            at, step = at + step, step * 2
+            at, step = at + step, min(2 * step, 16)
         return found, cosine
 
 
@@ -149,69 +154,65 @@ class ToxicityModel:
         return float(np.interp(share, self.knots, self.levels))
 
 
-def choose_terms(features: list[set[bytes]], label: np.ndarray, least_chi2: float, least_df: int, most: int) -> list[bytes]:
-    """Terms more frequent in the positive class than chance allows, the strongest first (at most `most`)."""
-    pos, neg = {}, {}
-    for f, t in zip(features, label):
-        into = pos if t else neg
-        for x in f:
-            into[x] = into.get(x, 0) + 1
-    p, n = int(label.sum()), int(len(label) - label.sum())
-    out = []
-    for x, a in pos.items():
-        b = neg.get(x, 0)
-        if a + b < least_df or not p or not n:
-            continue
-        c, d = p - a, n - b
-        chi2 = (p + n) * (a * d - b * c) ** 2 / max(1, (a + b) * (c + d) * p * n)
-        if a * n > b * p and chi2 >= least_chi2:
-            out.append((-chi2, x))
-    return [x for _, x in sorted(out)[:most]]
-
-
-def fit_toxicity(docs: DataFrame, labels: DataFrame, *, label: str = "toxic", folds: int = 5, held_out: int = 0, train_rows: int = 8000, k: int = 15, least_chi2: float = 30.0, least_df: int = 4, most_terms: int = 5000, id_col: str = "doc_id", text_col: str = "text") -> ToxicityModel:
-    sample = labelled_sample(docs, labels, label, folds=folds, held_out=held_out, rows=train_rows, id_col=id_col, text_col=text_col)
-    seed = 0x5EED
-
-    def hashed(batches):  # first the terms' hashes alone, so that the driver holds 8 bytes a term
-        for batch in slices(batches):
-            sets = [{t for w in set(words_of(x or "")) for t in terms_of_word(w)} for x in batch.column("_text").to_pylist()]
-            yield {"label": batch.column("_label"), "terms": [[xxhash.xxh64_intdigest(t, seed) >> 1 for t in s] for s in sets]}
+def contrast(featured: DataFrame, least_chi2: float, least_df: int, most: int) -> list[bytes]:
+    """Terms of rows (label, terms) that are more frequent in the positive class than chance allows, strongest first.
+
+    Counts are a Spark aggregate; at most `most` terms come to the driver. Of terms of which one is another's stem only
+    the stronger stays.
+    """
+    size = featured.agg(F.sum("label").alias("p"), F.sum(1 - F.col("label")).alias("n"))
+    counts = featured.select("label", F.explode("terms").alias("t")).groupBy("t").agg(F.sum("label").alias("a"), F.sum(1 - F.col("label")).alias("b")).where(F.col("a") + F.col("b") >= least_df)
+    a, b, p, n = (F.col(c).cast("double") for c in "abpn")
+    chi2 = (p + n) * F.pow(a * (n - b) - b * (p - a), 2) / ((a + b) * (p + n - a - b) * p * n)
+    strong = counts.crossJoin(F.broadcast(size)).where(a * n > b * p).select("t", chi2.alias("chi2")).where(F.col("chi2") >= least_chi2)
+    kept: list[bytes] = []
+    for r in strong.orderBy(F.desc("chi2"), "t").limit(most).collect():
+        stem = bytes(r["t"]).rstrip(b"-")
+        if not any(stem.startswith(k.rstrip(b"-")) or k.startswith(stem) for k in kept):
+            kept.append(bytes(r["t"]))
+    return kept
+
 
-    got = map_arrow(sample, hashed, "label int, terms array<bigint>").toArrow().combine_chunks()
-    y = np.array(got["label"].to_pylist(), np.int64)
-    chosen = choose_terms([frozenset(x.values.tolist()) for x in got["terms"]], y, least_chi2, least_df, most_terms) if len(y) else []
-    wanted = {h: j for j, h in enumerate(chosen)}
+def fit_toxicity(docs: DataFrame, labels: DataFrame, *, label: str = "toxic", folds: int = 5, held_out: int = 0, train_rows: int = 8000, k: int = 15, least_chi2: float = 30.0, least_df: int = 4, most_terms: int = 2000, id_col: str = "doc_id", text_col: str = "text") -> ToxicityModel:
+    sample = stored(labelled_sample(docs, labels, label, folds=folds, held_out=held_out, rows=train_rows, id_col=id_col, text_col=text_col), "toxicity-sample")
 
-    def counted(batches):  # then the chosen terms' words and counts
+    def featured(batches):
         memo: dict[bytes, tuple] = {}
         for batch in slices(batches):
-            rows, others = [], []
+            sets = []
             for x in batch.column("_text").to_pylist():
-                row: dict[bytes, int] = {}
-                words = words_of(x or "")
-                for w in words:
+                found: set[bytes] = set()
+                for w in set(words_of(x or "")):
                     if w not in memo:
-                        if len(memo) > 300_000:
+                        if len(memo) > 200_000:
                             memo.clear()
-                        memo[w] = tuple(t for t in terms_of_word(w) if (xxhash.xxh64_intdigest(t, seed) >> 1) in wanted)
-                    for t in memo[w]:
-                        row[t] = row.get(t, 0) + 1
-                rows.append(row)
-                others.append(sum(not memo[w] for w in words))
-            yield {"id": batch.column(id_col).cast(pa.string()), "label": batch.column("_label"), "terms": [list(r) for r in rows], "counts": [list(r.values()) for r in rows], "others": others}
-
-    got = map_arrow(sample, counted, "id string, label int, terms array<binary>, counts array<int>, others bigint").toArrow().to_pylist()
-    got.sort(key=lambda r: (len(r["id"]), r["id"]))
-    terms = sorted({t for r in got for t in r["terms"]})
+                        memo[w] = terms_of_word(w)
+                    found.update(memo[w])
+                sets.append(list(found))
+            yield {"label": batch.column("_label"), "terms": sets}
+
+    chosen = contrast(map_arrow(sample, featured, "label int, terms array<binary>"), least_chi2, least_df, most_terms)
+    terms = sorted(chosen)
     number = {t: j for j, t in enumerate(terms)}
+
+    def counted(batches):
+        known = Terms(number)
+        for batch in slices(batches):
+            rows = [known.counts(x or "") for x in batch.column("_text").to_pylist()]
+            yield {"id": batch.column(id_col).cast(pa.string()), "label": batch.column("_label"), "terms": [list(r) for r in rows], "counts": [list(r.values()) for r in rows]}
+
+    got = map_arrow(sample, counted, "id string, label int, terms array<int>, counts array<int>").toArrow().to_pylist()
     n_docs, df = _document_frequencies(docs, number, text_col)
-    idf = np.append(np.log((1 + n_docs) / (1 + df)) + 1, 1.0)
-    rows = [{number[t]: c for t, c in zip(r["terms"], r["counts"])} | ({len(terms): r["others"]} if r["others"] else {}) for r in got]
+    index = BlockMaxIndex(len(terms) + 1, [], np.zeros(0, np.int64), np.append(np.log((1 + n_docs) / (1 + df)) + 1, 1.0))
+    vectors = [index.vector(dict(zip(r["terms"], r["counts"]))) for r in got]
+    # Examples that are alike lie together, so that block maxima are tight: by their heaviest chosen term, then by its share.
+    heavy = [max(((w, t) for t, w in zip(v[0].tolist(), v[1].tolist()) if t < len(terms)), default=(0.0, -1)) for v in vectors]
+    order = sorted(range(len(got)), key=lambda j: (heavy[j][1], round(heavy[j][0], 1), len(got[j]["id"]), got[j]["id"]))
+    got, vectors = [got[j] for j in order], [vectors[j] for j in order]
     y = np.array([r["label"] for r in got], np.int64)
-    index = BlockMaxIndex(len(terms) + 1, [r["id"] for r in got], y, idf)
-    vectors = [index.vector(r) for r in rows]
-    index.add(vectors)
+    index.ids, index.label = [r["id"] for r in got], y
+    plain = index.vector({len(terms): 1})
+    index.add([v if len(v[0]) else plain for v in vectors])
     some = [j for j, r in enumerate(got) if r["terms"]]
     none = np.array([not r["terms"] for r in got], bool)
     bare = (y[none].sum() + 0.5) / (none.sum() + 2) if len(y) else 0.5
