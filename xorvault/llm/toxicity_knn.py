@@ -224,28 +224,24 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, *, label: str = "toxic", fo
 
 
 def _document_frequencies(docs: DataFrame, number: dict[bytes, int], text_col: str) -> tuple[int, np.ndarray]:
-    """Rows of docs, and how many have each chosen term; each task sends one row of counts."""
+    """Rows of docs, and how many have each chosen term; each task sends one row of counts, the rows' count last."""
 
     def count(batches):
-        terms, n, df = Terms(number), 0, np.zeros(len(number), np.int64)
+        terms, df = Terms(number), np.zeros(len(number) + 1, np.int64)
         for batch in slices(batches):
             for x in batch.column(0).to_pylist():
-                n += 1
+                df[-1] += 1
                 found = set(map(terms.__getitem__, words_of(x or "")))
                 found.discard(())
                 if found:
                     df[list({t for f in found for t in f})] += 1
-        yield {"n": [n], "df": [df.tolist()]}
-
-    got = map_arrow(docs.select(text_col), count, "n bigint, df array<bigint>")
-    total = got.agg(F.sum("n").alias("n")).first()["n"] or 0
-    if not number:
-        return total, np.zeros(0)
-    by_term = got.select(F.posexplode("df").alias("t", "c")).groupBy("t").agg(F.sum("c").alias("c")).collect()
-    df = np.zeros(len(number))
-    for r in by_term:
-        df[r["t"]] = r["c"]
-    return total, df
+        yield {"df": [df.tolist()]}
+
+    each = map_arrow(docs.select(text_col), count, "df array<bigint>")
+    total = np.zeros(len(number) + 1)
+    for r in each.select(F.posexplode("df").alias("t", "c")).groupBy("t").agg(F.sum("c").alias("c")).collect():
+        total[r["t"]] = r["c"]
+    return int(total[-1]), total[:-1]
 
 
 def score_toxicity(docs: DataFrame, labels: DataFrame, *, threshold: float = 0.5, folds: int = 5, held_out: int = 0, train_rows: int = 8000, k: int = 15, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
