@@ -27,10 +27,10 @@ BLANKS = " \t\n\x0b\x0c\r"
 class Bands:
     """(least bytes, lowest ratio, highest ratio), by ascending length; the last row whose length is reached holds."""
 
-    whole: tuple[tuple[int, float, float], ...] = ((0, 0.0, 9.0), (200, 0.30, 1.0), (400, 0.25, 0.95), (800, 0.22, 0.90), (1600, 0.20, 0.85), (6400, 0.16, 0.80), (25_600, 0.14, 0.80))
+    whole: tuple[tuple[int, float, float], ...] = ((0, 0.0, 9.0), (200, 0.30, 1.0), (400, 0.25, 0.90), (800, 0.22, 0.80), (1600, 0.20, 0.72), (6400, 0.16, 0.70), (25_600, 0.14, 0.70))
     chunk_bytes: int = 4096
     least_chunk: int = 2048
-    chunk: tuple[float, float] = (0.16, 0.85)
+    chunk: tuple[float, float] = (0.16, 0.74)
     most_bad: float = 0.25
     level: int = 3
 

@@ -6,8 +6,8 @@ halves. A term's weight in a piece is BM25's; pieces lie in blocks, and each ter
 sum of these block maxima over a query's terms bounds every piece's score in that block (block-max WAND's pivot test):
 blocks whose bound is below the least threshold of their pieces are never opened. Opened blocks are scored exactly, and
 the items of all pieces at or above a set share of their own self-score are retrieved, without a cap. Verification then
-asks that the item's question and its answer both occur: word n-grams of each must be contained in the text up to a
-given share.
+asks that the item's question and its answer both occur: the question's word n-grams and the answer's words (answers are
+often too short for n-grams) must be contained in the text up to given shares.
 
 A test item's question is its text up to its last sentence, its answer that last sentence; where there is only one
 sentence it is both. The item table is read in shards of at most about `shard_items` items, each shard's index being
@@ -41,7 +41,8 @@ class Match:
     half: int = 32
     block: int = 4
     gram: int = 3
-    least_overlap: float = 0.7
+    question_overlap: float = 0.6
+    answer_overlap: float = 0.7
     shard_items: int = 1000
     shards_per_scan: int = 16
 
@@ -139,24 +140,20 @@ class ItemIndex:
                     best[self.item[k]] = s
         return sorted(best.items())
 
-    def overlap(self, terms: list[int], grams: set[tuple], item: int) -> tuple[float, float]:
-        """Shares of the question's and the answer's word n-grams that the text contains."""
-        out = []
-        for part in self.parts[item]:
-            own = _grams(part, self.match.gram)
-            seen = grams if len(part) >= self.match.gram else _grams(terms, len(part))
-            out.append(len(own & seen) / len(own) if own else 1.0)
-        return out[0], out[1]
-
     def matches(self, terms: list[int]) -> list[dict]:
+        """The retrieved items whose question and answer the text contains."""
         found = self.candidates(np.array(terms, np.int64))
         if not found:
             return []
-        grams = _grams(terms, self.match.gram)
+        grams, single = _grams(terms, self.match.gram), set(terms)
         out = []
         for j, score in found:
-            q, a = self.overlap(terms, grams, j)
-            if q >= self.match.least_overlap and a >= self.match.least_overlap:
+            question, answer = self.parts[j]
+            own = _grams(question, self.match.gram)
+            seen = grams if len(question) >= self.match.gram else _grams(terms, len(question))
+            q = len(own & seen) / len(own)
+            a = sum(t in single for t in answer) / len(answer)
+            if q >= self.match.question_overlap and a >= self.match.answer_overlap:
                 out.append({"item_id": self.ids[j], "score": score, "question_overlap": q, "answer_overlap": a})
         return out
 

@@ -41,7 +41,7 @@ CUT = 0.6
 
 
 def _cardinality(c: str) -> float:
-    return math.log10(10 if c.isdigit() else 26 if c.isalpha() and c.isascii() else 33 if c.isascii() else 100)
+    return math.log10(10 if c.isdigit() or c in "-_." else 26 if c.isalpha() and c.isascii() else 33 if c.isascii() else 100)
 
 
 def segments_at(value: str, low: str, i: int, walks: list[int]) -> list[tuple[int, float, str]]:
