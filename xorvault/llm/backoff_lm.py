@@ -5,7 +5,7 @@ times in the corpus, else `backoff` times the score after the history's shorter
 A document's score is the sum of logarithms over its words, with histories inside the document.
 
 Counts and join are relational: n-grams of all orders (the total is the count of the empty one) are exploded, keyed by
-a 64-bit hash, partitioned by ranges of that hash, summed, and joined back to the documents. What moves is packed: rows
+a 56-bit hash, partitioned by ranges of that hash, summed, and joined back to the documents. What moves is packed: rows
 are gathered in chunks by a hash of document id and text; a chunk sends each of its distinct n-grams once to the n-gram's
 hash partition, as a sorted run of hashes with counts, delta-coded. The partition sums the runs of all chunks and
 returns, run by run, the corpus counts in the run's order. A frequent n-gram is one entry per chunk, so it makes no hot
@@ -30,7 +30,9 @@ from pyspark.sql.pandas.types import to_arrow_schema
 
 from .common import WordHashes, mixed, rolled, words_of
 
-EMPTY = np.uint64(0x1234_5678_9ABC_DEF1)
+#: Bits of an n-gram's hash: of n distinct n-grams about n * n / 2 ** 57 pairs share one.
+BITS = 56
+EMPTY = np.uint64(0x34_5678_9ABC_DEF1)
 
 
 @dataclass(frozen=True)
@@ -38,8 +40,8 @@ class Backoff:
     order: int = 3
     backoff: float = 0.4
     least: int = 2
-    chunk_bytes: int = 3 << 20
-    partitions_per_chunk: int = 2
+    chunk_bytes: int = 2 << 20
+    partitions_per_chunk: int = 1
 
 
 def packed(values: np.ndarray) -> bytes:
@@ -76,7 +78,7 @@ class Chunk:
         self.first = np.repeat(np.cumsum(self.lengths) - self.lengths, self.lengths)  # where each position's document starts
         self.grams = []
         for k in range(1, order + 1):
-            salted = rolled(h, k) + np.uint64(k)
+            salted = mixed(rolled(h, k) + np.uint64(k)) >> np.uint64(64 - BITS)
             at = np.arange(len(salted))
             self.grams.append((salted, at + k - 1 - self.first[at + k - 1] >= k - 1))  # by start; whether it lies in one document
 
@@ -144,7 +146,7 @@ def backoff_scores(docs: DataFrame, *, spec: Backoff = Backoff(), id_col: str =
 
     def send(key, table):
         values, counts = Chunk(table["text"].to_pylist(), spec.order).distinct()
-        bucket = ((values >> np.uint64(32)) * np.uint64(partitions) >> np.uint64(32)).astype(np.int64)
+        bucket = ((values >> np.uint64(BITS - 32)) * np.uint64(partitions) >> np.uint64(32)).astype(np.int64)
         cuts = np.flatnonzero(np.diff(bucket, prepend=-1, append=-1)) if len(bucket) else np.zeros(0, np.int64)
         out: dict[str, list] = {f.name: [] for f in run_schema}
         for a, b in zip(cuts, cuts[1:]):
