@@ -58,7 +58,7 @@ def corpus(seed=3):
     return rows
 
 
-@pytest.mark.parametrize("block", [512, 4])
+@pytest.mark.parametrize("block", [256, 4])
 def test_as_brute_force(spark, block):
     rows = corpus()
     docs = spark.createDataFrame([(i, t, "x", "y") for i, t in rows], "doc_id long, text string, h string, keys string").repartition(5)

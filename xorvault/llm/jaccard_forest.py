@@ -38,7 +38,7 @@ class Forest:
     trees: int = 20
     depth: int = 10
     recall: float = 0.999
-    block: int = 512
+    block: int = 256
 
     def matched_depth(self) -> int:
         """The longest prefix at which a pair at the threshold meets in some tree with the target probability."""
