@@ -138,7 +138,7 @@ def test_licenses(spark):
     assert by[3].labels == "mit" and (by[4].n_base, by[4].first_word, by[4].last_word) == (2, 4, 7)
     assert by[5].n_base == 1 and by[6].base_labels == "cc-by" and by[7].labels == "cc-by,cc-by-nc-4.0"
     assert by[8].labels == "gpl,gpl-3.0" and by[9].labels == "apache,apache-2.0" and by[10].labels == ""
-    assert got[(11, 360)].n_base == 40 and got[(11, 2)].labels == "mit" and by[None].base_labels == "apache"
+    assert got[(11, 320)].n_base == 40 and got[(11, 2)].labels == "mit" and by[None].base_labels == "apache"
 
 
 def test_licenses_as_sql(spark, tmp_path):

@@ -185,3 +185,21 @@ def backoff_scores(docs: DataFrame, *, spec: Backoff = Backoff(), id_col: str =
     counts = runs.groupBy("bucket").applyInArrow(total, back)
     scored = rows.groupBy("chunk").cogroup(counts.groupBy("chunk")).applyInArrow(score, out_kind)
     return scored.select(F.col("id").alias(id_col), "n_words", "log_score", F.when(F.col("n_words") > 0, F.col("log_score") / F.col("n_words")).alias("mean_log_score"))
+
+
+def oracle_sql(spec: Backoff = Backoff()) -> str:
+    """Trigram scores in DuckDB SQL, from words rather than hashes; sums rounded to four places."""
+    if spec.order != 3:
+        raise ValueError("the SQL is for trigrams")
+    d = f"ln(CAST({spec.backoff} AS DOUBLE))"
+    return f"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, list_filter(regexp_split_to_array(coalesce(text, ''), '[\\x20\\x09-\\x0D]+'), lambda x: x <> '') AS w FROM documents),
+i AS (SELECT r, w, unnest(range(1, len(w) + 1)) AS i FROM d),
+p AS (SELECT r, w[i] AS a, CASE WHEN i > 1 THEN w[i - 1] END AS b, CASE WHEN i > 2 THEN w[i - 2] END AS c FROM i),
+n AS (SELECT CAST(count(*) AS DOUBLE) AS n FROM p), c1 AS (SELECT a, CAST(count(*) AS DOUBLE) AS n FROM p GROUP BY 1),
+c2 AS (SELECT b, a, CAST(count(*) AS DOUBLE) AS n FROM p WHERE b IS NOT NULL GROUP BY 1, 2), c3 AS (SELECT c, b, a, CAST(count(*) AS DOUBLE) AS n FROM p WHERE c IS NOT NULL GROUP BY 1, 2, 3),
+s AS (SELECT p.r, CASE WHEN c3.n >= {spec.least} THEN ln(c3.n) - ln(h2.n) ELSE CASE WHEN p.c IS NOT NULL THEN {d} ELSE 0 END
+ + CASE WHEN c2.n >= {spec.least} THEN ln(c2.n) - ln(h1.n) ELSE CASE WHEN p.b IS NOT NULL THEN {d} ELSE 0 END + ln(c1.n) - ln(n.n) END END AS s
+ FROM p JOIN c1 ON c1.a = p.a CROSS JOIN n LEFT JOIN c2 ON c2.a = p.a AND c2.b = p.b LEFT JOIN c3 ON c3.a = p.a AND c3.b = p.b AND c3.c = p.c LEFT JOIN c1 h1 ON h1.a = p.b LEFT JOIN c2 h2 ON h2.a = p.b AND h2.b = p.c),
+t AS (SELECT r, sum(s) AS s FROM s GROUP BY 1)
+SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words, round(coalesce(s, 0), 4) AS log_score, round(s / len(w), 4) AS mean_log_score FROM d LEFT JOIN t USING (r)"""

@@ -48,18 +48,37 @@ class Match:
 
 
 class Words(dict):
-    """Term numbers of a blank-separated word; words without index terms map to ()."""
+    """Term numbers of blank-separated words: a term, -1 for one that no item has, or below that a place in `several`."""
 
     def __init__(self, number: dict[str, int]):
         super().__init__()
         self.number = number
-
-    def __missing__(self, word: bytes) -> tuple[int, ...]:
+        self.several: list[list[int]] = []
+
+    def __missing__(self, word: bytes) -> int:
+        core = word.strip(b".,;:!?()[]\"'")
+        if core.isalnum():  # one run of ASCII letters and digits
+            term = self.number.get(core.decode().lower(), -1)
+        else:
+            found = [self.number.get(x, -1) for x in WORD.findall(word.decode("utf-8", "replace").lower())]
+            if len(found) == 1:
+                term = found[0]
+            else:
+                self.several.append(found)
+                term = -1 - len(self.several)
+        self[word] = term
+        return term
+
+    def terms(self, text: str) -> np.ndarray:
+        """The text's terms in order."""
         if len(self) > 400_000:
             self.clear()
-        get = self.number.get
-        self[word] = found = tuple(get(x, -1) for x in WORD.findall(word.decode("utf-8", "replace").lower()))
-        return found
+            self.several = []
+        words = text.encode("utf-8", "surrogatepass").split()
+        out = np.fromiter(map(self.__getitem__, words), np.int64, len(words))
+        if len(out) and out.min() < -1:
+            out = np.array([t for x in out.tolist() for t in ((x,) if x >= -1 else self.several[-2 - x])], np.int64)
+        return out
 
 
 def _grams(terms, n: int) -> set[tuple]:
@@ -140,11 +159,12 @@ class ItemIndex:
                     best[self.item[k]] = s
         return sorted(best.items())
 
-    def matches(self, terms: list[int]) -> list[dict]:
+    def matches(self, terms: np.ndarray) -> list[dict]:
         """The retrieved items whose question and answer the text contains."""
-        found = self.candidates(np.array(terms, np.int64))
+        found = self.candidates(terms)
         if not found:
             return []
+        terms = terms.tolist()
         grams, single = _grams(terms, self.match.gram), set(terms)
         out = []
         for j, score in found:
@@ -171,13 +191,6 @@ def shards(items: DataFrame, match: Match, id_col: str, text_col: str) -> list[I
     return out
 
 
-def _terms(words: Words, text: str) -> list[int]:
-    out: list[int] = []
-    for found in map(words.__getitem__, text.encode("utf-8", "surrogatepass").split()):
-        out += found
-    return out
-
-
 def find_contamination(docs: DataFrame, items: DataFrame, *, match: Match = Match(), id_col: str = "doc_id", text_col: str = "text", item_id: str = "item_id", item_text: str = "text") -> DataFrame:
     """A row per document row and item that it contains: id, item_id, score (of its best piece) and both overlaps."""
     kind = items.schema[item_id].dataType.simpleString()
@@ -194,7 +207,7 @@ def find_contamination(docs: DataFrame, items: DataFrame, *, match: Match = Matc
                 rows, hits = [], []
                 for j, text in enumerate(batch.column(1).to_pylist()):
                     for index, known in zip(taken, words):
-                        for m in index.matches(_terms(known, text or "")):
+                        for m in index.matches(known.terms(text or "")):
                             rows.append(j)
                             hits.append(m)
                 yield {"_id": batch.column(0).take(pa.array(rows, pa.int64())), **{c: [h[c] for h in hits] for c in ("item_id", "score", "question_overlap", "answer_overlap")}}
@@ -209,6 +222,6 @@ def contaminated_column(items: DataFrame, *, match: Match = Match(), item_id: st
 
     def make():
         each = [(x, Words(x.number)) for x in indexes]
-        return lambda texts: [{"n_items": sum(len(x.matches(_terms(w, t))) for x, w in each)} for t in texts]
+        return lambda texts: [{"n_items": sum(len(x.matches(w.terms(t))) for x, w in each)} for t in texts]
 
     return text_function(make, "n_items bigint")

@@ -268,3 +268,22 @@ def ngram_jaccard_join(docs: DataFrame, *, forest: Forest = Forest(), id_col: st
     out = rows.select("id", "h").join(about, "h", "left")
     zero = lambda c, v: F.coalesce(F.col(c), F.lit(v)).cast("bigint").alias(c)
     return out.select(F.col("id").alias(id_col), F.coalesce("class_id", "id").alias("class_id"), zero("n_links", 0), F.coalesce("copies", F.lit(1)).cast("bigint").alias("n_copies"))
+
+
+def oracle_sql(forest: Forest = Forest()) -> str:
+    """The same result in DuckDB SQL by an exact join on shingles: for small tables, as it makes all pairs that share one."""
+    k = forest.shingle
+    return f"""
+WITH RECURSIVE d AS (SELECT row_number() OVER () AS r, doc_id, list_filter(regexp_split_to_array(coalesce(text, ''), '[\\x20\\x09-\\x0D]+'), lambda x: x <> '') AS w FROM documents),
+k AS (SELECT r, doc_id, w, array_to_string(w, ' ') AS k FROM d),
+t AS (SELECT k, any_value(w) AS w, count(*) AS copies, min(doc_id) AS rep FROM k WHERE len(w) > 0 GROUP BY 1), n AS (SELECT *, row_number() OVER (ORDER BY k) AS x FROM t),
+s AS (SELECT x, unnest(list_distinct(CASE WHEN len(w) < {k} THEN [k] ELSE list_transform(range(1, len(w) - {k - 2}), lambda i: array_to_string(w[i : i + {k - 1}], ' ')) END)) AS s FROM n),
+z AS (SELECT x, count(*) AS z FROM s GROUP BY 1),
+b AS (SELECT p.x AS a, q.x AS b, count(*) AS m FROM s p JOIN s q ON p.s = q.s AND p.x < q.x GROUP BY 1, 2),
+e AS (SELECT a, b FROM b JOIN z za ON za.x = a JOIN z zb ON zb.x = b WHERE m >= {forest.threshold} * (za.z + zb.z - m) - 1e-9),
+u AS (SELECT a, b FROM e UNION ALL SELECT b, a FROM e),
+g(x, root) AS (SELECT x, x FROM n UNION SELECT u.b, g.root FROM g JOIN u ON u.a = g.x),
+c AS (SELECT x, min(root) AS root FROM g GROUP BY 1), m AS (SELECT root, min(rep) AS class_id FROM c JOIN n USING (x) GROUP BY 1),
+l AS (SELECT a AS x, count(*) AS links FROM u GROUP BY 1)
+SELECT doc_id, CAST(coalesce(class_id, doc_id) AS BIGINT) AS class_id, CAST(coalesce(links, 0) AS BIGINT) AS n_links, CAST(coalesce(copies, 1) AS BIGINT) AS n_copies
+FROM k LEFT JOIN n USING (k) LEFT JOIN c USING (x) LEFT JOIN m USING (root) LEFT JOIN l USING (x)"""

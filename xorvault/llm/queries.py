@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from . import backoff_lm, compression_rules, decontaminate, jaccard_forest, license_diagonals, pair_index_bpe, quality_svm, secret_guess, token_counts, toxicity_knn
 from .common import table
@@ -21,7 +22,9 @@ def op3_knn_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_stupid_backoff(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return backoff_lm.backoff_scores(table(spark, sf_dir, "documents"))
+    """Scores rounded to four places, as sums in another order differ beyond."""
+    scored = backoff_lm.backoff_scores(table(spark, sf_dir, "documents"))
+    return scored.withColumns({c: F.round(c, 4) for c in ("log_score", "mean_log_score")})
 
 
 def op5_jaccard_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -55,4 +58,4 @@ QUERIES = {
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op8_license_diagonals": license_diagonals.oracle_sql()}
+    return {"op4_stupid_backoff": backoff_lm.oracle_sql(), "op5_jaccard_forest": jaccard_forest.oracle_sql(), "op8_license_diagonals": license_diagonals.oracle_sql()}
