@@ -109,7 +109,20 @@ def popcount_bytes(b: pa.Array) -> pa.Array:
     return pa.array([None if x is None else int(np.bitwise_count(np.frombuffer(x, np.uint8)).sum()) for x in b.to_pylist()], pa.int64())
 
 
+@F.udtf(returnType="chunk_no int, begin bigint, n_bytes bigint, unit_hash string")
+class CdcChunks:
+    """SQL table function over one file's bytes: its content-defined chunks at small sizes."""
+
+    def eval(self, content: bytes):
+        from xorvault.operators.chunking import SMALL, chunks_of
+
+        for c in chunks_of(bytes(content or b""), SMALL):
+            yield c["chunk_no"], c["begin"], c["n_bytes"], c["unit_hash"]
+
+
 def register(spark: SparkSession) -> None:
-    """SQL names of the functions above."""
+    """SQL names of the functions above, and of those that are plain expressions."""
     for name, f in {"float_bits": float_bits, "double_bits": double_bits, "bf16_bits": bf16_bits, "xor_bytes": xor_bytes, "popcount_bytes": popcount_bytes}.items():
         spark.udf.register(name, f)
+    spark.udtf.register("cdc_chunks", CdcChunks)
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION reduction(original BIGINT, stored BIGINT) RETURNS DOUBLE RETURN round(1 - stored / original, 6)")

@@ -12,10 +12,12 @@ def align(tuned: DataFrame, base: DataFrame, *, by: str = "order") -> DataFrame:
     """Tuned tensors with the base tensor each is delta-coded against; base columns are null where there is none.
 
     `tuned` has a column base_repo; the key is the serialization order, the name, or the name without usual prefixes.
-    Tensors of another dtype or shape never pair.
+    Tensors of another dtype or shape never pair. Both sides may come without payloads: the pairing is metadata, and
+    base_path and base_ordinal tell where the base tensor's bytes are.
     """
     key = {"order": F.col("ordinal").cast("string"), "name": F.col("name"), "normalized_name": F.regexp_replace("name", PREFIX, "")}[by]
-    b = base.select(F.col("repo_id").alias("base_repo"), key.alias("k"), "dtype", "shape", F.col("tensor_hash").alias("base_hash"), F.col("payload").alias("payload_b"))
+    bytes_ = [F.col("payload").alias("payload_b")] if "payload" in base.columns else []
+    b = base.select(F.col("repo_id").alias("base_repo"), key.alias("k"), "dtype", "shape", F.col("tensor_hash").alias("base_hash"), F.col("path").alias("base_path"), F.col("ordinal").alias("base_ordinal"), *bytes_)
     return tuned.withColumn("k", key).join(b, ["base_repo", "k", "dtype", "shape"], "left").drop("k")
 
 

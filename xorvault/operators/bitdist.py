@@ -51,14 +51,15 @@ def bit_distance_sql(elements: DataFrame, pairs: DataFrame, *, width: int = 16,
 
 
 def bit_distance_sampled(pairs: DataFrame, *, rate: float, delta: float = 0.05, tau: float = 4.0, by: tuple[str, ...] = ("a", "b"), block: tuple[str, ...] = ("ordinal",), width: int = 16, seed: int = 11) -> DataFrame:
-    """(by..., n, bits, distance, half_width, decided) from a hash sample of blocks.
+    """(by..., blocks, n, bits, distance, half_width, decided) from a hash sample of blocks; blocks left out are not read.
 
-    half_width is Hoeffding's bound at confidence 1 - delta for values in [0, width]; decided tells whether tau lies
-    outside the interval, so that only undecided pairs need a full pass.
+    A block is the unit of the sample, since the floats of one tensor change together or not at all: half_width is
+    Hoeffding's bound at confidence 1 - delta over block means in [0, width], for blocks of about one size. `decided` tells whether
+    tau lies outside the interval, so that only undecided pairs need a full pass.
     """
     kept = pairs.where(F.pmod(F.xxhash64(F.lit(seed), *by, *block), F.lit(10_000)) < int(rate * 10_000))
-    d = bit_distance(kept, by=by)
-    half = width * F.sqrt(F.log(F.lit(2 / delta)) / (2 * F.col("n")))
+    d = block_bits(kept, list(by)).where("n > 0").groupBy(*by).agg(F.count("*").alias("blocks"), F.sum("n").alias("n"), F.sum("bits").alias("bits")).withColumn("distance", F.round(F.col("bits") / F.col("n"), 6))
+    half = width * F.sqrt(F.log(F.lit(2 / delta)) / (2 * F.col("blocks")))
     return d.withColumn("half_width", half).withColumn("decided", F.abs(F.col("distance") - tau) > half)
 
 

@@ -296,6 +296,21 @@ def standalone_encode(tensors: DataFrame, keep: list[str], *, codecs: tuple[str,
     return on_rows(tensors, keep, ["payload", "dtype"], make, "coded binary, n_raw bigint, n_stored bigint, codec string")
 
 
+def whole_files(tensors: DataFrame) -> DataFrame:
+    """(repo_id, dtype, payload) of each file's tensors of one dtype, one behind the other: what a coder with file scope sees.
+
+    A file must fit a row, which is why the pipeline codes by tensor or block; this serves the file-scope baselines.
+    """
+
+    def join(key, table):
+        import pyarrow as pa
+
+        table = table.sort_by("ordinal")
+        return pa.table({"repo_id": pa.array([key[0].as_py()], pa.string()), "dtype": pa.array([key[1].as_py()], pa.string()), "payload": pa.array([b"".join(table["payload"].to_pylist())], pa.binary())})
+
+    return tensors.select("repo_id", "dtype", "ordinal", "payload").groupBy("repo_id", "dtype").applyInArrow(join, "repo_id string, dtype string, payload binary")
+
+
 def sparsity(pairs: DataFrame, keep: list[str]) -> DataFrame:
     """Words, zero words, zero bytes and one-bits of the XOR of aligned pairs, summed by keep."""
 

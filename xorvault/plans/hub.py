@@ -71,38 +71,43 @@ def route(files: DataFrame) -> DataFrame:
     return files.withColumn("route", kind)
 
 
-def assign_bases(tensors: DataFrame, repos: DataFrame, config: Config) -> DataFrame:
-    """(repo_id, base, source): from the card where it names an existing base, else by the least bit distance."""
+def assign_bases(tensors: DataFrame, live: DataFrame, repos: DataFrame, config: Config) -> DataFrame:
+    """(repo_id, base, source): from the card where it names an existing base, else by the least bit distance.
+
+    `live` has the models that are stored, not linked; payloads are read of candidate pairs alone.
+    """
     told = family.from_metadata(repos)
     exact = told.where("status = 'exact'").select("repo_id", "base", F.lit("card").alias("source"))
-    signatures = graph.signature(tensors).join(told.select("repo_id", "family"), "repo_id")
+    signatures = graph.signature(tensors.drop("payload")).join(told.select("repo_id", "family"), "repo_id")
     roots = exact.select(F.col("base").alias("repo_id")).distinct()
-    open_models = signatures.join(exact, "repo_id", "left_anti").join(roots, "repo_id", "left_anti")
+    open_models = signatures.join(live, "repo_id", "left_semi").join(exact, "repo_id", "left_anti").join(roots, "repo_id", "left_anti")
     found = family.nearest_base(family.match_distances(family.candidate_bases(open_models, signatures.join(roots, "repo_id"), k=config.candidates), tensors), tau=config.tau)
     return exact.unionAll(found.where("base IS NOT NULL").select(F.col("model").alias("repo_id"), "base", F.lit("distance").alias("source")))
 
 
 def reduce_hub(tensors: DataFrame, repos: DataFrame, *, config: Config = Config()) -> HubStore:
     """The whole pipeline over tensors (with payload) and repos (card, config, seq)."""
-    order = repos.select("repo_id", "seq")
+    order, meta = repos.select("repo_id", "seq"), tensors.drop("payload")
     # 1. Files that are copies become links.
-    files = dedup.files_of(tensors).join(order, "repo_id").withColumnRenamed("unit_hash", "file_hash")
+    files = dedup.files_of(meta).join(order, "repo_id").withColumnRenamed("unit_hash", "file_hash")
     marked = dedup.dedup_files(files, order_by=("seq", "repo_id", "path"))
     unique, copies = dedup.split_unique(marked)
     links = copies.select("repo_id", "path", "n_bytes", F.col("canonical.repo_id").alias("of_repo"), F.col("canonical.path").alias("of_path"))
-    live = tensors.join(unique.select("repo_id", "path", "seq"), ["repo_id", "path"])
     # 2. One of each tensor is pooled: the first in upload order.
-    kept = live.drop("payload").withColumn("pool_key", dedup.tensor_identity())
+    kept = meta.join(unique.select("repo_id", "path", "seq"), ["repo_id", "path"]).withColumn("pool_key", dedup.tensor_identity())
     first = kept.groupBy("pool_key").agg(F.min(F.struct("seq", "repo_id", "path", "ordinal")).alias("f"), F.count("*").alias("refcount"))
-    # 3. Bases.
-    lineage = assign_bases(live, repos, config)
-    # 4. What is pooled is coded: against its base's tensor if there is one, else on its own.
+    pooled = kept.join(first, "pool_key").where("f.repo_id = repo_id AND f.path = path AND f.ordinal = ordinal")
+    # 3. Bases; only candidate pairs' payloads are read.
+    lineage = assign_bases(tensors, unique.select("repo_id").distinct(), repos, config)
+    # 4. What is pooled is paired with its base's tensor, and then, for the first time, bytes are fetched.
     base_of = lineage.select("repo_id", F.col("base").alias("base_repo"))
-    pooled = live.withColumn("pool_key", dedup.tensor_identity()).join(first, "pool_key").where("f.repo_id = repo_id AND f.path = path AND f.ordinal = ordinal")
-    bases = tensors.join(base_of.select(F.col("base_repo").alias("repo_id")).distinct(), "repo_id", "left_semi")
+    bases = meta.join(base_of.select(F.col("base_repo").alias("repo_id")).distinct(), "repo_id", "left_semi")
     own_bases = bases.select("repo_id").distinct().withColumn("is_base", F.lit(True))
     deltas = pooled.join(own_bases, "repo_id", "left").join(base_of, "repo_id", "left").withColumn("base_repo", F.when(F.col("is_base").isNull(), F.col("base_repo")))
-    aligned = align.align(deltas, bases, by=config.alignment)
+    paired = align.align(deltas, bases, by=config.alignment)
+    own = tensors.select("repo_id", "path", "ordinal", "payload")
+    base_bytes = tensors.select(F.col("repo_id").alias("base_repo"), F.col("path").alias("base_path"), F.col("ordinal").alias("base_ordinal"), F.col("payload").alias("payload_b"))
+    aligned = paired.join(own, ["repo_id", "path", "ordinal"]).join(base_bytes, ["base_repo", "base_path", "base_ordinal"], "left")
 
     def make(payload, base, dtype):
         options = {"transform": config.transform, "codec": config.codec, "level": config.level, "plane_split": config.plane_split}

@@ -68,6 +68,13 @@ def with_filler(tensors: list[dict], size: int) -> list[dict]:
     return out
 
 
+def written(key, table):
+    """A group of tensor rows (repo_id, path, ordinal, name, dtype, shape, payload) as one archive, for applyInArrow."""
+    rows = sorted(table.to_pylist(), key=lambda r: r["ordinal"])
+    data = write_archive([(r["name"], r["dtype"], r["shape"], r["payload"]) for r in rows])
+    return pa.table({"repo_id": pa.array([key[0].as_py()], pa.string()), "path": pa.array([key[1].as_py()], pa.string()), "content": pa.array([data], pa.binary())})
+
+
 def write_quantized(tensors: list[tuple[str, list[int], bytes]], metadata: dict) -> bytes:
     """A container with key-value metadata and a typed table of quantized tensors."""
     meta = json.dumps(metadata, sort_keys=True).encode()
@@ -129,6 +136,22 @@ def extract_tensors(files: DataFrame, *, content: str = "content") -> DataFrame:
     return files.select("repo_id", "path", F.col(content).alias("content")).mapInArrow(run, "repo_id string, path string, " + kind)
 
 
+def read_files(spark: SparkSession, folder: str, *, glob: str = "*") -> DataFrame:
+    """(repo_id, path, n_bytes, modified, content) of the files under folder/<repo>/..., from any store Spark can list.
+
+    Columns are read lazily: a query that does not use content lists files only.
+    """
+    files = spark.read.format("binaryFile").option("recursiveFileLookup", "true").option("pathGlobFilter", glob).load(folder)
+    rel = F.regexp_extract("path", r"([^/]+/[^/]+)$", 1)
+    return files.select(F.split(rel, "/")[0].alias("repo_id"), F.split(rel, "/")[1].alias("path"), F.col("length").alias("n_bytes"), F.col("modificationTime").alias("modified"), "content")
+
+
+def read_cards(spark: SparkSession, folder: str) -> DataFrame:
+    """(repo_id, card, config) from README.md and config.json of folder/<repo>."""
+    text = lambda glob, name: read_files(spark, folder, glob=glob).select("repo_id", F.decode("content", "UTF-8").alias(name))
+    return text("README.md", "card").join(text("config.json", "config"), "repo_id", "full_outer")
+
+
 # --- Data source --------------------------------------------------------------------------------------------------
 
 

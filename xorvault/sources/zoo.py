@@ -13,7 +13,7 @@ import uuid
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: variant -> (order of upload, sigma, what it exercises)
@@ -98,12 +98,11 @@ def _folder(spark: SparkSession, sf_dir: str) -> str:
     return _made[key]
 
 
-def tensor_name(ordinal: int, count: int) -> str:
-    if ordinal == 0:
-        return "embed_tokens.weight"
-    if ordinal == count - 1:
-        return "lm_head.weight"
-    return f"layers.{(ordinal - 1) // 2}.{'attn' if ordinal % 2 else 'mlp'}.weight"
+def tensor_name() -> Column:
+    """A tensor's name from its ordinal and its model's count n: embedding first, head last, pairs of layers between."""
+    o = F.col("ordinal")
+    layer = F.concat(F.lit("layers."), F.floor((o - 1) / 2).cast("string"), F.when(o % 2 == 1, ".attn.weight").otherwise(".mlp.weight"))
+    return F.when(o == 0, "embed_tokens.weight").when(o == F.col("n") - 1, "lm_head.weight").otherwise(layer)
 
 
 def _write(spark: SparkSession, sf_dir: str, path: str) -> None:
@@ -143,8 +142,7 @@ def _write(spark: SparkSession, sf_dir: str, path: str) -> None:
     base = packed.where("variant = 'v0'")
     every = packed.unionByName(base.mapInArrow(derived, base.schema))
     count = base.groupBy("family").agg(F.count("*").alias("n"))
-    name = F.udf(lambda o, n: tensor_name(o, n), "string")
-    named = every.join(F.broadcast(count), "family").withColumn("name", F.when(F.col("variant") == "v11", F.element_at(F.array(F.lit("lora_A.weight"), F.lit("lora_B.weight")), F.col("ordinal") + 1)).otherwise(name("ordinal", "n")))
+    named = every.join(F.broadcast(count), "family").withColumn("name", F.when(F.col("variant") == "v11", F.element_at(F.array(F.lit("lora_A.weight"), F.lit("lora_B.weight")), F.col("ordinal") + 1)).otherwise(tensor_name()))
     named = named.withColumn("name", F.when(F.col("variant") == "v6", F.concat(F.lit("model."), "name")).otherwise(F.col("name")))
     order = F.when(F.col("variant") == "v6", F.expr("row_number() OVER (PARTITION BY family, variant ORDER BY name) - 1")).otherwise(F.col("ordinal"))
     placed = named.withColumn("ordinal", order.cast("int")).withColumn("n_bytes", F.length("payload").cast("long"))

@@ -301,3 +301,40 @@ def dataset_summary(spark, sf_dir):
     t = float_tensors(spark, sf_dir)
     files = dedup.with_canonical(dedup.files_of(t), ["unit_hash"], ("repo_id", "path")).join(t.select("repo_id", "family").distinct(), "repo_id")
     return files.groupBy(F.col("family")).agg(F.count("*").alias("models"), F.sum("n_bytes").alias("bytes"), F.sum(F.when(F.col("is_dup"), 0).otherwise(F.col("n_bytes"))).alias("bytes_after_file_dedup"))
+
+
+@query("udtf_cdc", "SELECT sum(strlen(text))::BIGINT AS n_bytes, TRUE AS same FROM documents")
+def udtf_cdc(spark, sf_dir):
+    """The SQL table function for chunks covers every byte and agrees with the DataFrame operator."""
+    from xorvault.functions import words
+
+    words.register(spark)
+    table(spark, sf_dir, "documents").createOrReplaceTempView("documents")
+    by_sql = spark.sql("SELECT doc_id, c.unit_hash, c.n_bytes FROM documents, LATERAL cdc_chunks(CAST(text AS BINARY)) c")
+    d = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("file_id"), F.col("text").cast("binary").alias("content"))
+    by_map = chunking.chunk(d, ["file_id"], sizes=chunking.SMALL)
+    sign = lambda df, k: df.agg(F.sum("n_bytes").alias(f"n{k}"), F.bit_xor(F.xxhash64("unit_hash")).alias(f"x{k}"), F.count("*").alias(f"c{k}"))
+    return sign(by_sql, 1).crossJoin(sign(by_map, 2)).select(F.col("n1").alias("n_bytes"), ((F.col("x1") == F.col("x2")) & (F.col("c1") == F.col("c2"))).alias("same"))
+
+
+@query("fn_sql_reduction", "SELECT source, round(1 - CAST(sum(n) FILTER (r = 1) AS DOUBLE) / CAST(sum(n) AS DOUBLE), 6) AS drr FROM (SELECT source, strlen(text) AS n, row_number() OVER (PARTITION BY source, sha256(text) ORDER BY doc_id) AS r FROM documents) GROUP BY 1")
+def fn_sql_reduction(spark, sf_dir):
+    """Reduction inside each repository, with the SQL function."""
+    from xorvault.functions import words
+
+    words.register(spark)
+    d = table(spark, sf_dir, "documents").select("source", F.sha2("text", 256).alias("h"), F.octet_length("text").cast("bigint").alias("n"))
+    g = d.groupBy("source", "h").agg(F.sum("n").alias("every"), F.first("n").alias("one")).groupBy("source").agg(F.sum("every").alias("o"), F.sum("one").alias("s"))
+    return g.select("source", F.expr("reduction(o, s)").alias("drr"))
+
+
+@query("block_hash_classes", lambda: f"WITH {Z.tensors()} SELECT count(*) AS tensors, count(DISTINCT tensor_hash) AS classes FROM tn")
+def block_hash_classes(spark, sf_dir):
+    """Tensor identity over blocks of 512 bytes makes the same classes as over whole tensors."""
+    from xorvault.operators import blocks
+
+    t = float_tensors(spark, sf_dir).withColumn("tensor", F.col("ordinal"))
+    b = blocks.as_blocks(t.withColumn("path", F.concat_ws("/", "path", F.col("ordinal").cast("string"))), block_bytes=512)
+    rows = b.select("repo_id", "path", F.col("ordinal").alias("block_no"), F.col("tensor_hash").alias("block_hash"), "n_bytes")
+    h = blocks.tensor_hashes(rows, keys=("repo_id", "path"), block_bytes=512)
+    return h.agg(F.count("*").alias("tensors"), F.count_distinct("tensor_hash").alias("classes"))

@@ -99,7 +99,7 @@ def codec_roundtrip(spark, sf_dir):
 def codec_drr(spark, sf_dir):
     """Per-model reduction by zstd, component grouping and XOR delta."""
     p = coded_pairs(spark, sf_dir, ("v2", "v3", "v4", "v7", "v13"))
-    alone = p.select("model", "dtype", F.col("payload_a").alias("payload"))
+    alone = codecs.whole_files(p.select(F.col("model").alias("repo_id"), "dtype", "ordinal", F.col("payload_a").alias("payload"))).withColumnRenamed("repo_id", "model")
     made = [codecs.standalone_encode(alone, ["model"], codecs=(c,)).select("model", F.lit(c).alias("method"), "n_raw", "n_stored") for c in ("zstd", "grouping_huffman")]
     made.append(codecs.xor_encode(p, ["model"]).select("model", F.lit("xor_delta").alias("method"), "n_raw", "n_stored"))
     every = made[0].unionAll(made[1]).unionAll(made[2])
@@ -203,20 +203,24 @@ def _order_rows(spark, sf_dir) -> DataFrame:
 
 @query("order_ablation")
 def order_ablation(spark, sf_dir):
-    """Dedup-then-compress against compress-then-chunk-dedup with three coders, dedup alone and compression alone."""
+    """Dedup-then-compress against compress-then-chunk-dedup with three coders, dedup alone and compression alone.
+
+    zstd and component grouping code whole files, as they are used; XOR deltas and the engine work by tensor.
+    """
     t, _ = plain_repos(spark, sf_dir)
     total = t.agg(F.sum("n_bytes").alias("n_raw"))
     rows = _order_rows(spark, sf_dir)
     stored = lambda df, name: df.select(F.lit(name).alias("method"), F.col("s").cast("bigint").alias("n_stored"))
     made = [stored(built(spark, sf_dir).pool.agg(F.sum("n_stored").alias("s")), "engine")]
+    whole = codecs.whole_files(rows).withColumn("payload_b", F.lit(None).cast("binary"))
     for c in ("xor", "grouping", "zstd"):
-        unique = chunking.compressed_chunks(rows, ["repo_id"], codec=c).where("unit_hash IS NOT NULL").groupBy("unit_hash").agg(F.first("n_bytes").alias("n"))
+        unique = chunking.compressed_chunks(rows if c == "xor" else whole, ["repo_id"], codec=c).where("unit_hash IS NOT NULL").groupBy("unit_hash").agg(F.first("n_bytes").alias("n"))
         made.append(stored(unique.agg(F.sum("n").alias("s")), f"{c} then chunks"))
     files = zoo_files(spark, sf_dir).join(t.select("repo_id").distinct(), "repo_id")
     made.append(stored(chunking.chunk(files, ["repo_id"], sizes=chunking.SMALL).groupBy("unit_hash").agg(F.first("n_bytes").alias("n")).agg(F.sum("n").alias("s")), "chunks"))
     made.append(stored(dedup.dedup_tensors(t).pool.agg(F.sum("n_bytes").alias("s")), "tensors"))
     made.append(stored(dedup.files_of(t).groupBy("unit_hash").agg(F.first("n_bytes").alias("n")).agg(F.sum("n").alias("s")), "files"))
-    alone = rows.select("repo_id", "payload", "dtype")
+    alone = whole.select("repo_id", "payload", "dtype")
     made.append(stored(codecs.standalone_encode(alone, ["repo_id"], codecs=("grouping_huffman",)).agg(F.sum("n_stored").alias("s")), "grouping with files"))
     made.append(stored(codecs.standalone_encode(alone, ["repo_id"], codecs=("zstd",)).agg(F.sum("n_stored").alias("s")), "zstd with files"))
     every = made[0]
@@ -390,3 +394,66 @@ def join_full_header_diff(spark, sf_dir):
     y = t.where("variant = 'v5'").select("family", "name", F.col("tensor_hash").alias("hy"), F.col("n_bytes").alias("ny"))
     state = F.when(F.col("hx") == F.col("hy"), "same").when(F.col("nx") == F.col("ny"), "changed").otherwise("reshaped")
     return x.join(y, ["family", "name"], "full_outer").select("family", "name", state.alias("state"))
+
+
+@query("archive_extract", lambda: f"WITH {Z.tensors(('v0', 'v2', 'v9'))} SELECT repo_id, CAST(ordinal AS INTEGER) AS ordinal, name, dtype, CAST(sum(n_bytes) OVER (PARTITION BY repo_id ORDER BY ordinal) - n_bytes AS BIGINT) AS \"offset\", n_elems, n_bytes, tensor_hash FROM tn")
+def archive_extract(spark, sf_dir):
+    """Models written as archives, and their tensors found again from the headers."""
+    from xorvault.sources import archive
+
+    t = zoo.tensors(spark, sf_dir).where("variant IN ('v0', 'v2', 'v9')")
+    files = t.select("repo_id", "path", "ordinal", "name", "dtype", "shape", "payload").groupBy("repo_id", "path").applyInArrow(archive.written, "repo_id string, path string, content binary")
+    return archive.extract_tensors(files).select("repo_id", "ordinal", "name", "dtype", "offset", "n_elems", "n_bytes", "tensor_hash")
+
+
+@query("route_formats", "SELECT CASE WHEN p_type IN (SELECT min(p_type) FROM part) THEN 'tensors' ELSE 'opaque' END AS route, count(*) AS files FROM part GROUP BY 1")
+def route_formats(spark, sf_dir):
+    """Files by route: parsed archives against opaque legacy formats, whose extension decides."""
+    p = table(spark, sf_dir, "part").select("p_partkey", "p_type")
+    first = p.agg(F.min("p_type").alias("first"))
+    files = p.crossJoin(F.broadcast(first)).select(F.concat(F.lit("model-"), F.col("p_partkey").cast("string"), F.when(F.col("p_type") == F.col("first"), ".safetensors").otherwise(".bin")).alias("path"))
+    return hub.route(files).groupBy("route").agg(F.count("*").alias("files"))
+
+
+@query("drr_curves_coded")
+def drr_curves_coded(spark, sf_dir):
+    """Reduction against the number of uploads for the coders: zstd and grouping by file, XOR by tensor, each with chunks behind it."""
+    rows = _order_rows(spark, sf_dir)
+    seq = zoo.repos(spark, sf_dir).select("repo_id", F.col("seq").cast("bigint").alias("seq"))
+    raw = plain_repos(spark, sf_dir)[0].groupBy("repo_id").agg(F.sum("n_bytes").alias("raw")).join(seq, "repo_id")
+    whole = codecs.whole_files(rows).withColumn("payload_b", F.lit(None).cast("binary"))
+    made = None
+    for c in ("zstd", "grouping", "xor"):
+        chunks = chunking.compressed_chunks(rows if c == "xor" else whole, ["repo_id"], codec=c).where("unit_hash IS NOT NULL").join(seq, "repo_id")
+        marked = dedup.with_canonical(chunks, ["unit_hash"], ("seq", "chunk_no", "begin"))
+        stored = marked.groupBy("repo_id").agg(F.sum(F.when(F.col("is_dup"), 0).otherwise(F.col("n_bytes"))).alias("stored"))
+        one = dedup.prefix_curve(raw.join(stored, "repo_id", "left").select("seq", "raw", F.coalesce("stored", F.lit(0)).alias("stored"))).withColumn("method", F.lit(f"{c} then chunks"))
+        made = one if made is None else made.unionAll(one)
+    return made
+
+
+@query("throughput_kernels")
+def throughput_kernels(spark, sf_dir):
+    """MB/s of one task's kernels on this input: hashing, XOR coding and decoding, grouping, chunking (one figure per partition)."""
+    import time
+
+    def timed(batches):
+        import hashlib
+
+        import pyarrow as pa
+
+        spent = {k: 0.0 for k in ("hash", "xor", "xor_decode", "grouping", "chunk")}
+        n = 0
+        for batch in batches:
+            for r in batch.to_pylist():
+                a, b, t = r["payload_a"], r["payload_b"], r["dtype"]
+                n += len(a)
+                kept = {}
+                for k, f in {"hash": lambda: hashlib.sha256(a).digest(), "xor": lambda: codecs.delta_encode(a, b, t), "xor_decode": lambda: codecs.decode(kept["xor"], t, b), "grouping": lambda: codecs.grouping_encode(a, t), "chunk": lambda: chunking.cut_points(a, chunking.SMALL)}.items():
+                    began = time.perf_counter()
+                    kept[k] = f()
+                    spent[k] += time.perf_counter() - began
+        if n:
+            yield pa.RecordBatch.from_pylist([{"kernel": k, "n_bytes": n, "mb_s": n / 1e6 / s} for k, s in spent.items() if s])
+
+    return coded_pairs(spark, sf_dir).select("payload_a", "payload_b", "dtype").mapInArrow(timed, "kernel string, n_bytes bigint, mb_s double")
