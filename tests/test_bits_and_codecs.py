@@ -94,6 +94,14 @@ def test_huffman(data):
     assert sum(2.0 ** -int(n) for n in lengths if n) <= 1
 
 
+@pytest.mark.parametrize("n", [16 * 1024 - 1, 16 * 1024, 16 * 1024 + 1, 50_000])
+def test_huffman_in_lanes(n):
+    rng = np.random.default_rng(n)
+    for x in (rng.geometric(0.3, n).clip(0, 255), rng.integers(0, 256, n), np.zeros(n, int)):
+        x = x.astype(np.uint8)
+        assert (K.huffman_decode(K.huffman_encode(x)) == x).all()
+
+
 def test_long_codes_are_limited():
     fib = [1, 1]
     while len(fib) < 40:

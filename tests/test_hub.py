@@ -63,6 +63,31 @@ def test_bytes_are_fetched_late(spark, sf_dir):
         assert not any("payload" in line for line in explained(part).split("\n") if line.startswith("ReadSchema"))
 
 
+def test_later_uploads(spark, sf_dir, tmp_path):
+    """Two batches of uploads pool the same tensors as one, and everything restores."""
+    t = zoo.tensors(spark, sf_dir).where("family = 3 AND variant NOT IN ('v10', 'v11')")
+    r = zoo.repos(spark, sf_dir).join(t.select("repo_id").distinct(), "repo_id", "left_semi")
+    early, late = t.where("variant IN ('v0', 'v2')"), t.where("variant NOT IN ('v0', 'v2')")
+    first = hub.reduce_hub(early, r.join(early.select("repo_id").distinct(), "repo_id", "left_semi")).written(str(tmp_path / "a"))
+    both = hub.compact(hub.reduce_hub(late, r, after=first, bases=early), str(tmp_path / "b"))
+    once = hub.reduce_hub(t, r)
+    assert sorted(rows(both.pool.select("pool_key"))) == sorted(rows(once.pool.select("pool_key")))
+    got = hub.verify(hub.restore(both), t).collect()
+    assert len(got) == r.count() and all(x.ok for x in got)
+    assert {x.repo_id for x in both.links.collect()} == {"m3_v1"}
+
+
+def test_base_uploaded_last(spark, sf_dir):
+    """Tuned models may come before their base: what they share with it is never a delta against itself."""
+    t = zoo.tensors(spark, sf_dir).where("family = 4 AND variant IN ('v0', 'v2', 'v12', 'v12c')")
+    r = zoo.repos(spark, sf_dir).join(t.select("repo_id").distinct(), "repo_id", "left_semi").withColumn("seq", -F.col("seq"))
+    store = hub.reduce_hub(t, r)
+    assert all(x.ok for x in hub.verify(hub.restore(store), t).collect())
+    assert store.pool.where("base_hash = tensor_hash").count() == 0 and hub.chain(store.pool).agg(F.max("depth")).first()[0] == 1
+    with_late_base = hub.reduce_hub(t.where("variant = 'v0'"), r, after=hub.reduce_hub(t.where("variant <> 'v0'"), r.where("variant <> 'v0'")))
+    assert all(x.ok for x in hub.verify(hub.restore(with_late_base), t).collect())
+
+
 def test_levels_nest(spark, sf_dir):
     d = {r.level: r.drr for r in QUERIES["dedup_levels_zoo"](spark, sf_dir).collect()}
     assert d["file"] <= d["layer"] <= d["tensor"]

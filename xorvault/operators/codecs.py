@@ -46,7 +46,10 @@ def codec_of(data: bytes) -> str:
 
 # --- Huffman over bytes -------------------------------------------------------------------------------------------
 
-LONGEST = 24
+LONGEST = 16
+#: Symbols per lane: long streams are decoded in lanes whose first bits are stored, all lanes one symbol at a time.
+LANE = 1024
+LANES_FROM = 16 * LANE
 
 
 def code_lengths(counts: np.ndarray) -> np.ndarray:
@@ -83,17 +86,26 @@ def canonical(lengths: np.ndarray) -> np.ndarray:
 
 
 def huffman_encode(data: np.ndarray) -> bytes:
-    counts = np.bincount(data, minlength=256)
-    lengths = code_lengths(counts)
-    codes = canonical(lengths)
+    """Counts, code lengths (compressed) and the code bits, highest bit first."""
+    lengths = code_lengths(np.bincount(data, minlength=256))
+    codes = canonical(lengths).astype(np.uint64)
     n = lengths[data]
     ends = np.cumsum(n)
     total = int(ends[-1]) if len(ends) else 0
-    owner = np.repeat(np.arange(len(data)), n)
-    shift = ends[owner] - 1 - np.arange(total)
-    bits = (codes[data][owner] >> shift) & 1
+    out = np.zeros(total // 64 + 2, np.uint64)
+    if total:
+        # Each code is put in the 64-bit word where it starts, and what sticks out in the next; a word gets one such rest at most.
+        start, code = ends - n, codes[data]
+        word, room = start >> 6, 64 - (start & 63) - n
+        fits = np.maximum(room, 0).astype(np.uint64)
+        out_by = np.maximum(-room, 0).astype(np.uint64)
+        first = np.flatnonzero(np.append(True, word[1:] != word[:-1]))
+        out[word[first]] = np.bitwise_or.reduceat((code << fits) >> out_by, first)
+        over = np.flatnonzero(room < 0)
+        out[word[over] + 1] |= code[over] << (np.uint64(64) - out_by[over])
     table = _compress(lengths.astype(np.uint8).tobytes(), "zstd", 3)
-    return struct.pack("<QQH", len(data), total, len(table)) + table + np.packbits(bits.astype(np.uint8)).tobytes()
+    lanes = np.diff(np.append((ends - n)[::LANE], total)).astype("<u2").tobytes() if len(data) >= LANES_FROM else b""
+    return struct.pack("<QQH", len(data), total, len(table)) + table + lanes + out.astype(">u8").tobytes()[: -(-total // 8)]
 
 
 def huffman_decode(body: bytes) -> np.ndarray:
@@ -108,6 +120,8 @@ def huffman_decode(body: bytes) -> np.ndarray:
         lo = int(codes[s]) << (width - int(lengths[s]))
         hi = lo + (1 << (width - int(lengths[s])))
         table_symbol[lo:hi], table_length[lo:hi] = s, lengths[s]
+    if n >= LANES_FROM:
+        return _decode_lanes(body[18 + size :], n, total, width, table_symbol, table_length)
     bits = np.unpackbits(np.frombuffer(body, np.uint8, offset=18 + size), count=total)
     padded = np.concatenate([bits, np.zeros(width, np.uint8)]).astype(np.int64)
     window = np.zeros(total, np.int64)
@@ -126,6 +140,22 @@ def huffman_decode(body: bytes) -> np.ndarray:
     return table_symbol[window[np.sort(frontier)[:n]]]
 
 
+def _decode_lanes(body: bytes, n: int, total: int, width: int, symbol: np.ndarray, length: np.ndarray) -> np.ndarray:
+    lanes = -(-n // LANE)
+    spans = np.frombuffer(body, "<u2", lanes).astype(np.int64)
+    at = np.cumsum(spans) - spans
+    bits = body[2 * lanes :]
+    words = np.frombuffer(bits + bytes(24 - len(bits) % 8), ">u8").astype(np.uint64)
+    out = np.empty((LANE, lanes), np.uint8)
+    one, top, drop = np.uint64(1), np.uint64(63), np.uint64(64 - width)
+    for k in range(LANE):
+        w, off = at >> 6, (at & 63).astype(np.uint64)
+        code = ((words[w] << off) | ((words[w + 1] >> one) >> (top - off))) >> drop
+        out[k] = symbol[code]
+        at = np.minimum(at + length[code], total)  # the last lane may end early
+    return out.T.ravel()[:n]
+
+
 def huffman_bits(data: np.ndarray) -> int:
     counts = np.bincount(data, minlength=256)
     return int((counts * code_lengths(counts)).sum())

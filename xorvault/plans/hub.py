@@ -85,29 +85,45 @@ def assign_bases(tensors: DataFrame, live: DataFrame, repos: DataFrame, config:
     return exact.unionAll(found.where("base IS NOT NULL").select(F.col("model").alias("repo_id"), "base", F.lit("distance").alias("source")))
 
 
-def reduce_hub(tensors: DataFrame, repos: DataFrame, *, config: Config = Config()) -> HubStore:
-    """The whole pipeline over tensors (with payload) and repos (card, config, seq)."""
+def reduce_hub(tensors: DataFrame, repos: DataFrame, *, config: Config = Config(), after: HubStore | None = None, bases: DataFrame | None = None) -> HubStore:
+    """The whole pipeline over tensors (with payload) and repos (card, config, seq).
+
+    With `after`, the tensors are later uploads to that store: files and tensors that it has become links and references,
+    and the result holds both. `repos` then has earlier and new repositories, and `bases` the earlier tensors (with
+    payload) that may serve as bases.
+    """
     order, meta = repos.select("repo_id", "seq"), tensors.drop("payload")
+    readable = tensors if bases is None else tensors.unionByName(bases.select(*tensors.columns))
     # 1. Files that are copies become links.
     files = dedup.files_of(meta).join(order, "repo_id").withColumnRenamed("unit_hash", "file_hash")
+    earlier = None
+    if after is not None:
+        held = dedup.files_of(after.manifests).groupBy(F.col("unit_hash").alias("file_hash")).agg(F.min(F.struct("repo_id", "path")).alias("of"))
+        earlier = files.join(held, "file_hash").select("repo_id", "path", "n_bytes", F.col("of.repo_id").alias("of_repo"), F.col("of.path").alias("of_path"))
+        files = files.join(held, "file_hash", "left_anti")
     marked = dedup.dedup_files(files, order_by=("seq", "repo_id", "path"))
     unique, copies = dedup.split_unique(marked)
     links = copies.select("repo_id", "path", "n_bytes", F.col("canonical.repo_id").alias("of_repo"), F.col("canonical.path").alias("of_path"))
+    links = links if earlier is None else links.unionAll(earlier)
     # 2. One of each tensor is pooled: the first in upload order.
     kept = meta.join(unique.select("repo_id", "path", "seq"), ["repo_id", "path"]).withColumn("pool_key", dedup.tensor_identity())
     first = kept.groupBy("pool_key").agg(F.min(F.struct("seq", "repo_id", "path", "ordinal")).alias("f"), F.count("*").alias("refcount"))
+    first = first if after is None else first.join(after.pool.select("pool_key"), "pool_key", "left_anti")
     pooled = kept.join(first, "pool_key").where("f.repo_id = repo_id AND f.path = path AND f.ordinal = ordinal")
     # 3. Bases; only candidate pairs' payloads are read.
-    lineage = assign_bases(tensors, unique.select("repo_id").distinct(), repos, config)
+    lineage = assign_bases(readable, unique.select("repo_id").distinct(), repos, config)
     # 4. What is pooled is paired with its base's tensor, and then, for the first time, bytes are fetched.
     base_of = lineage.select("repo_id", F.col("base").alias("base_repo"))
-    bases = meta.join(base_of.select(F.col("base_repo").alias("repo_id")).distinct(), "repo_id", "left_semi")
-    own_bases = bases.select("repo_id").distinct().withColumn("is_base", F.lit(True))
-    deltas = pooled.join(own_bases, "repo_id", "left").join(base_of, "repo_id", "left").withColumn("base_repo", F.when(F.col("is_base").isNull(), F.col("base_repo")))
-    paired = align.align(deltas, bases, by=config.alignment)
-    own = tensors.select("repo_id", "path", "ordinal", "payload")
-    base_bytes = tensors.select(F.col("repo_id").alias("base_repo"), F.col("path").alias("base_path"), F.col("ordinal").alias("base_ordinal"), F.col("payload").alias("payload_b"))
-    aligned = paired.join(own, ["repo_id", "path", "ordinal"]).join(base_bytes, ["base_repo", "base_path", "base_ordinal"], "left")
+    roots = readable.drop("payload").join(base_of.select(F.col("base_repo").alias("repo_id")).distinct(), "repo_id", "left_semi")
+    if after is not None:  # a tensor that is a delta already can't be a base
+        roots = roots.join(after.pool.where("base_hash IS NOT NULL").select("tensor_hash"), "tensor_hash", "left_anti")
+    # What any model's base has is stored on its own, whoever brought it first, so that no chain is longer than one.
+    own = roots.select("tensor_hash").distinct().withColumn("is_base", F.lit(True))
+    deltas = pooled.join(own, "tensor_hash", "left").join(base_of, "repo_id", "left").withColumn("base_repo", F.when(F.col("is_base").isNull(), F.col("base_repo")))
+    paired = align.align(deltas, roots, by=config.alignment)
+    payloads = tensors.select("repo_id", "path", "ordinal", "payload")
+    base_bytes = readable.select(F.col("repo_id").alias("base_repo"), F.col("path").alias("base_path"), F.col("ordinal").alias("base_ordinal"), F.col("payload").alias("payload_b"))
+    aligned = paired.join(payloads, ["repo_id", "path", "ordinal"]).join(base_bytes, ["base_repo", "base_path", "base_ordinal"], "left")
 
     def make(payload, base, dtype):
         options = {"transform": config.transform, "codec": config.codec, "level": config.level, "plane_split": config.plane_split}
@@ -122,7 +138,16 @@ def reduce_hub(tensors: DataFrame, repos: DataFrame, *, config: Config = Config(
     uses_base = F.col("codec").isin("xor", "xor_planes", "wrap", "zigzag")
     pool = coded.withColumn("base_hash", F.when(uses_base, F.col("base_hash"))).withColumnRenamed("repo_id", "first_repo")
     manifests = kept.select("repo_id", "path", "ordinal", "name", "dtype", "shape", "offset", "n_bytes", "tensor_hash", "pool_key")
-    return HubStore(pool, manifests, links, lineage, config)
+    new = HubStore(pool, manifests, links, lineage, config)
+    if after is None:
+        return new
+    return HubStore(*[getattr(after, n).unionByName(getattr(new, n)) for n in ("pool", "manifests", "links", "lineage")], config)
+
+
+def compact(store: HubStore, path: str, *, target_bytes: int = 128 << 20) -> HubStore:
+    """The store rewritten with pool files of about target_bytes, ranged by hash."""
+    total = store.pool.agg(F.sum("n_stored").alias("n")).first()["n"] or 0
+    return store.written(path, files=max(1, -(-total // target_bytes)))
 
 
 def decoded_pool(pool: DataFrame) -> DataFrame:

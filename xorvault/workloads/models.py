@@ -315,18 +315,28 @@ def lineage_cards(spark, sf_dir):
 
 @query("lineage_benchmark", "SELECT doc_id, item_id FROM documents d JOIN benchmark b ON contains(d.text, b.text)")
 def lineage_benchmark(spark, sf_dir):
-    """Documents derived from known items: those that contain an item verbatim, found through items' first words.
+    """Documents derived from known items: those that contain an item verbatim.
 
-    The item table is small and checked: an equi-join on the hash of six-word starts comes first, containment after it.
+    An item's second to fourth word stand in a document as they are wherever the item does; their hash is looked up among
+    the document's word triples, and only hits are checked for the whole item. The item table's size is checked, as its
+    hashes go into the plan; items of fewer than five words are looked for directly.
     """
-    items = table(spark, sf_dir, "benchmark").select("item_id", F.col("text").alias("item")).where("length(item) > 0")
-    k = 16
-    head = items.select("item_id", "item", F.xxhash64(F.substring("item", 1, k)).alias("h"))
-    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    heads = {r["h"] for r in head.select("h").limit(10_000).collect()}
-    at = F.filter(F.sequence(F.lit(1), F.length("text") - k + 1), lambda i: F.xxhash64(F.substr("text", i, F.lit(k))).isin(sorted(heads)))
-    spots = docs.where(F.length("text") >= k).select("doc_id", "text", F.explode(at).alias("i")).select("doc_id", F.substr("text", F.col("i"), F.lit(4000)).alias("rest"), F.xxhash64(F.substr("text", F.col("i"), F.lit(k))).alias("h"))
-    return spots.join(F.broadcast(head), "h").where(F.expr("startswith(rest, item)")).select("doc_id", "item_id").distinct()
+    most = 10_000
+    w = F.split(F.trim("item"), r"\s+")
+    items = table(spark, sf_dir, "benchmark").select("item_id", F.col("text").alias("item")).where("length(trim(item)) > 0").withColumn("w", w)
+    head = items.where(F.size("w") >= 5).select("item_id", "item", F.xxhash64(F.col("w")[1], F.col("w")[2], F.col("w")[3]).alias("h"))
+    known = sorted({r["h"] for r in head.select("h").limit(most + 1).collect()})
+    short = [(r["item_id"], r["item"]) for r in items.where(F.size("w") < 5).limit(most + 1).collect()]
+    if len(known) > most or len(short) > most:
+        raise ValueError(f"over {most} items: look them up in parts")
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text").where("text IS NOT NULL").withColumn("w", F.split("text", r"\s+"))
+    triple = lambda i: F.xxhash64(F.get("w", i), F.get("w", i + 1), F.get("w", i + 2))
+    at = F.filter(F.transform(F.sequence(F.lit(0), F.size("w") - 3), triple), lambda h: h.isin(known))
+    hits = docs.where(F.size("w") >= 3).select("doc_id", "text", F.explode(F.array_distinct(at)).alias("h"))
+    found = hits.join(F.broadcast(head), "h").where(F.contains("text", "item")).select("doc_id", "item_id")
+    for item_id, item in short:
+        found = found.unionAll(docs.where(F.contains("text", F.lit(item))).select("doc_id", F.lit(item_id).cast("bigint").alias("item_id")))
+    return found.distinct()
 
 
 def _open_models(spark, sf_dir) -> tuple[DataFrame, DataFrame, DataFrame]:
