@@ -52,6 +52,30 @@ def test_bands():
     assert judge.verdict("") == (None, 0.0, "")
 
 
+@pytest.mark.parametrize("n", [0, 1, 199, 200, 2047, 2048, 4096, 4097, 4295, 4296, 6143, 6144, 8192, 8391, 8392, 20_000])
+def test_chunks_cover_every_byte(n):
+    parts = Judge(Bands()).parts(n)
+    assert [k for at, end in parts for k in range(at, end)] == list(range(n))
+    assert len(parts) < 2 or all(end - at >= 200 for at, end in parts)
+
+
+@pytest.mark.parametrize("tail", [1400, 1600, 2000, 2047, 2048, 3000])
+def test_junk_at_the_end(tail):
+    rng = random.Random(4)
+    prose = " ".join("".join(rng.choices("etaoinshr", k=rng.randint(2, 9))) for _ in range(1500))
+    slogan = ("buy the best shoes now " * 200)[:tail]
+    noise = "".join(rng.choices(string.ascii_letters + string.digits + "+/", k=tail))
+    judge = Judge(Bands())
+    assert judge.verdict(prose[: 4096 + tail])[1:] == (0.0, "")
+    for junk, kind in ((slogan, "repetitive"), (noise, "incompressible")):
+        if tail < 1600 and junk is noise:  # the band of this length reaches 0.80
+            continue
+        _, share, why = judge.verdict(prose[:4096] + junk)
+        assert share == tail / (4096 + tail)
+        assert why.startswith(kind)
+    assert judge.verdict("buy now " * 100)[1] == 1.0
+
+
 def test_rules_rows(spark):
     docs = spark.createDataFrame([(1, None, True), (2, "", True), (None, "a " * 60, True), (3, "x", False), (3, "x", False)], "doc_id long, text string, kept boolean")
     got = quality_rules(docs).collect()

@@ -2,7 +2,8 @@
 
 A text's zstandard ratio (compressed bytes over bytes) is low where it repeats itself and high where it is noise. Both
 the whole document and its fixed chunks are compressed; limits depend on the length, since short texts compress worse.
-A document fails when its whole ratio leaves the band of its length, or when too many of its bytes lie in chunks
+The chunks cover every byte: a last part too short for the chunk band has the band of whole texts of its length, and one
+for which that sets no limit belongs to the chunk before. A document fails when its whole ratio leaves the band of its length, or when too many of its bytes lie in chunks
 outside the chunk band. Chunks find long repetitive parts of documents whose other parts are sound.
 
 Null and empty texts have no words and fail the base rules. Every count is over the whole text.
@@ -62,23 +63,33 @@ class Judge:
     def ratio(self, data) -> float:
         return len(self.zstd.compress(data)) / len(data)
 
+    def whole_band(self, n: int) -> tuple[float, float]:
+        return next((lo, hi) for least, lo, hi in reversed(self.bands.whole) if n >= least)
+
+    def parts(self, n: int) -> list[tuple[int, int]]:
+        """(start, end) of the chunks of n bytes, which cover them all."""
+        b = self.bands
+        starts = list(range(0, n, b.chunk_bytes))
+        if len(starts) > 1 and n - starts[-1] < min(b.whole[1][0], b.least_chunk):
+            starts.pop()
+        return list(zip(starts, [*starts[1:], n]))
+
     def verdict(self, text: str) -> tuple[float | None, float, str]:
         """The whole ratio, the share of bytes in bad chunks, and why the text fails ('' if it doesn't)."""
         data, b = text.encode("utf-8", "surrogatepass"), self.bands
         if not data:
             return None, 0.0, ""
         whole = self.ratio(data)
-        low, high = next((lo, hi) for least, lo, hi in reversed(b.whole) if len(data) >= least)
+        low, high = self.whole_band(len(data))
         view, bad = memoryview(data), {"repetitive": 0, "incompressible": 0}
-        for at in range(0, len(data), b.chunk_bytes):
-            part = view[at : at + b.chunk_bytes]
-            if len(part) < b.least_chunk:
-                break
-            r = self.ratio(part)
-            if r < b.chunk[0]:
-                bad["repetitive"] += len(part)
-            elif r > b.chunk[1]:
-                bad["incompressible"] += len(part)
+        for at, end in self.parts(len(data)):
+            n = end - at
+            least, most = b.chunk if n >= b.least_chunk else self.whole_band(n)
+            r = whole if n == len(data) else self.ratio(view[at:end])
+            if r < least:
+                bad["repetitive"] += n
+            elif r > most:
+                bad["incompressible"] += n
         share = sum(bad.values()) / len(data)
         if whole < low:
             why = "repetitive"
