@@ -182,6 +182,18 @@ def test_classify_and_graph(spark):
     assert got == {"a": "a", "b": "b", "c": "b", "d": "b", "x": "x", "y": "x", "z": "z"}
 
 
+def test_every_base_of_like_structure_is_compared(spark):
+    """Seven bases of one structure; the models without a hint descend from the last by name."""
+    rng = np.random.default_rng(6)
+    base = {f"b{k}": rng.integers(0, 1 << 16, 64).astype("<u2") for k in range(7)}
+    card = {f"t{k}": f"---\nbase_model: b{k}\n---\n" for k in range(7)}
+    words_ = base | {f"t{k}": base[f"b{k}"] ^ 1 for k in range(7)} | {"x5": base["b5"] ^ 2, "x6": base["b6"] ^ 2}
+    t = spark.createDataFrame([(n, 0, "BF16", [1, 64], bytearray(w.tobytes())) for n, w in words_.items()], "repo_id string, ordinal int, dtype string, shape array<bigint>, payload binary")
+    r = spark.createDataFrame([(n, card.get(n), "{not json") for n in words_], "repo_id string, card string, config string")
+    got = {x.repo_id: (x.base, x.source) for x in hub.assign_bases(t, t.select("repo_id"), r, hub.Config(tau=4.0)).collect()}
+    assert got["x5"] == ("b5", "distance") and got["x6"] == ("b6", "distance")
+
+
 def explained(df):
     return df.sparkSession._jvm.org.apache.spark.sql.api.python.PythonSQLUtils.explainString(df._jdf.queryExecution(), "formatted")
 

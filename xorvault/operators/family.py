@@ -37,12 +37,10 @@ def from_metadata(repos: DataFrame, *, parser: Callable[[Column], Column] = rule
     return joined.select("repo_id", status.alias("status"), F.col("known_base").alias("base"), family.alias("family"), source.alias("source"))
 
 
-def candidate_bases(models: DataFrame, bases: DataFrame, *, k: int = 5) -> DataFrame:
-    """(model, base): at most k bases of equal signature for each model, family hints first, then by base id."""
-    m, b = models.select(F.col("repo_id").alias("model"), "signature", F.col("family").alias("hint")), bases.select(F.col("repo_id").alias("base"), "signature", "family")
-    same = m.join(b, "signature").where("model <> base")
-    rank = F.expr("row_number() OVER (PARTITION BY model ORDER BY CASE WHEN hint = family THEN 0 ELSE 1 END, base)")
-    return same.withColumn("rank", rank).where(F.col("rank") <= k).select("model", "base")
+def candidate_bases(models: DataFrame, bases: DataFrame) -> DataFrame:
+    """(model, base): every base of equal signature for each model; hints cut nothing, as a card may be broken or absent."""
+    m, b = models.select(F.col("repo_id").alias("model"), "signature"), bases.select(F.col("repo_id").alias("base"), "signature")
+    return m.join(b, "signature").where("model <> base").select("model", "base")
 
 
 def shared_share(models: DataFrame, bases: DataFrame) -> DataFrame:

@@ -27,7 +27,6 @@ class Config:
     alignment: str = "order"
     choose_smaller: bool = True
     tau: float | None = None
-    candidates: int = 5
 
 
 @dataclass
@@ -81,7 +80,7 @@ def assign_bases(tensors: DataFrame, live: DataFrame, repos: DataFrame, config:
     signatures = graph.signature(tensors.drop("payload")).join(told.select("repo_id", "family"), "repo_id")
     roots = exact.select(F.col("base").alias("repo_id")).distinct()
     open_models = signatures.join(live, "repo_id", "left_semi").join(exact, "repo_id", "left_anti").join(roots, "repo_id", "left_anti")
-    found = family.nearest_base(family.match_distances(family.candidate_bases(open_models, signatures.join(roots, "repo_id"), k=config.candidates), tensors), tau=config.tau)
+    found = family.nearest_base(family.match_distances(family.candidate_bases(open_models, signatures.join(roots, "repo_id")), tensors), tau=config.tau)
     return exact.unionAll(found.where("base IS NOT NULL").select(F.col("model").alias("repo_id"), "base", F.lit("distance").alias("source")))
 
 

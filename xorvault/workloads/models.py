@@ -351,7 +351,7 @@ pe AS (SELECT cd.model, cd.base, p.bits AS x, q.bits AS y FROM cd JOIN el p ON p
 d AS (SELECT model, base, {DIST} FROM pe WHERE {NOT_BOTH_ZERO} GROUP BY 1, 2), o AS (SELECT *, row_number() OVER (PARTITION BY model ORDER BY distance, base) AS r FROM d)
 SELECT x.model, CASE WHEN x.distance < 4 THEN x.base END AS base, x.distance, y.distance AS runner_up, round(y.distance - x.distance, 6) AS margin, x.distance < 4 AS within FROM o x LEFT JOIN o y ON y.model = x.model AND y.r = 2 WHERE x.r = 1""")
 def nearest_base(spark, sf_dir):
-    """Models without an exact card: the closest base among at most five of like structure."""
+    """Models without an exact card: the closest base among all of like structure."""
     t, models, bases = _open_models(spark, sf_dir)
     return family.nearest_base(family.match_distances(family.candidate_bases(models, bases), t), tau=4.0)
 
