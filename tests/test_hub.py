@@ -194,6 +194,17 @@ def test_every_base_of_like_structure_is_compared(spark):
     assert got["x5"] == ("b5", "distance") and got["x6"] == ("b6", "distance")
 
 
+def test_sweeps_have_pairs_across_families(spark, sf_dir):
+    swept = QUERIES["threshold_sweep_all"](spark, sf_dir).collect()
+    assert all(r.fp + r.tn > 0 for r in swept) and len({r.tp + r.fp + r.tn + r.fn for r in swept}) == 1
+    assert all(r.fp + r.tn > 0 for r in QUERIES["threshold_pick"](spark, sf_dir).collect())
+    pairs = QUERIES["bitdist_pairs_all"](spark, sf_dir)
+    assert pairs.count() == swept[0].tp + swept[0].fp + swept[0].tn + swept[0].fn
+    families = zoo.tensors(spark, sf_dir).select("family").distinct().count()
+    assert pairs.select(F.split("a", "_")[0]).distinct().count() == families
+    assert QUERIES["classify_pairs_all"](spark, sf_dir).where("NOT actual AND rule = 'distance'").count() > 0
+
+
 def explained(df):
     return df.sparkSession._jvm.org.apache.spark.sql.api.python.PythonSQLUtils.explainString(df._jdf.queryExecution(), "formatted")
 

@@ -86,12 +86,18 @@ PAIRS = "pe AS (SELECT p.repo_id AS a, q.repo_id AS b, p.bits AS x, q.bits AS y
 
 
 def compared(spark, sf_dir) -> DataFrame:
-    """Tensors of the comparable variants of four families."""
-    return zoo.tensors(spark, sf_dir).where(F.col("variant").isin(*zoo.COMPARABLE) & (F.col("family") < 4))
+    """Tensors of the comparable variants of every family, with `true_family`: v12 is a base of its own, and v12c its model."""
+    other = F.when(F.col("variant").isin("v12", "v12c"), "_v12").otherwise("")
+    return zoo.tensors(spark, sf_dir).where(F.col("variant").isin(*zoo.COMPARABLE)).withColumn("true_family", F.concat(F.col("family").cast("string"), other))
 
 
-def _pairwise(spark, sf_dir) -> DataFrame:
-    t = compared(spark, sf_dir)
+def four_families(spark, sf_dir) -> DataFrame:
+    """The part of them that the SQL twins read; queries named _all read every family."""
+    return compared(spark, sf_dir).where("family < 4")
+
+
+def _pairwise(spark, sf_dir, of=four_families) -> DataFrame:
+    t = of(spark, sf_dir)
     return bitdist.bit_distance(graph.aligned_blocks(graph.pairs_of(graph.signature(t)), t))
 
 
@@ -109,6 +115,12 @@ def bitdist_pairs(spark, sf_dir):
     return _pairwise(spark, sf_dir)
 
 
+@query("bitdist_pairs_all")
+def bitdist_pairs_all(spark, sf_dir):
+    """Bit distances of all pairs of equal structure."""
+    return _pairwise(spark, sf_dir, compared)
+
+
 @query("bitdist_sql_path", lambda: f"WITH {Z.elements(('v0', *TUNED))}, {Z.pairs()} SELECT a, b, {DIST} FROM pe WHERE {NOT_BOTH_ZERO} GROUP BY 1, 2")
 def bitdist_sql_path(spark, sf_dir):
     """The element path in Catalyst expressions."""
@@ -192,9 +204,14 @@ def simgraph_edges(spark, sf_dir):
     return graph.similarity_graph(_pairwise(spark, sf_dir))
 
 
-def _components(spark, sf_dir) -> tuple[DataFrame, DataFrame]:
-    edges = graph.checkpointed(graph.similarity_graph(_pairwise(spark, sf_dir)))
-    nodes = compared(spark, sf_dir).select(F.col("repo_id").alias("node")).distinct()
+@query("simgraph_edges_all")
+def simgraph_edges_all(spark, sf_dir):
+    return graph.similarity_graph(_pairwise(spark, sf_dir, compared))
+
+
+def _components(spark, sf_dir, of=four_families) -> tuple[DataFrame, DataFrame]:
+    edges = graph.checkpointed(graph.similarity_graph(_pairwise(spark, sf_dir, of)))
+    nodes = of(spark, sf_dir).select(F.col("repo_id").alias("node")).distinct()
     return graph.components(nodes, edges), edges
 
 
@@ -206,10 +223,16 @@ def family_components(spark, sf_dir):
     return _components(spark, sf_dir)[0]
 
 
+@query("family_components_all")
+def family_components_all(spark, sf_dir):
+    return _components(spark, sf_dir, compared)[0]
+
+
 @query("cluster_quality")
 def cluster_quality(spark, sf_dir):
-    found, edges = _components(spark, sf_dir)
-    truth = compared(spark, sf_dir).select(F.col("repo_id").alias("node"), "family").distinct()
+    """Of the clusters of every family."""
+    found, edges = _components(spark, sf_dir, compared)
+    truth = compared(spark, sf_dir).select(F.col("repo_id").alias("node"), F.col("true_family").alias("family")).distinct()
     return graph.cluster_quality(found, truth, edges)
 
 
@@ -218,14 +241,28 @@ def provenance_rank(spark, sf_dir):
     return graph.provenance(_pairwise(spark, sf_dir), "m0_v3")
 
 
+@query("provenance_rank_all")
+def provenance_rank_all(spark, sf_dir):
+    return graph.provenance(_pairwise(spark, sf_dir, compared), "m0_v3")
+
+
 @query("classify_pairs", lambda: f"""WITH {Z.elements(('v0', *TUNED), "label < 4")}, sg AS (SELECT family, count(*) AS n FROM el WHERE variant = 'v0' GROUP BY 1), m AS (SELECT DISTINCT repo_id, family FROM el),
 pe AS (SELECT p.repo_id AS a, q.repo_id AS b, p.bits AS x, q.bits AS y FROM el p JOIN el q ON p.ordinal = q.ordinal AND p.idx = q.idx AND p.repo_id < q.repo_id JOIN sg s ON s.family = p.family JOIN sg r ON r.family = q.family AND r.n = s.n),
 d AS (SELECT a, b, {DIST} FROM pe WHERE {NOT_BOTH_ZERO} GROUP BY 1, 2)
 SELECT x.repo_id AS a, y.repo_id AS b, CASE WHEN d.a IS NULL THEN 'structure' ELSE 'distance' END AS rule, coalesce(distance < 4, FALSE) AS predicted, x.family = y.family AS actual FROM m x JOIN m y ON x.repo_id < y.repo_id LEFT JOIN d ON d.a = x.repo_id AND d.b = y.repo_id""")
 def classify_pairs(spark, sf_dir):
     """Within or across the family: structure first, then the threshold."""
-    t = zoo.tensors(spark, sf_dir).where(F.col("variant").isin("v0", *TUNED) & (F.col("family") < 4))
-    s = graph.signature(t).join(t.select("repo_id", "family").distinct(), "repo_id")
+    return _classified(four_families(spark, sf_dir).where(F.col("variant").isin("v0", *TUNED)))
+
+
+@query("classify_pairs_all")
+def classify_pairs_all(spark, sf_dir):
+    """Of every family, with the closely related bases."""
+    return _classified(compared(spark, sf_dir).where(F.col("variant").isin("v0", *TUNED, "v12")))
+
+
+def _classified(t: DataFrame) -> DataFrame:
+    s = graph.signature(t).join(t.select("repo_id", F.col("true_family").alias("family")).distinct(), "repo_id")
     d = bitdist.bit_distance(graph.aligned_blocks(graph.pairs_of(s), t)).select("a", "b", "distance")
     pairs = s.select(F.col("repo_id").alias("a"), F.col("signature").alias("signature_a"), F.col("family").alias("fa")).join(s.select(F.col("repo_id").alias("b"), F.col("signature").alias("signature_b"), F.col("family").alias("fb")), F.expr("a < b"))
     return family.classify_pairs(pairs.join(d, ["a", "b"], "left")).select("a", "b", "rule", "predicted", (F.col("fa") == F.col("fb")).alias("actual"))
@@ -242,8 +279,18 @@ SELECT *, CASE WHEN tp + fp + tn + fn > 0 THEN round(CAST(tp + tn AS DOUBLE) / (
 @query("threshold_sweep_zoo", lambda: f"WITH {all_pairs()}, d AS (SELECT a, b, same AS actual, {DIST} FROM pe WHERE {NOT_BOTH_ZERO} GROUP BY 1, 2, 3), " + _sweep_sql("distance", TAUS))
 def threshold_sweep_zoo(spark, sf_dir):
     """Accuracy, precision, recall and F1 of the family threshold."""
-    fam = compared(spark, sf_dir).select("repo_id", "family").distinct()
-    d = _pairwise(spark, sf_dir).join(fam.select(F.col("repo_id").alias("a"), F.col("family").alias("fa")), "a").join(fam.select(F.col("repo_id").alias("b"), F.col("family").alias("fb")), "b")
+    return _swept(spark, sf_dir, four_families, "family")
+
+
+@query("threshold_sweep_all")
+def threshold_sweep_all(spark, sf_dir):
+    """The same over every family, where a pair with the closely related base is across families."""
+    return _swept(spark, sf_dir, compared, "true_family")
+
+
+def _swept(spark, sf_dir, of, truth: str) -> DataFrame:
+    fam = of(spark, sf_dir).select("repo_id", F.col(truth).alias("family")).distinct()
+    d = _pairwise(spark, sf_dir, of).join(fam.select(F.col("repo_id").alias("a"), F.col("family").alias("fa")), "a").join(fam.select(F.col("repo_id").alias("b"), F.col("family").alias("fb")), "b")
     return family.sweep(d.withColumn("actual", F.col("fa") == F.col("fb")), TAUS)
 
 

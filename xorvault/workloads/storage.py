@@ -355,9 +355,9 @@ def xor_unrelated_control(spark, sf_dir):
 @query("threshold_pick")
 def threshold_pick(spark, sf_dir):
     """Thresholds that each policy picks, with their measures."""
-    from xorvault.workloads.models import threshold_sweep_zoo
+    from xorvault.workloads.models import threshold_sweep_all
 
-    swept = threshold_sweep_zoo(spark, sf_dir).cache()
+    swept = threshold_sweep_all(spark, sf_dir).cache()
     near = bitdist.bit_distance(graph.aligned_blocks(family_pairs(spark, sf_dir, ("v12",)), zoo.tensors(spark, sf_dir))).agg(F.min("distance")).first()[0]
     rows = [(p, family.pick(swept, p, near)) for p in ("max_accuracy", "max_f1", "guarded")]
     return spark.createDataFrame(rows, "policy string, tau double").join(swept, "tau")
