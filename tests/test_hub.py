@@ -205,6 +205,13 @@ def test_sweeps_have_pairs_across_families(spark, sf_dir):
     assert QUERIES["classify_pairs_all"](spark, sf_dir).where("NOT actual AND rule = 'distance'").count() > 0
 
 
+def test_monte_carlo_draws(spark, sf_dir):
+    assert {r.n for r in QUERIES["mc_generators"](spark, sf_dir).collect()} == {100_000}
+    grid = {(r.sigma_w, r.sigma_d): r for r in QUERIES["mc_expected_grid_all"](spark, sf_dir).collect()}
+    assert len(grid) == 42 and {r.n for r in grid.values()} == {100_000}
+    assert grid[0.02, 0.002].expected == QUERIES["mc_point"](spark, sf_dir).first().expected
+
+
 def explained(df):
     return df.sparkSession._jvm.org.apache.spark.sql.api.python.PythonSQLUtils.explainString(df._jdf.queryExecution(), "formatted")
 
