@@ -1,7 +1,7 @@
 """A corpus clean-up in stages; each stage's result is written as Parquet and reread as the next one's documents.
 
 1. quality_rules: documents that the compression bands or the base rules reject go.
-2. near_duplicates: of each class of the n-gram Jaccard join, the document whose id is the class id stays.
+2. near_duplicates: of each class of the n-gram Jaccard join, one row whose id is the class id stays.
 3. decontamination: documents that contain a test item (question and answer) go.
 4. secret_scans: secrets are masked in the text, and n_chars follows the new text; no document goes.
 5. bpe: documents are encoded and decoded; the result has their ids' count and digests.
@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from xorvault.llm.common import fresh, shared_dir
 from xorvault.llm.compression_rules import rules_column
 from xorvault.llm.decontaminate import contaminated_column
-from xorvault.llm.jaccard_forest import ngram_jaccard_join
+from xorvault.llm.jaccard_forest import digest_column, marked_rows
 from xorvault.llm.pair_index_bpe import encode_documents
 from xorvault.llm.secret_guess import secrets_column
 
@@ -34,13 +34,26 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Rows that repeat an id and a text count as copies: one of them stays."""
-    found = ngram_jaccard_join(docs)
-    gone = found.where("doc_id <> class_id").select("doc_id").distinct()
-    kept = docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
-    same = found.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1").select("doc_id")
-    alone, repeated = kept.join(same, "doc_id", "left_anti"), kept.join(same, "doc_id", "left_semi")
-    return alone.select(*docs.columns).unionAll(repeated.select(*docs.columns).dropDuplicates(["doc_id", "text"]))
+    """One row of each class stays: of the least id, or of none where no row has one.
+
+    Where an id is null or repeated, rows are told apart by their words' digest too. Texts without words have no class:
+    those that repeat an id and a text count as copies.
+    """
+    found = marked_rows(docs)
+    per_id = found.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.count("*").alias("n"), F.bool_and("kept").alias("kept"))
+    named = docs.where("doc_id IS NOT NULL")
+    alone = named.join(per_id.where("n > 1 OR NOT kept").select("doc_id"), "doc_id", "left_anti").select(*docs.columns)
+    same = per_id.where("n > 1").select("doc_id")
+    h = fresh(docs, "_h")
+    repeated = named.join(same, "doc_id", "left_semi").select(*docs.columns).unionAll(docs.where("doc_id IS NULL"))
+    repeated = repeated.withColumn(h, digest_column()(F.col("text"))["h"])
+    marks = found.where("kept AND h IS NOT NULL").select(F.col("doc_id").alias("_id"), F.col("h").alias("_digest"))
+    marks = marks.join(same.withColumnRenamed("doc_id", "_id"), "_id", "left_semi").select("_id", "_digest").unionAll(marks.where("_id IS NULL"))
+    worded = repeated.join(marks, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col(h) == F.col("_digest")), "left_semi").dropDuplicates(["doc_id", h])
+    empty = repeated.where(F.col(h).isNull())
+    copies = empty.where("doc_id IS NOT NULL").dropDuplicates(["doc_id", "text"])
+    rest = [x.select(*docs.columns) for x in (worded, copies, empty.where("doc_id IS NULL"))]
+    return alone.unionAll(rest[0]).unionAll(rest[1]).unionAll(rest[2])
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -63,6 +63,16 @@ def test_stages(spark, sf_dir):
     assert P.bpe_stage(spark, second, sf_dir).count() == 2
 
 
+def test_near_duplicates_of_repeated_and_null_ids(spark, sf_dir):
+    rng = random.Random(9)
+    prose = lambda: " ".join("".join(rng.choices("etaoinshrdlu", k=rng.randint(3, 9))) for _ in range(70))
+    a, b, c, d, e = (prose() for _ in range(5))
+    rows = [(1, a), (2, b), (2, a), (2, b + " more"), (3, e), (None, c), (None, c), (None, c + " more"), (None, d), (None, e + " more"), (4, ""), (4, ""), (4, d + " more"), (5, None)]
+    got = [tuple(r) for r in P.near_duplicate_stage(spark, spark.createDataFrame(rows, "doc_id long, text string"), sf_dir).collect()]
+    name = {a: "a", b: "b", b + " more": "b", c: "c", c + " more": "c", d + " more": "d", e: "e", "": "", None: None}
+    assert sorted((i or 0, str(name[t])) for i, t in got) == [(0, "c"), (1, "a"), (2, "b"), (3, "e"), (4, ""), (4, "d"), (5, "None")]
+
+
 @pytest.mark.parametrize("stage", range(5))
 def test_stages_on_empty_tables(spark, sf_dir, stage):
     docs = spark.createDataFrame([], "doc_id long, text string, lang string, source string, n_chars long")

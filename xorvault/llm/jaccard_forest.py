@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHashes, cut, map_arrow, mixed, rolled, slices, stored, words_of
+from .common import WordHashes, cut, map_arrow, mixed, rolled, slices, stored, text_function, words_of
 
 
 @dataclass(frozen=True)
@@ -206,6 +206,24 @@ def components(edges: DataFrame, rounds: int = 40) -> DataFrame:
 
 def ngram_jaccard_join(docs: DataFrame, *, forest: Forest = Forest(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per input row: id, class_id, n_links (other texts at or above the threshold), n_copies (rows with its words)."""
+    return _joined(docs, forest, id_col, text_col, heads=False)
+
+
+def marked_rows(docs: DataFrame, *, forest: Forest = Forest(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row per input row: id, h (its words' digest, null without words), kept: is it the one (id, h) that stands for its class?"""
+    return _joined(docs, forest, id_col, text_col, heads=True)
+
+
+def digest_column():
+    """A column function text -> struct(h): the digest of its words, null without words."""
+
+    def make():
+        return lambda texts: [{"h": digest(w) if (w := words_of(t or "")) else None} for t in texts]
+
+    return text_function(make, "h binary")
+
+
+def _joined(docs: DataFrame, forest: Forest, id_col: str, text_col: str, heads: bool) -> DataFrame:
     trees = forest.trees
     kind = docs.schema[id_col].dataType.simpleString()
     rows = stored(signed(docs, forest, id_col, text_col), "signatures")
@@ -261,11 +279,15 @@ def ngram_jaccard_join(docs: DataFrame, *, forest: Forest = Forest(), id_col: st
     label = components(edges)
     nodes = verified.groupBy("h").agg(F.min("rep").alias("rep"), F.sum("links").alias("n_links"))
     nodes = nodes.join(label, nodes["h"] == label["node"], "left").select("h", "rep", "n_links", F.coalesce("root", "h").alias("root"))
-    least = nodes.groupBy("root").agg(F.min("rep").alias("class_id"))
-    classes = nodes.join(least, "root").select("h", "class_id", "n_links")
+    head = [F.min_by("h", F.struct(F.col("rep").isNull(), "rep", "h")).alias("head")] if heads else []
+    least = nodes.groupBy("root").agg(F.min("rep").alias("class_id"), *head)
+    classes = nodes.join(least, "root").select("h", "class_id", "n_links", *["head"] * heads)
     copied = texts.where("copies > 1").select("h", "rep", "copies")
-    about = copied.join(classes, "h", "full_outer").select("h", F.coalesce("class_id", "rep").alias("class_id"), "n_links", "copies")
+    about = copied.join(classes, "h", "full_outer").select("h", F.coalesce("class_id", "rep").alias("class_id"), "n_links", "copies", *["head"] * heads)
     out = rows.select("id", "h").join(about, "h", "left")
+    if heads:
+        stands = F.col("id").eqNullSafe(F.coalesce("class_id", "id")) & (F.coalesce("head", "h") == F.col("h"))
+        return out.select(F.col("id").alias(id_col), "h", (F.col("h").isNull() | stands).alias("kept"))
     zero = lambda c, v: F.coalesce(F.col(c), F.lit(v)).cast("bigint").alias(c)
     return out.select(F.col("id").alias(id_col), F.coalesce("class_id", "id").alias("class_id"), zero("n_links", 0), F.coalesce("copies", F.lit(1)).cast("bigint").alias("n_copies"))
 
