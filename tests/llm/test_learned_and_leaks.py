@@ -156,6 +156,14 @@ def test_leaks(spark):
     assert [r.n for r in docs.select(contaminated_column(items)("text")["n_items"].alias("n")).collect()] == [1, 0, 1, 0, 0, 1, 0, 1]
 
 
+def test_repeated_item_rows(spark):
+    """More copies of one item than a shard may have rows."""
+    items = spark.createDataFrame(ITEMS + [ITEMS[1]] * 50, "item_id long, text string")
+    docs = spark.createDataFrame([(1, "no leak"), (3, ITEMS[1][1]), (5, ITEMS[4][1])], "doc_id long, text string")
+    got = sorted((r.doc_id, r.item_id) for r in find_contamination(docs, items, match=Match(shard_items=4)).collect())
+    assert got == [(3, 2), (5, 5)]
+
+
 def test_retrieval_is_exact():
     """Block-max pruning retrieves what scoring every piece for every query retrieves."""
     rng = random.Random(6)

@@ -212,6 +212,15 @@ def test_monte_carlo_draws(spark, sf_dir):
     assert grid[0.02, 0.002].expected == QUERIES["mc_point"](spark, sf_dir).first().expected
 
 
+def test_items_in_parts(spark, sf_dir, monkeypatch):
+    from xorvault.workloads import models
+
+    whole = sorted(rows(QUERIES["lineage_benchmark"](spark, sf_dir)))
+    n = spark.read.parquet(f"{sf_dir}/benchmark.parquet").count()
+    monkeypatch.setattr(models, "ITEMS_A_SCAN", n // 2)
+    assert sorted(rows(QUERIES["lineage_benchmark"](spark, sf_dir))) == whole != []
+
+
 def explained(df):
     return df.sparkSession._jvm.org.apache.spark.sql.api.python.PythonSQLUtils.explainString(df._jdf.queryExecution(), "formatted")
 

@@ -179,7 +179,8 @@ class ItemIndex:
 
 
 def shards(items: DataFrame, match: Match, id_col: str, text_col: str) -> list[ItemIndex]:
-    """One index for each shard of at most about shard_items items, dealt by a hash of the item."""
+    """One index for each shard of at most about shard_items distinct items, dealt by a hash of the item."""
+    items = items.select(id_col, text_col).distinct()
     count = items.count()
     parts = max(1, math.ceil(1.25 * count / match.shard_items))
     pick = F.pmod(F.xxhash64(id_col, text_col), F.lit(parts))

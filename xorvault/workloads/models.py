@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -371,25 +373,33 @@ def lineage_benchmark(spark, sf_dir):
     """Documents derived from known items: those that contain an item verbatim.
 
     An item's second to fourth word stand in a document as they are wherever the item does; their hash is looked up among
-    the document's word triples, and only hits are checked for the whole item. The item table's size is checked, as its
-    hashes go into the plan; items of fewer than five words are looked for directly.
+    the document's word triples, and only hits are checked for the whole item. Items are dealt in parts, each with a scan of
+    its own, as their hashes go into the plan; items of fewer than five words are looked for directly.
     """
-    most = 10_000
     w = F.split(F.trim("item"), r"\s+")
-    items = table(spark, sf_dir, "benchmark").select("item_id", F.col("text").alias("item")).where("length(trim(item)) > 0").withColumn("w", w)
-    head = items.where(F.size("w") >= 5).select("item_id", "item", F.xxhash64(F.col("w")[1], F.col("w")[2], F.col("w")[3]).alias("h"))
-    known = sorted({r["h"] for r in head.select("h").limit(most + 1).collect()})
-    short = [(r["item_id"], r["item"]) for r in items.where(F.size("w") < 5).limit(most + 1).collect()]
-    if len(known) > most or len(short) > most:
-        raise ValueError(f"over {most} items: look them up in parts")
+    items = table(spark, sf_dir, "benchmark").select("item_id", F.col("text").alias("item")).where("length(trim(item)) > 0").distinct().withColumn("w", w)
     docs = table(spark, sf_dir, "documents").select("doc_id", "text").where("text IS NOT NULL").withColumn("w", F.split("text", r"\s+"))
+    parts = max(1, -(-5 * items.count() // (4 * ITEMS_A_SCAN)))
+    part = F.pmod(F.xxhash64("item_id", "item"), F.lit(parts))
+    return reduce(DataFrame.unionAll, [_items_in(docs, items.where(part == k)) for k in range(parts)]).distinct()
+
+
+#: Items that one scan of the documents looks up, about.
+ITEMS_A_SCAN = 10_000
+
+
+def _items_in(docs: DataFrame, items: DataFrame) -> DataFrame:
+    """(doc_id, item_id) of one part of the items."""
+    head = items.where(F.size("w") >= 5).select("item_id", "item", F.xxhash64(F.col("w")[1], F.col("w")[2], F.col("w")[3]).alias("h"))
+    known = sorted({r["h"] for r in head.select("h").distinct().collect()})
+    short = [(r["item_id"], r["item"]) for r in items.where(F.size("w") < 5).collect()]
     triple = lambda i: F.xxhash64(F.get("w", i), F.get("w", i + 1), F.get("w", i + 2))
     at = F.filter(F.transform(F.sequence(F.lit(0), F.size("w") - 3), triple), lambda h: h.isin(known))
     hits = docs.where(F.size("w") >= 3).select("doc_id", "text", F.explode(F.array_distinct(at)).alias("h"))
     found = hits.join(F.broadcast(head), "h").where(F.contains("text", "item")).select("doc_id", "item_id")
     for item_id, item in short:
         found = found.unionAll(docs.where(F.contains("text", F.lit(item))).select("doc_id", F.lit(item_id).cast("bigint").alias("item_id")))
-    return found.distinct()
+    return found
 
 
 def _open_models(spark, sf_dir) -> tuple[DataFrame, DataFrame, DataFrame]:
