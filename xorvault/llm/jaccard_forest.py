@@ -1,8 +1,9 @@
 """Joining documents on the Jaccard similarity of their word n-grams with a MinHash LSH forest.
 
 Texts with the same words form one class of copies and take part once. A text's signature is cut in trees of min-hash
-values; sorted by such a prefix, texts that agree on it lie together, as in a prefix trie. The matched prefix starts at
-its full depth and is shortened until the forest's recall for a pair at the threshold reaches the target. Each group
+values, and texts that agree on a tree's prefix lie together. The prefix depth is fixed: the longest whose recall for a
+pair at the threshold reaches the target by formula. So the trees are bands; an LSH forest's tries, whose prefixes are
+shortened on the data, aren't built, since the fixed depth reaches that recall whatever the data. Each group
 of texts with an equal prefix then verifies its pairs exactly, on whole shingle sets. A pair is looked at only in the
 first tree where it agrees, so that every pair is verified once and nothing needs to be made distinct.
 
