@@ -221,6 +221,15 @@ def test_items_in_parts(spark, sf_dir, monkeypatch):
     assert sorted(rows(QUERIES["lineage_benchmark"](spark, sf_dir))) == whole != []
 
 
+def test_undecided_pairs_get_a_full_pass(spark, sf_dir):
+    from xorvault.workloads import models
+
+    full = {(r.a, r.b): r.distance for r in bitdist.bit_distance(models.blocks(spark, sf_dir, models.family_pairs(spark, sf_dir))).collect()}
+    got = QUERIES["bitdist_sampled"](spark, sf_dir).collect()
+    assert sorted((r.a, r.b) for r in got) == sorted(full) and all(r.decided for r in got)
+    assert all(abs(r.distance - full[r.a, r.b]) <= r.half_width for r in got) and any(r.half_width == 0 for r in got)
+
+
 def explained(df):
     return df.sparkSession._jvm.org.apache.spark.sql.api.python.PythonSQLUtils.explainString(df._jdf.queryExecution(), "formatted")
 

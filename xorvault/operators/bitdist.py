@@ -63,6 +63,15 @@ def bit_distance_sampled(pairs: DataFrame, *, rate: float, delta: float = 0.05,
     return d.withColumn("half_width", half).withColumn("decided", F.abs(F.col("distance") - tau) > half)
 
 
+def bit_distance_settled(pairs: DataFrame, *, rate: float, by: tuple[str, ...] = ("a", "b"), **options) -> DataFrame:
+    """The rows of bit_distance_sampled that are decided; the exact ones, with half_width 0, of all other pairs."""
+    done = bit_distance_sampled(pairs, rate=rate, by=by, **options).where("decided")
+    rest = block_bits(pairs.join(done.select(*by), list(by), "left_anti"), list(by))
+    exact = rest.groupBy(*by).agg(F.count_if(F.col("n") > 0).alias("blocks"), F.sum("n").alias("n"), F.sum("bits").alias("bits"))
+    exact = exact.withColumn("distance", F.when(F.col("n") > 0, F.round(F.col("bits") / F.col("n"), 6))).withColumn("half_width", F.lit(0.0)).withColumn("decided", F.col("distance").isNotNull())
+    return done.unionByName(exact)
+
+
 def bit_breakdown(pairs: DataFrame, *, by: tuple[str, ...] = ("a", "b"), width: int = 16, exponent: int = 8) -> DataFrame:
     """(by..., bit_pos, field, ones, share): how the differing bits spread over bit positions."""
     names = list(by)

@@ -140,8 +140,8 @@ def bitdist_zero_policies(spark, sf_dir):
 
 @query("bitdist_sampled")
 def bitdist_sampled(spark, sf_dir):
-    """Sampled distances with their bound, and whether the threshold is decided."""
-    return bitdist.bit_distance_sampled(blocks(spark, sf_dir, family_pairs(spark, sf_dir)), rate=0.5)
+    """Sampled distances with their bound where they decide the threshold, and exact ones of the other pairs."""
+    return bitdist.bit_distance_settled(blocks(spark, sf_dir, family_pairs(spark, sf_dir)), rate=0.5)
 
 
 @query("bitdist_dtypes", """WITH v AS (SELECT vec_id, unnest(range(64)) AS i, unnest(embedding) AS x FROM embeddings), w AS (SELECT vec_id, i, CAST(CAST(CAST(x / 4 AS FLOAT) AS BIT) AS INTEGER) AS b FROM v)
