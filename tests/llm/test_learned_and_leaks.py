@@ -1,4 +1,5 @@
 import random
+import tracemalloc
 import zlib
 
 import numpy as np
@@ -38,8 +39,32 @@ def test_trie_shares_prefixes():
     assert len(trie.nodes) == n + 1
 
 
+def test_very_long_words():
+    """Words of a million letters take bounded memory; beyond the stored prefix the result is still Viterbi's."""
+    rng = random.Random(5)
+    trie = PretokenTrie(piece_scores(default_ranks()))
+    for size in (63, 64, 65, 200, 9000):
+        word = "".join(rng.choices("etaoinshrdlu", k=size))
+        (got,) = trie.count([word])
+        score, n = viterbi(word.encode(), trie.scores) if size < 1000 else window_viterbi(word.encode(), trie.scores)
+        assert got["n_tokens"] == n and got["log_score"] == pytest.approx(score)
+    tracemalloc.start()
+    trie.count(["a" * 1_000_000, "".join(rng.choices("etaoinshrdlu", k=1_000_000))])
+    _, peak = tracemalloc.get_traced_memory()
+    tracemalloc.stop()
+    assert peak < 100 << 20 and len(trie.nodes) <= 7 * 64 and max(map(len, trie.terminal)) <= 64
+
+
+def window_viterbi(data, scores):
+    longest = max(map(len, scores))
+    best = [(0.0, 0)]
+    for end in range(1, len(data) + 1):
+        best.append(max((best[k][0] + scores[data[k:end]], best[k][1] - 1) for k in range(max(0, end - longest), end) if data[k:end] in scores))
+    return best[-1][0], -best[-1][1]
+
+
 def test_token_rows(spark):
-    docs = spark.createDataFrame([(1, None), (2, ""), (3, "a b"), (3, "a b")], "doc_id long, text string")
+    docs = spark.createDataFrame([(1, None, 7), (2, "", 7), (3, "a b", 7), (3, "a b", 7)], "doc_id long, text string, n_tokens int")
     assert [(r.doc_id, r.n_tokens) for r in count_tokens(docs).collect()] == [(1, 0), (2, 0), (3, 2), (3, 2)]
     assert count_tokens(docs.limit(0)).count() == 0
 

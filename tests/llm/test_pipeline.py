@@ -8,7 +8,8 @@ import corpus_pipeline as P
 from tests.llm.test_jaccard import brute
 from xorvault.llm.compression_rules import Bands, Judge, base_counts
 from xorvault.llm.pair_index_bpe import default_vocabulary
-from xorvault.llm.secret_guess import base_spans, guess_spans, redacted
+from xorvault.llm import secret_guess as S
+from xorvault.llm.secret_guess import base_spans, redacted
 
 
 def brute_run(docs, items):
@@ -26,7 +27,7 @@ def brute_run(docs, items):
             kept.append((i, t))
     squeeze = lambda s: " ".join(s.split())
     kept = [(i, t) for i, t in kept if not any(squeeze(x) in squeeze(t) for x in items)]
-    masked = [(i, redacted(t, base_spans(t) + guess_spans(t, 9.0))) for i, t in kept]
+    masked = [(i, redacted(t, base_spans(t) + S.loaded(S.default_vocabulary()).spans(t, 9.0))) for i, t in kept]
     library = Tokenizer.from_file(default_vocabulary())
     out = []
     for i, t in masked:

@@ -1,13 +1,17 @@
 import hashlib
+import math
 import random
 import re
 import string
+import tracemalloc
+from functools import lru_cache
 
 import pytest
 
 from xorvault.llm import license_diagonals as L
 from xorvault.llm.compression_rules import Bands, Judge, base_counts, quality_rules
-from xorvault.llm.secret_guess import base_spans, guess_spans, joined, log10_guesses, redacted, scan_secrets, segments_at
+from xorvault.llm import secret_guess as S
+from xorvault.llm.secret_guess import base_spans, joined, redacted, scan_secrets
 
 CASES = ["", " ", "a", "a b c a b c", "x\ny\nx\n\n x\n", "# * | <a>", "日本 語\n日本 語", "w " * 500, "one two three four five", "a b c d a b c d e a b c"]
 
@@ -98,43 +102,81 @@ def test_base_spans_random():
         assert sorted(base_spans(text)) == sorted(brute_base(text))
 
 
+GUESSER = S.loaded(S.default_vocabulary())
+
+
 def brute_guesses(value):
-    """Every cut of a short value."""
-    from xorvault.llm import secret_guess as S
-
-    low = value.lower()
-    walks, end = [0] * len(value), len(value)
-    for i in range(len(value) - 1, -1, -1):
-        end = end if i + 1 < len(value) and (low[i], low[i + 1]) in S.NEXT else i + 1
-        walks[i] = end
-    best = float("inf")
-
-    def go(i, cost, brute):
-        nonlocal best
+    """Every cut of a short value, each segment priced by the definition of its kind: dates and repeats go as far as they
+    can from where they start, walks as far or for three characters."""
+    rows = [x for row in S.ROWS for x in (row, row[::-1])]
+    low = "".join(c.lower() if c.isascii() else c for c in value)
+    card = lambda c: math.log10(10 if c.isdigit() or c in "-_." else 26 if c.isalpha() and c.isascii() else 33 if c.isascii() else 100)
+
+    def prices(i, j):
+        part, lower = value[i:j], low[i:j]
+        plain = lower.translate(S.LEET)
+        if plain in GUESSER.rank:
+            yield math.log10(GUESSER.rank[plain]) + 0.3 * (part != lower) + 0.6 * (plain != lower)
+        if (m := S.DATE.match(value, i)) and m.end() == j:
+            yield math.log10(120 if len(part) == 4 else 120 * 365) + 0.6 * bool(m[1] or m[2])
+        for size in (1, 2, 3, 4):
+            times, rest = divmod(len(part), size)
+            if not rest and times >= 2 and len(part) >= 3 and part == part[:size] * times and value[j : j + size] != part[:size]:
+                yield sum(map(card, part[:size])) + math.log10(times)
+        near = lambda a, b: any(a + b in row for row in rows)
+        if len(part) >= 3 and all(map(near, lower, lower[1:])) and (len(part) == 3 or j == len(low) or not near(low[j - 1], low[j])):
+            yield math.log10(47 * len(part))
+
+    @lru_cache(maxsize=None)
+    def least(i, after_brute):
+        """The cheapest way to guess value[i:], where a cut before i is paid for unless a brute-force span goes on."""
         if i == len(value):
-            best = min(best, cost)
-            return
-        go(i + 1, cost + S._cardinality(value[i]) + (0 if brute or i == 0 else S.CUT), True)
-        for j, c, _ in segments_at(value, low, i, walks):
-            go(j, cost + c + (S.CUT if i else 0), False)
+            return 0.0
+        cut = S.CUT if i else 0.0
+        best = card(value[i]) + (0.0 if after_brute else cut) + least(i + 1, True)
+        for j in range(i + 1, len(value) + 1):
+            best = min([best, *(p + cut + least(j, False) for p in prices(i, j))])
+        return best
 
-    go(0, 0.0, False)
-    return best
+    return least(0, False)
 
 
-@pytest.mark.parametrize("value", ["a", "password1", "qwerty12", "19990101", "aaaaaa", "P4ssw0rd!", "abcabcabc", "x9Kq", "2024", "admin123"])
+@pytest.mark.parametrize("value", ["a", "password1", "qwerty12", "19990101", "aaaaaa", "P4ssw0rd!", "abcabcabc", "x9Kq", "2024", "admin123", "1999-01-01", "Correcth0rse", "\u0130stanbul12", "abcddcba", "zzzyyyzzzyyy"])
 def test_guess_cost_is_the_least(value):
-    assert log10_guesses(value) == pytest.approx(brute_guesses(value))
+    assert GUESSER.log10_guesses(value) == pytest.approx(brute_guesses(value))
+
+
+def test_guess_cost_is_the_least_random():
+    rng = random.Random(12)
+    parts = ["pass", "Word", "abc", "cba", "2020", "-01", "-02", "a", "a", "7", "xyxy", "!", "the", "tH3", "qwe", "é"]
+    for _ in range(150):
+        value = "".join(rng.choices(parts, k=rng.randint(1, 7)))
+        assert GUESSER.log10_guesses(value) == pytest.approx(brute_guesses(value))
 
 
 def test_guess_order():
     weak = ["password123", "changeme", "qwertyuiop", "aaaaaaaaaaaa", "2020-01-01", "your-token-here"]
-    strong = ["x9Kq2vLp8ZtR", "531ccd051a92ebcb68", "tR7!bnQ2#xYk"]
-    assert max(map(log10_guesses, weak)) < 9 < min(map(log10_guesses, strong))
+    strong = ["x9Kq2vLp8ZtR", "531ccd051a92ebcb68", "tR7!bnQ2#xYk", "eyJhbGciOiJIUzI1.eyJzdWIiOiIxMjM0.SflKxwRJSM"]
+    assert max(map(GUESSER.log10_guesses, weak)) < 9 < min(map(GUESSER.log10_guesses, strong))
     text = "pwd = x9Kq2vLp8ZtR and password=changeme"
-    assert guess_spans(text, 9.0) == [("guess", 6, 18)]
+    assert GUESSER.spans(text, 9.0) == [("guess", 6, 18)]
     assert redacted("a=1 key", [("x", 2, 3), ("y", 2, 3)]) == "a=<secret> key"
-    assert log10_guesses("".join(random.Random(1).choices(string.ascii_letters, k=20_000))) > 9
+    assert all(GUESSER.spans(f"secret = {v}", 9.0) for v in strong)
+
+
+@pytest.mark.parametrize("value", ["process.env.API_KEY", "settings.SECRET_KEY", "os.environ[API_KEY]", "${DB_PASSWORD}", "getPassword(account)", "config::auth::token"])
+def test_references_are_no_secrets(value):
+    assert GUESSER.spans(f"password = {value}", 9.0) == []
+
+
+def test_very_long_values():
+    for value in ("a" * 1_000_000, "".join(random.Random(1).choices(string.ascii_letters, k=200_000)), "ab12" * 50_000):
+        tracemalloc.start()
+        cost = GUESSER.log10_guesses(value)
+        _, peak = tracemalloc.get_traced_memory()
+        tracemalloc.stop()
+        assert peak < 300 << 20
+        assert (cost > 9) == (len(set(value)) > 10 or value[0] != "a" or value[1] == "b")
 
 
 def test_secret_rows(spark):

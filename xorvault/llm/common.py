@@ -7,14 +7,17 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
-#: Rows that one call of a per-document function handles, which bounds what a Python worker holds at once.
+#: Rows, and bytes of text, that one call of a per-document function handles (one row at least), which bounds what a
+#: Python worker holds at once.
 ROWS_PER_CALL = 512
+BYTES_PER_CALL = 8 << 20
 #: Distinct words whose hashes a Python worker remembers.
 WORDS_REMEMBERED = 300_000
 
@@ -35,7 +38,7 @@ def text_function(make: Callable[[], Callable[[list[str]], list[dict]]], ddl: st
     def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         work = make()
         for batch in batches:
-            made = [_structs(work, batch.slice(at, ROWS_PER_CALL), arrow) for at in range(0, len(batch), ROWS_PER_CALL)]
+            made = [_structs(work, batch.slice(at, n), arrow) for at, n in spans([batch], len(batch), ROWS_PER_CALL)]
             yield pa.concat_arrays(made) if made else pa.array([], arrow)
 
     return F.arrow_udf(run, kind)
@@ -57,10 +60,25 @@ def map_arrow(df: DataFrame, work: Callable[[Iterator[pa.RecordBatch]], Iterator
     return df.mapInArrow(run, kind)
 
 
+def spans(columns: list[pa.Array], n: int, rows: int) -> Iterator[tuple[int, int]]:
+    """(start, count) of runs of n rows with at most `rows` rows, and BYTES_PER_CALL bytes of text unless a single row has more."""
+    ends = np.zeros(n, np.int64)
+    for c in columns:
+        if pa.types.is_string(c.type) or pa.types.is_large_string(c.type) or pa.types.is_binary(c.type):
+            ends += pc.fill_null(pc.binary_length(c), 0).to_numpy(zero_copy_only=False).astype(np.int64)
+    ends = np.cumsum(ends)
+    at = 0
+    while at < n:
+        before = int(ends[at - 1]) if at else 0
+        count = max(1, min(rows, int(np.searchsorted(ends, before + BYTES_PER_CALL, "right")) - at))
+        yield at, min(count, n - at)
+        at += count
+
+
 def slices(batches: Iterator[pa.RecordBatch], rows: int = ROWS_PER_CALL) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        for at in range(0, batch.num_rows, rows):
-            yield batch.slice(at, rows)
+        for at, n in spans(batch.columns, batch.num_rows, rows):
+            yield batch.slice(at, n)
 
 
 def words_of(text: str) -> list[bytes]:
@@ -110,11 +128,13 @@ def fresh(df: DataFrame, name: str) -> str:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir. Set here only where the session has none."""
+    """The folder that driver and executors share: spark.checkpoint.dir. Only a local session without one gets one here."""
     sc = spark.sparkContext
     if found := spark.conf.get("spark.checkpoint.dir", None):
         return found
     if not sc._jsc.sc().getCheckpointDir().isDefined():
+        if not sc.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         sc.setCheckpointDir("/tmp/checkpoints")
     return sc._jsc.sc().getCheckpointDir().get()
 

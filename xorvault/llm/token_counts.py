@@ -6,7 +6,13 @@ the token count of that cut, so that prefixes which pre-tokens share are worked
 are what documents sum up. Ties go to fewer tokens.
 
 Piece probabilities follow the ranks of a public byte-level vocabulary by a Zipf-Mandelbrot law with a stated offset;
-nothing is trained. All 256 bytes are pieces, so every text has a cut. Null and empty texts have no tokens.
+nothing is trained. All 256 bytes are pieces, so every text has a cut.
+
+Pre-tokens share prefixes only near their start, so nodes are kept for the first SHARED_BYTES bytes; the rest of a longer
+word is walked with the scores of a bounded window, exactly, and neither stored nor remembered.
+
+Null and empty texts have no tokens (0 and log_score 0); repeated rows give repeated results; an empty table gives an
+empty one; columns other than the two named aren't read, whatever their names; ties go to the cut of fewer tokens.
 """
 
 from __future__ import annotations
@@ -26,6 +32,9 @@ from .pair_index_bpe import PRETOKEN
 NODES_REMEMBERED = 600_000
 WORDS_REMEMBERED = 500_000
 ZIPF_OFFSET = 2.7
+#: Bytes of a pre-token that the trie has nodes for, and scores that a walk beyond them holds before it drops the oldest.
+SHARED_BYTES = 64
+PATH_HELD = 4096
 
 
 def default_ranks() -> str:
@@ -50,52 +59,72 @@ class PretokenTrie:
             if len(piece) > 1:
                 lengths.setdefault(piece[-2:], set()).add(len(piece))
         self.lengths = {end: tuple(sorted(x)) for end, x in lengths.items()}
+        self.longest = max(map(len, scores))
         self.find = regex.compile(PRETOKEN).findall
+        self.terminal: dict[str, complex] = {}
         self.reset()
 
     def reset(self) -> None:
+        """An empty trie: `nodes` maps 256 * parent + byte to a node, `forward` has each node's score; node 0 is the root."""
         # A result is one complex number, log-probability + tokens * 1j, so that one sum adds up both.
-        self.nodes: dict[bytes, complex] = {b"": 0j}
-        self.terminal: dict[str, complex] = {}
-
-    def insert(self, word: str) -> None:
-        """Put word in the trie: only the nodes beyond its longest known prefix are worked out."""
-        data, nodes, scores, lengths = word.encode("utf-8"), self.nodes, self.scores, self.lengths
-        n = have = len(data)
-        while data[:have] not in nodes:
-            have -= 1
-        path = [nodes[data[:k]] for k in range(have + 1)]
+        self.nodes: dict[int, int] = {}
+        self.forward: list[complex] = [0j]
+
+    def insert(self, word: str) -> complex:
+        """Put word in the trie: only the nodes beyond its longest known prefix are worked out.
+
+        Beyond SHARED_BYTES nothing is stored: the walk goes on with the scores of the last prefixes, as many as the
+        longest piece has bytes, so that a word of any length takes bounded memory.
+        """
+        if len(self.forward) > NODES_REMEMBERED:
+            self.reset()
+        data, nodes, forward, scores, lengths = word.encode("utf-8"), self.nodes, self.forward, self.scores, self.lengths
+        n, node, path = len(data), 0, [0j]
+        shared = min(n, SHARED_BYTES)
+        have = 0
+        while have < shared and (child := nodes.get(node << 8 | data[have])) is not None:
+            node = child
+            have += 1
+            path.append(forward[node])
+        gone = 0  # scores that have left the path's front
         for end in range(have + 1, n + 1):
-            best = path[end - 1] + complex(scores[data[end - 1 : end]], 1)
+            best = path[-1] + complex(scores[data[end - 1 : end]], 1)
             top, count = best.real, best.imag
             for size in lengths.get(data[end - 2 : end], ()) if end > 1 else ():
                 if size > end:
                     break
                 p = scores.get(data[end - size : end])
                 if p is not None:
-                    z = path[end - size]
+                    z = path[end - size - gone]
                     s = z.real + p
                     if s > top or s == top and z.imag + 1 < count:
                         top, count = s, z.imag + 1
             path.append(complex(top, count))
-            nodes[data[:end]] = path[end]
-        self.terminal[word] = path[n]
+            if end <= shared:
+                forward.append(path[-1])
+                nodes[node << 8 | data[end - 1]] = node = len(forward) - 1
+            elif len(path) > PATH_HELD:
+                gone += len(path) - self.longest
+                del path[: -self.longest]
+        return path[-1]
 
     def count(self, texts: list[str]) -> list[dict]:
-        if len(self.nodes) > NODES_REMEMBERED:
-            self.nodes = {b"": 0j}
         split = [self.find(t) for t in texts]
-        terminal = self.terminal
+        terminal, long = self.terminal, []
         for tokens in split:
             for word in set(tokens):
                 if word not in terminal:
-                    self.insert(word)
-        if len(terminal) > WORDS_REMEMBERED:  # words in use stay
-            terminal = self.terminal = {t: terminal[t] for tokens in split for t in tokens}
+                    terminal[word] = self.insert(word)
+                    if len(word) > SHARED_BYTES:
+                        long.append(word)
         get, out = terminal.__getitem__, []
         for text, tokens in zip(texts, split):
             total = sum(map(get, tokens), 0j)
             out.append({"n_pretokens": len(tokens), "n_tokens": round(total.imag), "n_bytes": len(text.encode("utf-8")), "log_score": total.real})
+        for word in long:  # they are rare and large
+            terminal.pop(word, None)
+        if len(terminal) > WORDS_REMEMBERED:  # words in use stay
+            self.terminal = {t: terminal[t] for tokens in split for t in tokens if t in terminal}
         return out
 
 
