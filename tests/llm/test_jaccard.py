@@ -1,11 +1,12 @@
 import random
-from collections import defaultdict
+from collections import Counter, defaultdict
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from xorvault.llm.common import words_of
-from xorvault.llm.jaccard_forest import Forest, components, ngram_jaccard_join, roots, shared_counts
+from xorvault.llm.jaccard_forest import Forest, components, located, ngram_jaccard_join, numbered, roots, shared_counts, shingle_sets, signed
 
 
 def shingle_set(text, size=5):
@@ -87,10 +88,61 @@ def test_empty(spark):
     assert ngram_jaccard_join(spark.createDataFrame([], "doc_id long, text string")).count() == 0
 
 
-def test_recall_bound():
+def test_levels_keep_the_recall():
+    """Fewer crowded tries leave room for longer prefixes; every level misses a pair at the threshold with at most 0.001."""
     f = Forest()
-    d = f.matched_depth()
-    assert 1 - (1 - 0.8**d) ** f.trees >= f.recall > 1 - (1 - 0.8 ** (d + 1)) ** f.trees
+    levels = [f.level(g) for g in range(f.trees + 1)]
+    assert levels == sorted(levels, reverse=True) and levels[1] == f.depth > levels[-1] > f.shallow
+    for g, d in enumerate(levels):
+        missed = lambda d: (1 - 0.8**f.shallow) ** (f.trees - g) * (1 - 0.8**d) ** g
+        assert missed(d) <= 1 - f.recall and (d == f.depth or missed(d + 1) > 1 - f.recall)
+
+
+def test_prefixes_follow_the_data(spark):
+    """Under a crowded shallow node texts are told apart by longer prefixes; a lone pair of copies meets at short ones."""
+    rng = random.Random(6)
+    common = [f"c{k}" for k in range(60)]
+    rows = [(k, " ".join(common + [f"u{k}x{j}" for j in range(25)])) for k in range(120)]  # alike at about 0.5
+    lone = [f"l{k}" for k in range(80)]
+    rows += [(500, " ".join(lone)), (501, " ".join([*lone[:-2], "x", "y"]))]
+    forest = Forest(block=16)
+    signatures = signed(spark.createDataFrame(rows, "doc_id long, text string"), forest, "doc_id", "text")
+    texts = signatures.select("h", F.col("id").alias("rep"), "keys", "tails")
+    got = {r.rep: r.nodes for r in located(texts, forest).collect()}
+    keys = {r.rep: list(r["keys"]) for r in texts.collect()}
+    assert got[500] == keys[500] and got[501] == keys[501]
+    shallow, deep = (Counter(x for k in range(120) if k in got for x in of[k]) for of in (keys, got))
+    assert max(shallow.values()) > 16 and sum(n * n for n in deep.values()) < sum(n * n for n in shallow.values()) / 2
+
+
+def test_recall_is_measured(spark):
+    """Pairs from just above the threshold up, at random: of their links, at least 99.5 % are found."""
+    rng = random.Random(10)
+    rows = []
+    for k in range(150):
+        t = [f"a{k}_{j}" for j in range(100)]
+        rows.append((3 * k, " ".join(t)))
+        for copy in (1, 2):
+            u = list(t)
+            u[-rng.randint(1, 20) :] = [f"b{k}_{copy}_{j}" for j in range(3)]
+            rows.append((3 * k + copy, " ".join(u)))
+    want = brute(rows)
+    got = {r.doc_id: r.n_links for r in ngram_jaccard_join(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    links = sum(w[1] for w in want.values())
+    assert links > 200 and all(got[i] <= want[i][1] for i in got) and sum(got.values()) >= 0.995 * links
+
+
+def test_shingles_are_exact():
+    rng = random.Random(7)
+    texts = [[rng.choice([b"a", b"b", b"c"]) for _ in range(n)] for n in (0, 1, 2, 3, 4, 5, 6, 7, 30, 200)] * 2
+    for size in (1, 2, 3, 5, 6, 8):
+        ids, lengths, known = numbered(texts)
+        sets = shingle_sets(ids, lengths, size)
+        real = [shingle_set(b" ".join(t).decode(), size) for t in texts]
+        for x, a in zip(sets, real):
+            assert len(x) == len(a)
+            for y, b in zip(sets, real):
+                assert len(np.intersect1d(x, y)) == len(a & b)
 
 
 def test_shared_counts_and_roots():

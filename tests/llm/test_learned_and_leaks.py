@@ -49,10 +49,10 @@ def test_very_long_words():
         score, n = viterbi(word.encode(), trie.scores) if size < 1000 else window_viterbi(word.encode(), trie.scores)
         assert got["n_tokens"] == n and got["log_score"] == pytest.approx(score)
     tracemalloc.start()
-    trie.count(["a" * 1_000_000, "".join(rng.choices("etaoinshrdlu", k=1_000_000))])
+    trie.count(["a" * 200_000, "".join(rng.choices("etaoinshrdlu", k=200_000))])
     _, peak = tracemalloc.get_traced_memory()
     tracemalloc.stop()
-    assert peak < 100 << 20 and len(trie.nodes) <= 7 * 64 and max(map(len, trie.terminal)) <= 64
+    assert peak < 5 << 20 and len(trie.nodes) <= 7 * 64 and max(map(len, trie.terminal)) <= 64
 
 
 def window_viterbi(data, scores):

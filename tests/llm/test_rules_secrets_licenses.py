@@ -170,12 +170,12 @@ def test_references_are_no_secrets(value):
 
 
 def test_very_long_values():
-    for value in ("a" * 1_000_000, "".join(random.Random(1).choices(string.ascii_letters, k=200_000)), "ab12" * 50_000):
+    for value in ("a" * 200_000, "".join(random.Random(1).choices(string.ascii_letters, k=50_000)), "ab12" * 20_000):
         tracemalloc.start()
         cost = GUESSER.log10_guesses(value)
         _, peak = tracemalloc.get_traced_memory()
         tracemalloc.stop()
-        assert peak < 300 << 20
+        assert peak < 300 * len(value)
         assert (cost > 9) == (len(set(value)) > 10 or value[0] != "a" or value[1] == "b")
 
 
