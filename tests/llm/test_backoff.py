@@ -1,10 +1,11 @@
 import math
+import random
 from collections import Counter
 
 import numpy as np
 import pytest
 
-from xorvault.llm.backoff_lm import Backoff, backoff_scores, pack_sorted, packed, unpack_sorted, unpacked
+from xorvault.llm.backoff_lm import Backoff, backoff_scores, cut_runs, pack_sorted, packed, unpack_sorted, unpacked
 from xorvault.llm.common import words_of
 
 
@@ -43,6 +44,30 @@ def test_as_brute_force(spark, order, chunk):
         assert got[k][2] is None if not n else got[k][2] == pytest.approx(want / n, abs=1e-9)
 
 
+@pytest.mark.parametrize("fan", [2, 3])
+def test_levels(spark, fan):
+    """Many chunks over a small fan take several levels, which give the same scores; the runs a chunk sends stay within the fan."""
+    rng = random.Random(fan)
+    texts = [" ".join(rng.choices("abcdefgh", k=rng.randint(0, 12))) for _ in range(30)] + TEXTS
+    spec = Backoff(chunk_bytes=1, fan=fan, runs_per_task=4)
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(2)
+    chunks = sum(len(t or "") for t in texts)
+    assert chunks > fan**5
+    spec = Backoff(chunk_bytes=math.ceil(chunks / fan**3), fan=fan, runs_per_task=4)
+    got = {r.doc_id: r.log_score for r in backoff_scores(docs, spec=spec).collect()}
+    assert [got[k] for k in range(len(texts))] == pytest.approx(brute(texts, spec), abs=1e-9)
+
+
+def test_runs_cover_the_hashes():
+    values = np.unique(np.random.default_rng(3).integers(0, 1 << 56, 5000).astype(np.uint64))
+    for depth in (1, 2, 3):
+        runs = list(cut_runs(values, 4, depth))
+        assert [a for _, a, _ in runs] == [0] + [b for _, _, b in runs][:-1] and runs[-1][2] == len(values)
+        assert len(runs) <= 4**depth and [b for b, _, _ in runs] == sorted({b for b, _, _ in runs})
+    coarse, fine = (np.repeat([b for b, _, _ in r], [e - a for _, a, e in r]) for r in (list(cut_runs(values, 4, 1)), list(cut_runs(values, 4, 2))))
+    assert (fine // 4 == coarse).all()
+
+
 def test_edges(spark):
     docs = spark.createDataFrame([(None, "a b"), (1, "a b"), (1, "a b")], "doc_id long, text string")
     assert len({r.log_score for r in backoff_scores(docs).collect()}) == 1

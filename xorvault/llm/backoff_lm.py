@@ -5,19 +5,23 @@ times in the corpus, else `backoff` times the score after the history's shorter
 A document's score is the sum of logarithms over its words, with histories inside the document.
 
 Counts and join are relational: n-grams of all orders (the total is the count of the empty one) are exploded, keyed by
-a 56-bit hash, partitioned by ranges of that hash, summed, and joined back to the documents. What moves is packed: rows
-are gathered in chunks by a hash of document id and text; a chunk sends each of its distinct n-grams once to the n-gram's
-hash partition, as a sorted run of hashes with counts, delta-coded. The partition sums the runs of all chunks and
-returns, run by run, the corpus counts in the run's order. A frequent n-gram is one entry per chunk, so it makes no hot
-partition, and no table of n-grams is ever broadcast or held whole. Each chunk then scores its documents from its returned
-counts. Chunks and partitions grow in number with the input; each has a bounded share of it.
-
-Null and empty texts have no words: log_score 0 and no mean. Repeated rows each get the same score.
+a 56-bit hash, partitioned by ranges of that hash, summed, and joined back to the documents. What moves is packed, since a
+row for each n-gram would be some fifteen times the input: rows are gathered in chunks by a hash of document id and text;
+a chunk sends each of its distinct n-grams once, as sorted, delta-coded runs of hashes with counts, one run for each of
+`fan` ranges of hashes. A range's node sums its runs and returns the corpus counts run by run. Above `fan` chunks, nodes
+merge their runs and send finer ranges to a next level, and hand on what comes back: runs a chunk stay constant in number
+and size, and only levels grow, with the logarithm of the input. A frequent n-gram is one entry per run, so it makes no
+hot node, and no table of n-grams is ever broadcast or held whole. Each chunk then scores its documents from its returned
+counts. The number of shuffle partitions follows the input at every step.
+
+Null and empty texts have no words: log_score 0 and no mean. Repeated rows each get the same score; they meet in one
+chunk. An empty table gives an empty result; columns other than the two named aren't read, whatever their names.
 """
 
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -41,7 +45,8 @@ class Backoff:
     backoff: float = 0.4
     least: int = 2
     chunk_bytes: int = 2 << 20
-    partitions_per_chunk: int = 1
+    fan: int = 256
+    runs_per_task: int = 256
 
 
 def packed(values: np.ndarray) -> bytes:
@@ -135,40 +140,95 @@ def bytes_of(docs: DataFrame, text_col: str) -> int:
     return docs.agg(F.sum(F.octet_length(text_col)).alias("n")).first()["n"] or 0
 
 
+RUN = "node bigint, source bigint, bucket bigint, n bigint, hashes binary, counts binary"
+BACK = "node bigint, source bigint, bucket bigint, n bigint, counts binary"
+
+
+def cut_runs(values: np.ndarray, fan: int, depth: int) -> Iterator[tuple[int, int, int]]:
+    """(bucket, start, end) of the runs of sorted hashes by the range of their leading digits: `depth` digits of base `fan`."""
+    ranges = fan**depth
+    bucket = ((values >> np.uint64(BITS - 32)) * np.uint64(ranges) >> np.uint64(32)).astype(np.int64) if len(values) else np.zeros(0, np.int64)
+    cuts = np.flatnonzero(np.diff(bucket, prepend=-1, append=-1)) if len(bucket) else np.zeros(0, np.int64)
+    return ((int(bucket[a]), a, b) for a, b in zip(cuts, cuts[1:]))
+
+
+def gathered(table: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """A node's runs, one behind the other: their lengths; then the distinct hashes in order, their counts, and each entry's place among them."""
+    n = table["n"].to_numpy()
+    hashes = np.concatenate([unpack_sorted(x, k) for x, k in zip(table["hashes"].to_pylist(), n)])
+    counts = np.concatenate([unpacked(x, k) for x, k in zip(table["counts"].to_pylist(), n)])
+    order = np.argsort(hashes, kind="stable")
+    ordered = hashes[order]
+    first = np.append(True, ordered[1:] != ordered[:-1])
+    place = np.empty(len(order), np.int64)
+    place[order] = np.cumsum(first) - 1
+    return n, ordered[first], np.add.reduceat(counts[order], np.flatnonzero(first)), place
+
+
+def counted(runs: DataFrame, spec: Backoff, sources: int, depth: int) -> DataFrame:
+    """The corpus counts of each run's hashes, run by run, as (node, source, bucket, n, counts).
+
+    A node takes the runs of one range of hashes from up to `fan` sources. Where there are more sources than that, it
+    merges its runs into one list and is itself a source of the next level, which cuts the range into `fan` finer ones;
+    what comes back for its list it hands on to its runs. So a source sends at most `fan` runs, whatever the input's
+    size, a node takes in at most `fan` runs, and levels grow with the logarithm of the number of sources.
+    """
+    run_schema, back_schema = arrow_schema(RUN), arrow_schema(BACK)
+    groups = math.ceil(sources / spec.fan)
+    dealt = runs.withColumn("node", F.col("bucket") * groups + F.floor(F.col("source") / spec.fan))
+    most_runs = spec.fan**depth * sources
+    dealt = dealt.repartition(min(spec.fan**depth * groups, math.ceil(most_runs / spec.runs_per_task)), "node")
+
+    def total(key, table):
+        n, _, sums, place = gathered(table)
+        ends = np.cumsum(n)
+        counts = sums[place]
+        return pa.table([*(table[c].combine_chunks() for c in ("node", "source", "bucket", "n")), pa.array([packed(counts[e - k : e]) for e, k in zip(ends, n)], pa.binary())], schema=back_schema)
+
+    if groups == 1:
+        return dealt.groupBy("node").applyInArrow(total, BACK)
+
+    def merge(key, table):
+        _, values, sums, _ = gathered(table)
+        node = key[0].as_py()
+        rows = [(node, node % groups, bucket, b - a, pack_sorted(values[a:b]), packed(sums[a:b])) for bucket, a, b in cut_runs(values, spec.fan, depth + 1)]
+        return table_of(rows, run_schema)
+
+    # Sources of the next level: one for each group of this one's, in each range. Ranges are apart, so they number groups alone.
+    finer = counted(dealt.groupBy("node").applyInArrow(merge, RUN), spec, groups, depth + 1)
+    home = finer.withColumn("node", F.floor(F.col("bucket") / spec.fan) * groups + F.col("source"))
+    def hand_on(runs, back):
+        if not runs.num_rows:
+            return back_schema.empty_table()
+        n, _, _, place = gathered(runs)
+        back = back.sort_by("bucket")
+        sums = np.concatenate([unpacked(x, k) for x, k in zip(back["counts"].to_pylist(), back["n"].to_pylist())])
+        ends, counts = np.cumsum(n), sums[place]
+        return pa.table([*(runs[c].combine_chunks() for c in ("node", "source", "bucket", "n")), pa.array([packed(counts[e - k : e]) for e, k in zip(ends, n)], pa.binary())], schema=back_schema)
+
+    return dealt.groupBy("node").cogroup(home.groupBy("node")).applyInArrow(hand_on, BACK)
+
+
+def arrow_schema(ddl: str) -> pa.Schema:
+    return to_arrow_schema(T._parse_datatype_string(ddl))
+
+
+def table_of(rows: list[tuple], schema: pa.Schema) -> pa.Table:
+    return pa.table([pa.array([r[k] for r in rows], f.type) for k, f in enumerate(schema)], schema=schema)
+
+
 def backoff_scores(docs: DataFrame, *, spec: Backoff = Backoff(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per input row: id, n_words, log_score, mean_log_score."""
     chunks = max(1, math.ceil(bytes_of(docs.select(id_col, text_col), text_col) / spec.chunk_bytes))
-    partitions = chunks * spec.partitions_per_chunk
     kind = docs.schema[id_col].dataType
     rows = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"), F.pmod(F.xxhash64(id_col, text_col), F.lit(chunks)).alias("chunk"))
-    run = "bucket bigint, chunk bigint, n bigint, hashes binary, counts binary"
-    run_schema = to_arrow_schema(T._parse_datatype_string(run))
+    rows = rows.repartition(chunks, "chunk")
+    schema = arrow_schema(RUN)
 
     def send(key, table):
         values, counts = Chunk(table["text"].to_pylist(), spec.order).distinct()
-        bucket = ((values >> np.uint64(BITS - 32)) * np.uint64(partitions) >> np.uint64(32)).astype(np.int64)
-        cuts = np.flatnonzero(np.diff(bucket, prepend=-1, append=-1)) if len(bucket) else np.zeros(0, np.int64)
-        out: dict[str, list] = {f.name: [] for f in run_schema}
-        for a, b in zip(cuts, cuts[1:]):
-            for name, v in zip(out, (int(bucket[a]), key[0].as_py(), b - a, pack_sorted(values[a:b]), packed(counts[a:b]))):
-                out[name].append(v)
-        return pa.table({f.name: pa.array(out[f.name], f.type) for f in run_schema}, schema=run_schema)
-
-    back = "chunk bigint, bucket bigint, n bigint, counts binary"
-    back_schema = to_arrow_schema(T._parse_datatype_string(back))
-
-    def total(key, table):
-        n = table["n"].to_numpy()
-        hashes = np.concatenate([unpack_sorted(x, k) for x, k in zip(table["hashes"].to_pylist(), n)])
-        counts = np.concatenate([unpacked(x, k) for x, k in zip(table["counts"].to_pylist(), n)])
-        order = np.argsort(hashes)
-        hashes = hashes[order]
-        starts = np.flatnonzero(np.append(True, hashes[1:] != hashes[:-1]))
-        sums = np.add.reduceat(counts[order], starts)
-        every = np.empty(len(order), np.uint64)
-        every[order] = np.repeat(sums, np.diff(np.append(starts, len(order))))
-        ends = np.cumsum(n)
-        return pa.table({"chunk": table["chunk"].combine_chunks(), "bucket": table["bucket"].combine_chunks(), "n": pa.array(n), "counts": pa.array([packed(every[e - k : e]) for e, k in zip(ends, n)], pa.binary())}, schema=back_schema)
+        chunk = key[0].as_py()
+        return table_of([(0, chunk, bucket, b - a, pack_sorted(values[a:b]), packed(counts[a:b])) for bucket, a, b in cut_runs(values, spec.fan, 1)], schema)
 
     out_kind = T.StructType([T.StructField("id", kind), T.StructField("n_words", T.LongType()), T.StructField("log_score", T.DoubleType())])
     out_schema = to_arrow_schema(out_kind)
@@ -181,8 +241,8 @@ def backoff_scores(docs: DataFrame, *, spec: Backoff = Backoff(), id_col: str =
         counts = np.concatenate([unpacked(x, k) for x, k in zip(right["counts"].to_pylist(), right["n"].to_pylist())])
         return pa.table({"id": left["id"].combine_chunks(), "n_words": pa.array(chunk.lengths), "log_score": pa.array(chunk.scores(counts, spec))}, schema=out_schema)
 
-    runs = rows.groupBy("chunk").applyInArrow(send, run)
-    counts = runs.groupBy("bucket").applyInArrow(total, back)
+    counts = counted(rows.groupBy("chunk").applyInArrow(send, RUN), spec, chunks, 1)
+    counts = counts.withColumnRenamed("source", "chunk").repartition(chunks, "chunk")
     scored = rows.groupBy("chunk").cogroup(counts.groupBy("chunk")).applyInArrow(score, out_kind)
     return scored.select(F.col("id").alias(id_col), "n_words", "log_score", F.when(F.col("n_words") > 0, F.col("log_score") / F.col("n_words")).alias("mean_log_score"))
 
