@@ -296,3 +296,34 @@ def test_folders_of_repositories(spark, tmp_path):
     assert files.groupBy(F.sha2("content", 256)).count().first()["count"] == 2
     told = {r.repo_id: (r.status, r.base) for r in family.from_metadata(archive.read_cards(spark, str(tmp_path))).collect()}
     assert told == {"r1": ("ambiguous", None), "r2": ("exact", "r1")}
+
+
+def test_children_of_one_base_are_spread(spark):
+    """5,000 of 6,000 children have one base, and don't land in one task."""
+    own, base = ["repo_id", "path", "ordinal"], ["base_repo", "base_path", "base_ordinal"]
+    rows = spark.range(6_000).select(F.concat(F.lit("m"), "id").alias("repo_id"), F.lit("p").alias("path"), F.lit(0).alias("ordinal"), F.when(F.col("id") < 5000, "hot").otherwise(F.concat(F.lit("b"), F.col("id") % 200)).alias("base_repo"))
+    children = rows.withColumns({"base_path": F.lit("p"), "base_ordinal": F.lit(0)})
+    payloads = rows.select(*own, F.col("repo_id").cast("binary").alias("payload"))
+    bases = children.select(*base).distinct().withColumn("payload_b", F.col("base_repo").cast("binary"))
+    old = {k: spark.conf.get(k) for k in ("spark.sql.shuffle.partitions", "spark.sql.adaptive.enabled", "spark.sql.autoBroadcastJoinThreshold")}
+    try:
+        spark.conf.set("spark.sql.shuffle.partitions", "16")
+        spark.conf.set("spark.sql.adaptive.enabled", "false")
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+        made = hub.with_bases(children, payloads, bases, own=own, base=base)
+        sizes = sorted(r["n"] for r in made.groupBy(F.spark_partition_id().alias("p")).agg(F.count("*").alias("n")).collect())
+        got = made.select(F.count("*"), F.bool_and(F.col("payload_b").cast("string") == F.col("base_repo"))).first()
+    finally:
+        for k, v in old.items():
+            spark.conf.set(k, v)
+    assert tuple(got) == (6000, True)
+    assert sizes[-1] <= 3 * sizes[len(sizes) // 2] and len(sizes) == 16
+
+
+def test_tensors_without_a_base_skip_the_join(spark, sf_dir):
+    """Their payloads go around the joins on base tensors: no join has a null key to gather them by."""
+    pool = storage.built(spark, sf_dir).pool
+    plan = explained(hub.decoded_pool(pool))
+    assert "Union" in plan
+    filters = [line for line in plan.split("\n") if line.startswith("PushedFilters") and "base_hash" in line]
+    assert any("IsNull(base_hash)" in f for f in filters) and any("IsNotNull(base_hash)" in f for f in filters)

@@ -84,6 +84,28 @@ def assign_bases(tensors: DataFrame, live: DataFrame, repos: DataFrame, config:
     return exact.unionAll(found.where("base IS NOT NULL").select(F.col("model").alias("repo_id"), "base", F.lit("distance").alias("source")))
 
 
+#: Children of one base that a task gets together with it.
+CHILDREN_A_TASK = 64
+#: Parts that the children of one base are dealt to when they are told its count.
+SALTS = 16
+
+
+def with_bases(children: DataFrame, payloads: DataFrame, bases: DataFrame, *, own: list[str], base: list[str]) -> DataFrame:
+    """children (metadata, all of which name a base) with their payload columns by `own`, and the row of `bases` they name.
+
+    One base may have any share of all children, so its row is sent to as many tasks as its children fill; children learn
+    that count, and take a part, before any payload is fetched. Children without a base don't belong here: with a null
+    key, they would all meet in one task.
+    """
+    children = graph.checkpointed(children)
+    counts = graph.checkpointed(children.groupBy(*base).agg(F.ceil(F.count("*") / CHILDREN_A_TASK).cast("int").alias("_parts")))
+    salted = counts.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    dealt = children.withColumn("_salt", F.pmod(F.xxhash64(*own), F.lit(SALTS)).cast("int")).join(salted, [*base, "_salt"])
+    dealt = dealt.withColumn("_part", F.pmod(F.xxhash64(F.lit(7), *own), "_parts").cast("int")).drop("_salt", "_parts")
+    sent = bases.join(counts, base).withColumn("_part", F.explode(F.sequence(F.lit(0), F.col("_parts") - 1))).drop("_parts")
+    return dealt.join(payloads, own).join(sent, [*base, "_part"], "left").drop("_part")
+
+
 def reduce_hub(tensors: DataFrame, repos: DataFrame, *, config: Config = Config(), after: HubStore | None = None, bases: DataFrame | None = None) -> HubStore:
     """The whole pipeline over tensors (with payload) and repos (card, config, seq).
 
@@ -122,7 +144,9 @@ def reduce_hub(tensors: DataFrame, repos: DataFrame, *, config: Config = Config(
     paired = align.align(deltas, roots, by=config.alignment)
     payloads = tensors.select("repo_id", "path", "ordinal", "payload")
     base_bytes = readable.select(F.col("repo_id").alias("base_repo"), F.col("path").alias("base_path"), F.col("ordinal").alias("base_ordinal"), F.col("payload").alias("payload_b"))
-    aligned = paired.join(payloads, ["repo_id", "path", "ordinal"]).join(base_bytes, ["base_repo", "base_path", "base_ordinal"], "left")
+    paired, own_key, base_key = graph.checkpointed(paired), ["repo_id", "path", "ordinal"], ["base_repo", "base_path", "base_ordinal"]
+    known = F.col("base_path").isNotNull() & F.col("base_ordinal").isNotNull()
+    aligned = with_bases(paired.where(known), payloads, base_bytes, own=own_key, base=base_key).unionByName(paired.where(~known).join(payloads, own_key), allowMissingColumns=True)
 
     def make(payload, base, dtype):
         options = {"transform": config.transform, "codec": config.codec, "level": config.level, "plane_split": config.plane_split}
@@ -150,10 +174,11 @@ def compact(store: HubStore, path: str, *, target_bytes: int = 128 << 20) -> Hub
 
 
 def decoded_pool(pool: DataFrame) -> DataFrame:
-    """Pool rows with their raw payload; a base is always stored on its own, so one join finds it."""
+    """Pool rows with their raw payload; a base is always stored on its own, so one join finds it, which tensors without one skip."""
     alone = pool.where("base_hash IS NULL")
     bases = alone.join(pool.where("base_hash IS NOT NULL").select(F.col("base_hash").alias("tensor_hash")).distinct(), "tensor_hash", "left_semi").select(F.col("tensor_hash").alias("base_hash"), F.col("coded").alias("base_coded"), F.col("dtype").alias("base_dtype")).dropDuplicates(["base_hash"])
-    both = pool.join(bases, "base_hash", "left")
+    deltas = pool.where("base_hash IS NOT NULL")
+    both = with_bases(deltas.select("pool_key", "base_hash"), deltas.drop("base_hash"), bases, own=["pool_key"], base=["base_hash"]).unionByName(alone, allowMissingColumns=True)
 
     def make(data, dtype, base, base_dtype):
         return {"payload": codecs.decode(data, dtype, codecs.decode(base, base_dtype) if base is not None else None)}
