@@ -195,19 +195,19 @@ def test_every_base_of_like_structure_is_compared(spark):
 
 
 def test_sweeps_have_pairs_across_families(spark, sf_dir):
-    swept = QUERIES["threshold_sweep_all"](spark, sf_dir).collect()
+    swept = QUERIES["threshold_sweep_zoo"](spark, sf_dir).collect()
     assert all(r.fp + r.tn > 0 for r in swept) and len({r.tp + r.fp + r.tn + r.fn for r in swept}) == 1
     assert all(r.fp + r.tn > 0 for r in QUERIES["threshold_pick"](spark, sf_dir).collect())
-    pairs = QUERIES["bitdist_pairs_all"](spark, sf_dir)
+    pairs = QUERIES["bitdist_pairs"](spark, sf_dir)
     assert pairs.count() == swept[0].tp + swept[0].fp + swept[0].tn + swept[0].fn
     families = zoo.tensors(spark, sf_dir).select("family").distinct().count()
     assert pairs.select(F.split("a", "_")[0]).distinct().count() == families
-    assert QUERIES["classify_pairs_all"](spark, sf_dir).where("NOT actual AND rule = 'distance'").count() > 0
+    assert QUERIES["classify_pairs"](spark, sf_dir).where("NOT actual AND rule = 'distance'").count() > 0
 
 
 def test_monte_carlo_draws(spark, sf_dir):
     assert {r.n for r in QUERIES["mc_generators"](spark, sf_dir).collect()} == {100_000}
-    grid = {(r.sigma_w, r.sigma_d): r for r in QUERIES["mc_expected_grid_all"](spark, sf_dir).collect()}
+    grid = {(r.sigma_w, r.sigma_d): r for r in QUERIES["mc_expected_grid"](spark, sf_dir).collect()}
     assert len(grid) == 42 and {r.n for r in grid.values()} == {100_000}
     assert grid[0.02, 0.002].expected == QUERIES["mc_point"](spark, sf_dir).first().expected
 

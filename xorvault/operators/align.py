@@ -21,6 +21,14 @@ def align(tuned: DataFrame, base: DataFrame, *, by: str = "order") -> DataFrame:
     return tuned.withColumn("k", key).join(b, ["base_repo", "k", "dtype", "shape"], "left").drop("k")
 
 
+def align_recipes(paired: DataFrame, base: DataFrame) -> DataFrame:
+    """paired, where quantized tensors (I8) of a model with a base get the base's tensor in their place as what they are made from."""
+    b = base.where("dtype <> 'I8'").select(F.col("repo_id").alias("base_repo"), "ordinal", F.col("tensor_hash").alias("from_hash"), F.col("path").alias("from_path"), F.col("ordinal").alias("from_ordinal"))
+    made = paired.join(b, ["base_repo", "ordinal"], "left")
+    open_ = (F.col("dtype") == "I8") & F.col("base_hash").isNull()
+    return made.withColumns({f"base_{c}": F.when(open_, F.col(f"from_{c}")).otherwise(F.col(f"base_{c}")) for c in ("hash", "path", "ordinal")}).drop("from_hash", "from_path", "from_ordinal")
+
+
 def naming_audit(tensors: DataFrame, bases: DataFrame) -> DataFrame:
     """(repo_id, base, n_tensors, by_order, by_name, by_normalized, alphabetical, finding) of archives against their base.
 

@@ -88,7 +88,7 @@ def bit_breakdown(pairs: DataFrame, *, by: tuple[str, ...] = ("a", "b"), width:
 
 def shares(rows: DataFrame, by: tuple[str, ...], width: int, exponent: int) -> DataFrame:
     total = rows.groupBy(*by).agg(F.sum("ones").alias("total")) if by else rows.agg(F.sum("ones").alias("total"))
-    joined = rows.join(F.broadcast(total), list(by)) if by else rows.crossJoin(total)
+    joined = rows.join(total, list(by)) if by else rows.crossJoin(total)
     field = F.when(F.col("bit_pos") == width - 1, "sign").when(F.col("bit_pos") >= width - 1 - exponent, "exponent").otherwise("mantissa")
     return joined.select(*by, F.col("bit_pos").cast("int").alias("bit_pos"), field.alias("field"), "ones", F.when(F.col("total") > 0, F.round(F.col("ones") / F.col("total"), 6)).alias("share"))
 

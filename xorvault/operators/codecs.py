@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from xorvault.functions import words as W
 
 GENERAL = ("zstd", "lz4", "gzip", "brotli", "snappy")
-NAMES = (*GENERAL, "raw", "grouping_huffman", "grouping_zstd", "xor", "xor_planes", "wrap", "zigzag")
+NAMES = (*GENERAL, "raw", "grouping_huffman", "grouping_zstd", "xor", "xor_planes", "wrap", "zigzag", "recipe")
 HEAD = struct.Struct("<2sBBQ")
 MAGIC = b"XV"
 
@@ -259,6 +259,15 @@ def encode(payload: bytes, dtype: str, codec: str, level: int | None = 3) -> byt
     return pack(payload if codec == "raw" else _compress(payload, codec, level), codec, payload, codec if codec in GENERAL else "zstd")
 
 
+def recipe_encode(payload: bytes, base: bytes, base_dtype: str) -> bytes | None:
+    """A quantized payload as the recipe that makes it from its base's tensor; None where it doesn't make it exactly."""
+    from xorvault.operators.quantize import quantize
+
+    if base_dtype not in W.DTYPES or quantize(base, base_dtype) != payload:
+        return None
+    return pack(base_dtype.encode(), "recipe", payload)
+
+
 def smallest(payload: bytes, dtype: str, codecs: tuple[str, ...] = ("zstd", "grouping_huffman")) -> bytes:
     return min((encode(payload, dtype, c) for c in codecs), key=len)
 
@@ -276,6 +285,10 @@ def decode(data: bytes, dtype: str, base: bytes | None = None) -> bytes:
         return _grouping_decode(body, dtype, name.split("_")[1])
     if base is None:
         raise ValueError(f"a {name} payload needs its base")
+    if name == "recipe":
+        from xorvault.operators.quantize import quantize
+
+        return quantize(base, body.decode())
     d = _decompress(body, general, n)
     if name == "xor_planes":
         return W.xor(_unplanes(d, W.DTYPES[dtype][1] // 8), base)

@@ -69,6 +69,18 @@ def classify_pairs(pairs: DataFrame, *, tau: float = 4.0) -> DataFrame:
     return pairs.withColumn("rule", F.when(differ, "structure").otherwise("distance")).withColumn("predicted", F.when(differ, False).otherwise(F.coalesce(F.col("distance") < tau, F.lit(False))))
 
 
+def structure_pairs(models: DataFrame) -> DataFrame:
+    """(rule, predicted, actual, pairs): how many pairs of models (signature, family) differ in structure, of one family and of two."""
+    half = lambda c: (F.col(c) * (F.col(c) - 1) / 2).cast("bigint")
+    each = models.groupBy("signature", "family").agg(F.count("*").alias("n"))
+    total = lambda df, name: df.agg(F.coalesce(F.sum(half("n")), F.lit(0)).alias(name))
+    summed = lambda *by: each.groupBy(*by).agg(F.sum("n").alias("n"))
+    counts = total(summed(), "every").crossJoin(total(summed("signature"), "alike")).crossJoin(total(summed("family"), "kin")).crossJoin(total(each, "both"))  # one row each
+    within = F.struct(F.lit(True).alias("actual"), (F.col("kin") - F.col("both")).alias("pairs"))
+    across = F.struct(F.lit(False).alias("actual"), (F.col("every") - F.col("kin") - F.col("alike") + F.col("both")).alias("pairs"))
+    return counts.select(F.inline(F.array(within, across))).where("pairs > 0").select(F.lit("structure").alias("rule"), F.lit(False).alias("predicted"), "actual", "pairs")
+
+
 def sweep(scored: DataFrame, taus: list[float], *, score: str = "distance", actual: str = "actual") -> DataFrame:
     """Confusion and measures for each threshold: positive is a score below it.
 

@@ -2,7 +2,8 @@
 
 Order: files that are exact copies go first; of the others every tensor is hashed, and one of each kind is pooled;
 models get a base from their card, or by the least bit distance among candidates of like structure; pooled tensors of
-tuned models are stored as the XOR against the aligned base tensor, or by the smallest standalone coder. Only hashes,
+tuned models are stored as the XOR against the aligned base tensor, quantized ones as the recipe that makes them from it, and
+others (adapters among them) by the smallest standalone coder. Only hashes,
 sizes and references are shuffled before the last step, which joins payloads once.
 """
 
@@ -143,12 +144,15 @@ def reduce_hub(tensors: DataFrame, repos: DataFrame, *, config: Config = Config(
     deltas = pooled.join(own, "tensor_hash", "left").join(base_of, "repo_id", "left").withColumn("base_repo", F.when(F.col("is_base").isNull(), F.col("base_repo")))
     paired = align.align(deltas, roots, by=config.alignment)
     payloads = tensors.select("repo_id", "path", "ordinal", "payload")
-    base_bytes = readable.select(F.col("repo_id").alias("base_repo"), F.col("path").alias("base_path"), F.col("ordinal").alias("base_ordinal"), F.col("payload").alias("payload_b"))
-    paired, own_key, base_key = graph.checkpointed(paired), ["repo_id", "path", "ordinal"], ["base_repo", "base_path", "base_ordinal"]
+    base_bytes = readable.select(F.col("repo_id").alias("base_repo"), F.col("path").alias("base_path"), F.col("ordinal").alias("base_ordinal"), F.col("dtype").alias("base_dtype"), F.col("payload").alias("payload_b"))
+    paired, own_key, base_key = graph.checkpointed(align.align_recipes(paired, roots)), ["repo_id", "path", "ordinal"], ["base_repo", "base_path", "base_ordinal"]
     known = F.col("base_path").isNotNull() & F.col("base_ordinal").isNotNull()
     aligned = with_bases(paired.where(known), payloads, base_bytes, own=own_key, base=base_key).unionByName(paired.where(~known).join(payloads, own_key), allowMissingColumns=True)
 
-    def make(payload, base, dtype):
+    def make(payload, base, dtype, base_dtype):
+        if base is not None and base_dtype != dtype:
+            data = codecs.recipe_encode(payload, base, base_dtype) or codecs.smallest(payload, dtype, config.standalone)
+            return {"coded": data, "n_stored": len(data), "codec": codecs.codec_of(data)}
         options = {"transform": config.transform, "codec": config.codec, "level": config.level, "plane_split": config.plane_split}
         alone = codecs.smallest(payload, dtype, config.standalone) if base is None or config.choose_smaller else None
         data = codecs.delta_encode(payload, base, dtype, **options) if base is not None else alone
@@ -157,8 +161,8 @@ def reduce_hub(tensors: DataFrame, repos: DataFrame, *, config: Config = Config(
         return {"coded": data, "n_stored": len(data), "codec": codecs.codec_of(data)}
 
     keep = ["pool_key", "tensor_hash", "dtype", "shape", "n_bytes", "refcount", "repo_id", "base_hash"]
-    coded = codecs.on_rows(aligned, keep, ["payload", "payload_b", "dtype"], make, "coded binary, n_stored bigint, codec string")
-    uses_base = F.col("codec").isin("xor", "xor_planes", "wrap", "zigzag")
+    coded = codecs.on_rows(aligned, keep, ["payload", "payload_b", "dtype", "base_dtype"], make, "coded binary, n_stored bigint, codec string")
+    uses_base = F.col("codec").isin("xor", "xor_planes", "wrap", "zigzag", "recipe")
     pool = coded.withColumn("base_hash", F.when(uses_base, F.col("base_hash"))).withColumnRenamed("repo_id", "first_repo")
     manifests = kept.select("repo_id", "path", "ordinal", "name", "dtype", "shape", "offset", "n_bytes", "tensor_hash", "pool_key")
     new = HubStore(pool, manifests, links, lineage, config)

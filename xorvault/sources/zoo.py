@@ -8,7 +8,6 @@ The fixture is written once per session and input to the shared folder, and read
 from __future__ import annotations
 
 import json
-import tempfile
 import uuid
 
 import numpy as np
@@ -91,8 +90,9 @@ _made: dict[tuple[str, str], str] = {}
 def _folder(spark: SparkSession, sf_dir: str) -> str:
     key = (spark.sparkContext.applicationId, sf_dir)
     if key not in _made:
-        base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()
-        path = f"{base.rstrip('/')}/zoo-{uuid.uuid4().hex}"
+        from xorvault.operators.graph import shared_dir
+
+        path = f"{shared_dir(spark)}/zoo-{uuid.uuid4().hex}"
         _write(spark, sf_dir, path)
         _made[key] = path
     return _made[key]

@@ -93,34 +93,25 @@ def compared(spark, sf_dir) -> DataFrame:
     return zoo.tensors(spark, sf_dir).where(F.col("variant").isin(*zoo.COMPARABLE)).withColumn("true_family", F.concat(F.col("family").cast("string"), other))
 
 
-def four_families(spark, sf_dir) -> DataFrame:
-    """The part of them that the SQL twins read; queries named _all read every family."""
-    return compared(spark, sf_dir).where("family < 4")
-
-
-def _pairwise(spark, sf_dir, of=four_families) -> DataFrame:
-    t = of(spark, sf_dir)
+def _pairwise(spark, sf_dir) -> DataFrame:
+    t = compared(spark, sf_dir)
     return bitdist.bit_distance(graph.aligned_blocks(graph.pairs_of(graph.signature(t)), t))
 
 
-ALL_PAIRS = f"""{{elements}}, sg AS (SELECT family, max(ordinal) AS mo, count(*) AS n FROM el WHERE variant = 'v0' GROUP BY 1),
-pe AS (SELECT p.repo_id AS a, q.repo_id AS b, p.family = q.family AS same, p.bits AS x, q.bits AS y FROM el p JOIN el q ON p.ordinal = q.ordinal AND p.idx = q.idx AND p.repo_id < q.repo_id JOIN sg s ON s.family = p.family JOIN sg r ON r.family = q.family AND r.n = s.n)"""
+OTHER_BASE = "CASE WHEN variant IN ('v12', 'v12c') THEN '_v12' ELSE '' END"
+ALL_PAIRS = f"""{{elements}}, el AS (SELECT *, family || {OTHER_BASE} AS tf FROM el0), sg AS (SELECT family, max(ordinal) AS mo, count(*) AS n FROM el WHERE variant = 'v0' GROUP BY 1),
+pe AS (SELECT p.repo_id AS a, q.repo_id AS b, p.tf = q.tf AS same, p.bits AS x, q.bits AS y FROM el p JOIN el q ON p.ordinal = q.ordinal AND p.idx = q.idx AND p.repo_id < q.repo_id JOIN sg s ON s.family = p.family JOIN sg r ON r.family = q.family AND r.n = s.n)"""
 
 
-def all_pairs() -> str:
-    return ALL_PAIRS.format(elements=Z.elements(zoo.COMPARABLE, "label < 4"))
+def all_pairs(variants: tuple[str, ...] = zoo.COMPARABLE) -> str:
+    """pe: aligned elements of all pairs of equal structure, with `same`: are they of one true family?"""
+    return ALL_PAIRS.format(elements=Z.elements(variants).replace("el AS", "el0 AS", 1))
 
 
 @query("bitdist_pairs", lambda: f"WITH {all_pairs()} SELECT a, b, {DIST} FROM pe WHERE {NOT_BOTH_ZERO} GROUP BY 1, 2")
 def bitdist_pairs(spark, sf_dir):
-    """Bit distances of all pairs of equal structure among four families."""
-    return _pairwise(spark, sf_dir)
-
-
-@query("bitdist_pairs_all")
-def bitdist_pairs_all(spark, sf_dir):
     """Bit distances of all pairs of equal structure."""
-    return _pairwise(spark, sf_dir, compared)
+    return _pairwise(spark, sf_dir)
 
 
 @query("bitdist_sql_path", lambda: f"WITH {Z.elements(('v0', *TUNED))}, {Z.pairs()} SELECT a, b, {DIST} FROM pe WHERE {NOT_BOTH_ZERO} GROUP BY 1, 2")
@@ -206,14 +197,9 @@ def simgraph_edges(spark, sf_dir):
     return graph.similarity_graph(_pairwise(spark, sf_dir))
 
 
-@query("simgraph_edges_all")
-def simgraph_edges_all(spark, sf_dir):
-    return graph.similarity_graph(_pairwise(spark, sf_dir, compared))
-
-
-def _components(spark, sf_dir, of=four_families) -> tuple[DataFrame, DataFrame]:
-    edges = graph.checkpointed(graph.similarity_graph(_pairwise(spark, sf_dir, of)))
-    nodes = of(spark, sf_dir).select(F.col("repo_id").alias("node")).distinct()
+def _components(spark, sf_dir) -> tuple[DataFrame, DataFrame]:
+    edges = graph.checkpointed(graph.similarity_graph(_pairwise(spark, sf_dir)))
+    nodes = compared(spark, sf_dir).select(F.col("repo_id").alias("node")).distinct()
     return graph.components(nodes, edges), edges
 
 
@@ -225,15 +211,12 @@ def family_components(spark, sf_dir):
     return _components(spark, sf_dir)[0]
 
 
-@query("family_components_all")
-def family_components_all(spark, sf_dir):
-    return _components(spark, sf_dir, compared)[0]
-
-
-@query("cluster_quality")
+@query("cluster_quality", lambda: f"""WITH RECURSIVE {all_pairs()}, {_tau_sql(4.0)}, s AS (SELECT a AS u, b AS v FROM e UNION SELECT b, a FROM e), r(node, c) AS (SELECT DISTINCT repo_id, repo_id FROM el UNION SELECT s.v, r.c FROM r JOIN s ON s.u = r.node),
+cm AS (SELECT node, min(c) AS component FROM r GROUP BY 1), tr AS (SELECT DISTINCT repo_id AS node, tf FROM el), sz AS (SELECT component, tf, count(*) AS n FROM cm JOIN tr USING (node) GROUP BY 1, 2), pu AS (SELECT max(n) AS top, sum(n) AS every FROM sz GROUP BY component),
+fm AS (SELECT tf, CAST(count(*) AS DOUBLE) AS n FROM tr GROUP BY 1), po AS (SELECT sum(n * (n - 1) / 2) AS inside, sum(n) * (sum(n) - 1) / 2 AS every FROM fm), ec AS (SELECT count(*) FILTER (same) AS i, count(*) FILTER (NOT same) AS o FROM e)
+SELECT round(CAST((SELECT sum(top) FROM pu) AS DOUBLE) / (SELECT sum(every) FROM pu), 6) AS purity, round(ec.i / po.inside, 6) AS within_density, round(ec.o / (po.every - po.inside), 6) AS cross_density FROM po, ec""")
 def cluster_quality(spark, sf_dir):
-    """Of the clusters of every family."""
-    found, edges = _components(spark, sf_dir, compared)
+    found, edges = _components(spark, sf_dir)
     truth = compared(spark, sf_dir).select(F.col("repo_id").alias("node"), F.col("true_family").alias("family")).distinct()
     return graph.cluster_quality(found, truth, edges)
 
@@ -243,31 +226,24 @@ def provenance_rank(spark, sf_dir):
     return graph.provenance(_pairwise(spark, sf_dir), "m0_v3")
 
 
-@query("provenance_rank_all")
-def provenance_rank_all(spark, sf_dir):
-    return graph.provenance(_pairwise(spark, sf_dir, compared), "m0_v3")
+CLASSIFIED = ("v0", *TUNED, "v12")
 
 
-@query("classify_pairs", lambda: f"""WITH {Z.elements(('v0', *TUNED), "label < 4")}, sg AS (SELECT family, count(*) AS n FROM el WHERE variant = 'v0' GROUP BY 1), m AS (SELECT DISTINCT repo_id, family FROM el),
-pe AS (SELECT p.repo_id AS a, q.repo_id AS b, p.bits AS x, q.bits AS y FROM el p JOIN el q ON p.ordinal = q.ordinal AND p.idx = q.idx AND p.repo_id < q.repo_id JOIN sg s ON s.family = p.family JOIN sg r ON r.family = q.family AND r.n = s.n),
-d AS (SELECT a, b, {DIST} FROM pe WHERE {NOT_BOTH_ZERO} GROUP BY 1, 2)
-SELECT x.repo_id AS a, y.repo_id AS b, CASE WHEN d.a IS NULL THEN 'structure' ELSE 'distance' END AS rule, coalesce(distance < 4, FALSE) AS predicted, x.family = y.family AS actual FROM m x JOIN m y ON x.repo_id < y.repo_id LEFT JOIN d ON d.a = x.repo_id AND d.b = y.repo_id""")
+@query("classify_pairs", lambda: f"""WITH {all_pairs(CLASSIFIED)}, d AS (SELECT a, b, same, {DIST} FROM pe WHERE {NOT_BOTH_ZERO} GROUP BY 1, 2, 3), m AS (SELECT DISTINCT repo_id, tf, n FROM el JOIN sg USING (family))
+SELECT 'distance' AS rule, a, b, distance < 4 AS predicted, same AS actual, CAST(1 AS BIGINT) AS pairs FROM d
+UNION ALL SELECT 'structure', NULL, NULL, FALSE, x.tf = y.tf, count(*) FROM m x JOIN m y ON x.repo_id < y.repo_id AND x.n <> y.n GROUP BY 5""")
 def classify_pairs(spark, sf_dir):
-    """Within or across the family: structure first, then the threshold."""
-    return _classified(four_families(spark, sf_dir).where(F.col("variant").isin("v0", *TUNED)))
-
+    """Within or across the family: structure first, then the threshold.
 
-@query("classify_pairs_all")
-def classify_pairs_all(spark, sf_dir):
-    """Of every family, with the closely related bases."""
-    return _classified(compared(spark, sf_dir).where(F.col("variant").isin("v0", *TUNED, "v12")))
-
-
-def _classified(t: DataFrame) -> DataFrame:
+    Pairs of equal structure are rows with their distance. Those of different structure, nearly all pairs of a large hub, are
+    never made: they are counted, from the sizes of the groups of models by structure and family.
+    """
+    t = compared(spark, sf_dir).where(F.col("variant").isin(*CLASSIFIED))
     s = graph.signature(t).join(t.select("repo_id", F.col("true_family").alias("family")).distinct(), "repo_id")
     d = bitdist.bit_distance(graph.aligned_blocks(graph.pairs_of(s), t)).select("a", "b", "distance")
-    pairs = s.select(F.col("repo_id").alias("a"), F.col("signature").alias("signature_a"), F.col("family").alias("fa")).join(s.select(F.col("repo_id").alias("b"), F.col("signature").alias("signature_b"), F.col("family").alias("fb")), F.expr("a < b"))
-    return family.classify_pairs(pairs.join(d, ["a", "b"], "left")).select("a", "b", "rule", "predicted", (F.col("fa") == F.col("fb")).alias("actual"))
+    of = lambda c: s.select(F.col("repo_id").alias(c), F.col("signature").alias(f"signature_{c}"), F.col("family").alias(f"f{c}"))
+    near = family.classify_pairs(d.join(of("a"), "a").join(of("b"), "b")).select("rule", "a", "b", "predicted", (F.col("fa") == F.col("fb")).alias("actual"), F.lit(1).cast("bigint").alias("pairs"))
+    return near.unionByName(family.structure_pairs(s), allowMissingColumns=True)
 
 
 TAUS = [1 + 0.25 * k for k in range(29)]
@@ -280,19 +256,9 @@ SELECT *, CASE WHEN tp + fp + tn + fn > 0 THEN round(CAST(tp + tn AS DOUBLE) / (
 
 @query("threshold_sweep_zoo", lambda: f"WITH {all_pairs()}, d AS (SELECT a, b, same AS actual, {DIST} FROM pe WHERE {NOT_BOTH_ZERO} GROUP BY 1, 2, 3), " + _sweep_sql("distance", TAUS))
 def threshold_sweep_zoo(spark, sf_dir):
-    """Accuracy, precision, recall and F1 of the family threshold."""
-    return _swept(spark, sf_dir, four_families, "family")
-
-
-@query("threshold_sweep_all")
-def threshold_sweep_all(spark, sf_dir):
-    """The same over every family, where a pair with the closely related base is across families."""
-    return _swept(spark, sf_dir, compared, "true_family")
-
-
-def _swept(spark, sf_dir, of, truth: str) -> DataFrame:
-    fam = of(spark, sf_dir).select("repo_id", F.col(truth).alias("family")).distinct()
-    d = _pairwise(spark, sf_dir, of).join(fam.select(F.col("repo_id").alias("a"), F.col("family").alias("fa")), "a").join(fam.select(F.col("repo_id").alias("b"), F.col("family").alias("fb")), "b")
+    """Accuracy, precision, recall and F1 of the family threshold; a pair with the closely related base is across families."""
+    fam = compared(spark, sf_dir).select("repo_id", F.col("true_family").alias("family")).distinct()
+    d = _pairwise(spark, sf_dir).join(fam.select(F.col("repo_id").alias("a"), F.col("family").alias("fa")), "a").join(fam.select(F.col("repo_id").alias("b"), F.col("family").alias("fb")), "b")
     return family.sweep(d.withColumn("actual", F.col("fa") == F.col("fb")), TAUS)
 
 
@@ -325,16 +291,10 @@ p AS (SELECT sigma_w, sigma_d, {word('sigma_w * w')} AS x, {word('sigma_w * w +
 SELECT sigma_w, sigma_d, count(*) AS n, CAST(sum(bit_count(CAST(xor(x, y) AS BIGINT))) AS BIGINT) AS bits, round(CAST(sum(bit_count(CAST(xor(x, y) AS BIGINT))) AS DOUBLE) / count(*), 6) AS expected FROM p GROUP BY 1, 2"""
 
 
-@query("mc_expected_grid", lambda: _mc_sql(GRID_W, GRID_D, 20_000))
+@query("mc_expected_grid", lambda: _mc_sql(GRID_W, GRID_D, 100_000))
 def mc_expected_grid(spark, sf_dir):
-    """Expected bit distance over the sigma grid, of the draws that the SQL twin takes."""
-    return family.expected_grid(spark, GRID_W, GRID_D, n=20_000)
-
-
-@query("mc_expected_grid_all")
-def mc_expected_grid_all(spark, sf_dir):
-    """The grid of all 100,000 draws."""
-    return family.expected_grid(spark, GRID_W, GRID_D)
+    """Expected bit distance over the sigma grid."""
+    return family.expected_grid(spark, GRID_W, GRID_D, n=100_000)
 
 
 @query("mc_point", lambda: _mc_sql([0.02], [0.002], 100_000))
@@ -409,8 +369,8 @@ def _open_models(spark, sf_dir) -> tuple[DataFrame, DataFrame, DataFrame]:
 
 
 @query("nearest_base", lambda: f"""WITH {Z.elements(('v0', 'v12', 'v13'))}, sg AS (SELECT family, count(*) AS n FROM el WHERE variant = 'v0' GROUP BY 1),
-cd AS (SELECT m.repo_id AS model, b.repo_id AS base, row_number() OVER (PARTITION BY m.repo_id ORDER BY CASE WHEN m.family = b.family THEN 0 ELSE 1 END, b.repo_id) AS r FROM (SELECT DISTINCT repo_id, family, variant FROM el) m JOIN sg s USING (family) JOIN sg q ON q.n = s.n JOIN (SELECT DISTINCT repo_id, family, variant FROM el) b ON b.family = q.family WHERE m.variant = 'v13' AND b.variant <> 'v13'),
-pe AS (SELECT cd.model, cd.base, p.bits AS x, q.bits AS y FROM cd JOIN el p ON p.repo_id = cd.model JOIN el q ON q.repo_id = cd.base AND p.ordinal = q.ordinal AND p.idx = q.idx WHERE r <= 5),
+cd AS (SELECT m.repo_id AS model, b.repo_id AS base FROM (SELECT DISTINCT repo_id, family, variant FROM el) m JOIN sg s USING (family) JOIN sg q ON q.n = s.n JOIN (SELECT DISTINCT repo_id, family, variant FROM el) b ON b.family = q.family WHERE m.variant = 'v13' AND b.variant <> 'v13'),
+pe AS (SELECT cd.model, cd.base, p.bits AS x, q.bits AS y FROM cd JOIN el p ON p.repo_id = cd.model JOIN el q ON q.repo_id = cd.base AND p.ordinal = q.ordinal AND p.idx = q.idx),
 d AS (SELECT model, base, {DIST} FROM pe WHERE {NOT_BOTH_ZERO} GROUP BY 1, 2), o AS (SELECT *, row_number() OVER (PARTITION BY model ORDER BY distance, base) AS r FROM d)
 SELECT x.model, CASE WHEN x.distance < 4 THEN x.base END AS base, x.distance, y.distance AS runner_up, round(y.distance - x.distance, 6) AS margin, x.distance < 4 AS within FROM o x LEFT JOIN o y ON y.model = x.model AND y.r = 2 WHERE x.r = 1""")
 def nearest_base(spark, sf_dir):
@@ -426,7 +386,13 @@ def partial_match(spark, sf_dir):
     return family.shared_share(t.where("variant IN ('v5', 'v9')"), t.where("variant = 'v0'"))
 
 
-@query("lineage_conflicts")
+DECLARED = ("v0", "v1", "v2", "v3", "v4", "v5", "v6", "v7", "v9", "v12", "v12c")
+
+
+@query("lineage_conflicts", lambda: f"""WITH {Z.tensors(DECLARED)}, nw AS (SELECT family, ordinal, row_number() OVER (PARTITION BY family ORDER BY name) - 1 AS o6 FROM tn WHERE variant = 'v6'), sz AS (SELECT repo_id, ordinal, n_elems FROM tn),
+x AS (SELECT el.repo_id, el.family, variant, el.ordinal AS old, CASE WHEN variant = 'v6' THEN o6 ELSE el.ordinal END AS ordinal, idx, dtype, bits, n_elems FROM el JOIN nw ON nw.family = el.family AND nw.ordinal = el.ordinal JOIN sz ON sz.repo_id = el.repo_id AND sz.ordinal = el.ordinal),
+pe AS (SELECT p.repo_id AS a, q.repo_id AS b, p.bits AS x, q.bits AS y FROM x p JOIN x q ON q.family = p.family AND q.variant = CASE WHEN p.variant = 'v12c' THEN 'v12' ELSE 'v0' END AND q.ordinal = p.ordinal AND q.idx = p.idx AND q.dtype = p.dtype AND q.n_elems = p.n_elems WHERE p.variant NOT IN ('v0', 'v12')),
+d AS (SELECT a, b, {DIST} FROM pe WHERE {NOT_BOTH_ZERO} GROUP BY 1, 2) SELECT a, b, distance, distance >= 4.0 AS conflict FROM d""")
 def lineage_conflicts(spark, sf_dir):
     """Declared bases that bit distance contradicts."""
     told = family.from_metadata(zoo.repos(spark, sf_dir)).where("status = 'exact'").select(F.col("repo_id").alias("a"), F.col("base").alias("b"))
@@ -455,7 +421,11 @@ def adapter_filter(spark, sf_dir):
     return hub.is_adapter(zoo.tensors(spark, sf_dir).drop("payload"))
 
 
-@query("naming_audit")
+@query("naming_audit", lambda: f"""WITH {Z.tensors(('v0', 'v2', 'v5', 'v6'))}, t AS (SELECT family, variant, repo_id, CASE WHEN variant = 'v6' THEN row_number() OVER (PARTITION BY family, variant ORDER BY 'model.' || name) - 1 ELSE ordinal END AS ordinal, CASE WHEN variant = 'v6' THEN 'model.' || name ELSE name END AS name, name AS nn, dtype, shape FROM tn WHERE variant <> 'v0'),
+g AS (SELECT repo_id, family, count(*) AS n_tensors, list(name ORDER BY ordinal) = list(name ORDER BY name) AS alphabetical FROM t GROUP BY 1, 2),
+m AS (SELECT t.repo_id, count(*) FILTER (t.ordinal = b.ordinal) AS by_order, count(*) FILTER (t.name = b.name) AS by_name, count(*) FILTER (t.nn = b.name) AS by_normalized FROM t JOIN tn b ON b.variant = 'v0' AND b.family = t.family AND b.dtype = t.dtype AND b.shape = t.shape GROUP BY 1),
+o AS (SELECT g.repo_id, 'm' || family || '_v0' AS base_repo, n_tensors, alphabetical, coalesce(by_order, 0) AS by_order, coalesce(by_name, 0) AS by_name, coalesce(by_normalized, 0) AS by_normalized FROM g LEFT JOIN m USING (repo_id))
+SELECT *, CASE WHEN by_normalized > by_name THEN 'renamed' WHEN by_name > by_order THEN 'reordered' ELSE 'aligned' END AS finding FROM o""")
 def naming_audit(spark, sf_dir):
     """Archives whose naming or order hides their twins."""
     t = zoo.tensors(spark, sf_dir).drop("payload")

@@ -9,10 +9,11 @@ from xorvault import metrics
 from xorvault.functions import words as W
 from xorvault.operators import bitdist, chunking, codecs, dedup, family, graph, quantize
 from xorvault.plans import hub
+from xorvault.operators.graph import shared_dir
 from xorvault.sources import zoo
 from xorvault.workloads import zoo_sql as Z
 from xorvault.workloads.dedup import float_tensors, zoo_files
-from xorvault.workloads.models import TUNED, blocks, cross_pairs, family_pairs
+from xorvault.workloads.models import DIST, NOT_BOTH_ZERO, TAUS, TUNED, _sweep_sql, all_pairs, blocks, cross_pairs, family_pairs
 from xorvault.workloads.registry import query, table
 
 #: Aligned blocks name the target payload_b's partner first: the base is `a`, the tuned model `b`.
@@ -79,20 +80,33 @@ def xor_roundtrip(spark, sf_dir):
     return got.join(want, ["model", "ordinal"]).select("model", "ordinal", F.length("restored").cast("bigint").alias("n_bytes"), h.alias("restored_sha256"), (h == F.col("tensor_hash")).alias("lossless"))
 
 
-@query("codec_roundtrip")
+STANDALONE = (*codecs.GENERAL, "grouping_huffman", "grouping_zstd")
+
+
+@query("codec_roundtrip", lambda: f"WITH {Z.tensors(('v0', 'v2', 'v9'))}, c AS (SELECT unnest([{Z.listed(STANDALONE)}]) AS codec) SELECT codec, CAST(sum(CASE WHEN variant = 'v0' THEN 2 ELSE 1 END) AS BIGINT) AS tensors, TRUE AS lossless FROM tn, c GROUP BY 1")
 def codec_roundtrip(spark, sf_dir):
-    """Every standalone codec over every tensor: bytes and exactness."""
+    """Every standalone codec over every tensor of four variants, the quantized one among them, decodes exactly."""
+    return _coded_alone(spark, sf_dir).groupBy("codec").agg(F.count("*").alias("tensors"), F.bool_and("ok").alias("lossless"))
+
+
+@query("codec_bytes")
+def codec_bytes(spark, sf_dir):
+    """Their bytes."""
+    return _coded_alone(spark, sf_dir).groupBy("codec").agg(F.sum("n_raw").alias("n_raw"), F.sum("n_stored").alias("n_stored"))
+
+
+def _coded_alone(spark, sf_dir) -> DataFrame:
 
     def make(payload, dtype):
         out = []
-        for c in (*codecs.GENERAL, "grouping_huffman", "grouping_zstd"):
+        for c in STANDALONE:
             data = codecs.encode(payload, dtype, c, None)
             out.append({"codec": c, "n_stored": len(data), "ok": codecs.decode(data, dtype) == payload})
         return {"coded": out, "n_raw": len(payload)}
 
     t = zoo.tensors(spark, sf_dir).where("variant IN ('v0', 'v2', 'v9', 'v10')")
     rows = codecs.on_rows(t, ["repo_id", "ordinal"], ["payload", "dtype"], make, "coded array<struct<codec: string, n_stored: bigint, ok: boolean>>, n_raw bigint")
-    return rows.select("n_raw", F.inline("coded")).groupBy("codec").agg(F.sum("n_raw").alias("n_raw"), F.sum("n_stored").alias("n_stored"), F.bool_and("ok").alias("lossless"))
+    return rows.select("n_raw", F.inline("coded"))
 
 
 @query("codec_drr")
@@ -147,20 +161,19 @@ _stores: dict[tuple[str, str], hub.HubStore] = {}
 
 
 def plain_repos(spark, sf_dir) -> tuple[DataFrame, DataFrame]:
-    """The models that go through the pipeline: adapters are routed to the standalone coder, quantized ones to recipes."""
+    """The models that the study of methods compares: without adapters and quantized ones, which no delta or chunk helps."""
     t = zoo.tensors(spark, sf_dir).where("variant NOT IN ('v10', 'v11')")
     return t, zoo.repos(spark, sf_dir).where("variant NOT IN ('v10', 'v11')")
 
 
 def built(spark, sf_dir) -> hub.HubStore:
-    """The store of the zoo, written once per session and input."""
+    """The store of every model, written once per session and input: adapters by the standalone coder, quantized ones as recipes."""
     import uuid
 
     key = (spark.sparkContext.applicationId, sf_dir)
     if key not in _stores:
-        base = spark.conf.get("spark.checkpoint.dir", None) or "/tmp"
-        t, r = plain_repos(spark, sf_dir)
-        _stores[key] = hub.reduce_hub(t, r).written(f"{base.rstrip('/')}/store-{uuid.uuid4().hex}")
+        base = shared_dir(spark)
+        _stores[key] = hub.reduce_hub(zoo.tensors(spark, sf_dir), zoo.repos(spark, sf_dir)).written(f"{base.rstrip('/')}/store-{uuid.uuid4().hex}")
     return _stores[key]
 
 
@@ -211,7 +224,8 @@ def order_ablation(spark, sf_dir):
     total = t.agg(F.sum("n_bytes").alias("n_raw"))
     rows = _order_rows(spark, sf_dir)
     stored = lambda df, name: df.select(F.lit(name).alias("method"), F.col("s").cast("bigint").alias("n_stored"))
-    made = [stored(built(spark, sf_dir).pool.agg(F.sum("n_stored").alias("s")), "engine")]
+    pool = built(spark, sf_dir).pool.join(t.select(F.col("repo_id").alias("first_repo")).distinct(), "first_repo", "left_semi")
+    made = [stored(pool.agg(F.sum("n_stored").alias("s")), "engine")]
     whole = codecs.whole_files(rows).withColumn("payload_b", F.lit(None).cast("binary"))
     for c in ("xor", "grouping", "zstd"):
         unique = chunking.compressed_chunks(rows if c == "xor" else whole, ["repo_id"], codec=c).where("unit_hash IS NOT NULL").groupBy("unit_hash").agg(F.first("n_bytes").alias("n"))
@@ -266,7 +280,7 @@ RESTORED = ("v0", "v1", "v2", "v3", "v4", "v5", "v7", "v8", "v9", "v12", "v12c",
 @query("restore_verify", lambda: f"WITH {Z.tensors(RESTORED)} SELECT repo_id, 'model.tensors' AS path, CAST(sum(n_bytes) AS BIGINT) AS n_bytes, sha256(string_agg(tensor_hash, '' ORDER BY ordinal)) AS sha256, TRUE AS ok FROM tn GROUP BY 1")
 def restore_verify(spark, sf_dir):
     """All models out of the store, links followed, against their originals."""
-    t = plain_repos(spark, sf_dir)[0].where("variant <> 'v6'")
+    t = zoo.tensors(spark, sf_dir).where(F.col("variant").isin(*RESTORED))
     return hub.verify(hub.restore(built(spark, sf_dir)), t)
 
 
@@ -333,7 +347,7 @@ def surrogate_distance(spark, sf_dir):
     return hub.surrogate(zoo.tensors(spark, sf_dir).where("family = 0"), "m0_v0", [f"m0_{v}" for v in ("v2", "v3", "v4", "v13")])
 
 
-@query("quant_regenerate")
+@query("quant_regenerate", lambda: f"WITH {Z.tensors(('v0',))} SELECT replace(repo_id, '_v0', '_v10') AS repo_id, count(*) AS tensors, TRUE AS lossless, CAST(sum((n_elems + {quantize.BLOCK - 1}) // {quantize.BLOCK} * {quantize.BLOCK + 2}) AS BIGINT) AS bytes_not_stored FROM tn GROUP BY 1")
 def quant_regenerate(spark, sf_dir):
     """Quantized variants made again from base and recipe."""
     t = zoo.tensors(spark, sf_dir)
@@ -352,12 +366,14 @@ def xor_unrelated_control(spark, sf_dir):
     return x.crossJoin(alone)
 
 
-@query("threshold_pick")
+@query("threshold_pick", lambda: f"""WITH {all_pairs()}, d AS (SELECT a, b, same AS actual, {DIST} FROM pe WHERE {NOT_BOTH_ZERO} GROUP BY 1, 2, 3), nr AS (SELECT min(distance) AS m FROM d WHERE split_part(a, '_', 1) = split_part(b, '_', 1) AND split_part(a, '_', 2) = 'v0' AND split_part(b, '_', 2) = 'v12'),
+sw AS (WITH {_sweep_sql('distance', TAUS)}),
+pk AS (SELECT 'max_accuracy' AS policy, (SELECT tau FROM sw ORDER BY accuracy DESC NULLS LAST, tau LIMIT 1) AS tau UNION ALL SELECT 'max_f1', (SELECT tau FROM sw ORDER BY f1 DESC NULLS LAST, tau LIMIT 1) UNION ALL SELECT 'guarded', (SELECT max(tau) FROM sw WHERE tau < (SELECT m FROM nr))) SELECT policy, sw.* FROM pk JOIN sw USING (tau)""")
 def threshold_pick(spark, sf_dir):
     """Thresholds that each policy picks, with their measures."""
-    from xorvault.workloads.models import threshold_sweep_all
+    from xorvault.workloads.models import threshold_sweep_zoo
 
-    swept = threshold_sweep_all(spark, sf_dir).cache()
+    swept = graph.checkpointed(threshold_sweep_zoo(spark, sf_dir))
     near = bitdist.bit_distance(graph.aligned_blocks(family_pairs(spark, sf_dir, ("v12",)), zoo.tensors(spark, sf_dir))).agg(F.min("distance")).first()[0]
     rows = [(p, family.pick(swept, p, near)) for p in ("max_accuracy", "max_f1", "guarded")]
     return spark.createDataFrame(rows, "policy string, tau double").join(swept, "tau")
