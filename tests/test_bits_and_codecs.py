@@ -172,3 +172,26 @@ def test_quantizer():
     x = W.floats(W.words(base, "BF16"), "BF16")
     assert np.abs(Q.dequantize(q)[:1000] - x).max() <= np.abs(x).max() / 127 * 0.51 + 1e-4
     assert Q.quantize(b"", "BF16") == b""
+
+
+def test_chunks_of_blocks_are_those_of_files(spark):
+    """Files cut as their blocks come in, whatever the blocks, give the chunks of whole files."""
+    from pyspark.sql import functions as F
+
+    rng = np.random.default_rng(8)
+    files = {"empty": b"", "short": b"abc", "a": rng.integers(0, 256, 60_000, np.uint8).tobytes(), "zeros": bytes(20_000), "b": (rng.integers(0, 256, 9000, np.uint8).tobytes() * 3)}
+    sizes = C.ChunkSizes(64, 256, 1024)
+    rows = []
+    for name, data in files.items():
+        at, k = 0, 0
+        while at < len(data) or not k:
+            n = int(rng.choice([1, 50, 700, 5000]))
+            rows.append((name, k, bytearray(data[at : at + n])))
+            at, k = at + n, k + 1
+    blocks = spark.createDataFrame(rows, "file_id string, k int, content binary").repartition(3)
+    got = sorted(tuple(r) for r in C.chunk_blocks(blocks, ["file_id"], "k", sizes=sizes).collect())
+    whole = spark.createDataFrame([(n, bytearray(d)) for n, d in files.items()], "file_id string, content binary")
+    assert got == sorted(tuple(r) for r in C.chunk(whole, ["file_id"], sizes=sizes).collect()) and len(got) > 200
+    assert C.chunk_blocks(blocks.where(F.lit(False)), ["file_id"], "k", sizes=sizes).count() == 0
+    with pytest.raises(ValueError):
+        C.chunk_blocks(blocks, ["file_id"], "k", sizes=C.ChunkSizes(16, 64, 256))

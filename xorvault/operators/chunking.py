@@ -11,6 +11,7 @@ import hashlib
 from dataclasses import dataclass
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -81,6 +82,54 @@ def chunk(files: DataFrame, keep: list[str], *, sizes: ChunkSizes = ChunkSizes()
     return each.select(*keep, F.inline("chunks"))
 
 
+def chunk_blocks(blocks: DataFrame, keep: list[str], order: str, *, sizes: ChunkSizes = ChunkSizes(), content: str = "content") -> DataFrame:
+    """The same chunks of files that come as rows of ordered blocks: (keep..., chunk_no, begin, n_bytes, unit_hash).
+
+    A file's blocks are sorted into one task and cut as they come: what is held is one block and the chunk that is still
+    open, never a file. A cut depends on at most `least` + 64 bytes before it and on the chunk's start, so a chunk is closed
+    as soon as `most` bytes behind its start are there.
+    """
+    if sizes.least < 64:
+        raise ValueError("chunks of fewer bytes than the hash's window depend on what was cut before")
+    from pyspark.sql.pandas.types import to_arrow_schema
+
+    names = [*keep, "chunk_no", "begin", "n_bytes", "unit_hash"]
+    ordered = blocks.select(*keep, order, content).repartition(*keep).sortWithinPartitions(*keep, order)
+    kinds = {f.name: f.type for f in to_arrow_schema(blocks.select(*keep).schema)} | {"chunk_no": pa.int32(), "begin": pa.int64(), "n_bytes": pa.int64(), "unit_hash": pa.string()}
+
+    def run(batches):
+        key, held, at, no = None, bytearray(), 0, 0
+
+        def cut(last: bool) -> list[tuple]:
+            nonlocal at, no
+            out, done, data = [], 0, bytes(held)
+            for end in cut_points(data, sizes):
+                if not last and len(data) - done <= sizes.most:
+                    break
+                out.append((*key, no, at, end - done, hashlib.sha256(data[done:end]).hexdigest()))
+                at, no, done = at + end - done, no + 1, end
+            del held[:done]
+            return out
+
+        for batch in batches:
+            rows = []
+            for values in zip(*[batch.column(c).to_pylist() for c in (*keep, content)]):
+                if values[:-1] != key:
+                    rows += cut(True) if key is not None else []
+                    key, at, no = values[:-1], 0, 0
+                    held.clear()
+                held += values[-1] or b""
+                if len(held) > 4 * sizes.most:
+                    rows += cut(False)
+            yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], kinds[n]) for k, n in enumerate(names)], names=names)
+        if key is not None:
+            rows = cut(True)
+            yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], kinds[n]) for k, n in enumerate(names)], names=names)
+
+    schema = ", ".join([f"{c} {blocks.schema[c].dataType.simpleString()}" for c in keep] + ["chunk_no int, begin bigint, n_bytes bigint, unit_hash string"])
+    return ordered.mapInArrow(run, schema)
+
+
 def fixed_chunks(files: DataFrame, keep: list[str], *, size: int, content: str = "content") -> DataFrame:
     """Chunks of one fixed size, in Catalyst expressions."""
     n = F.octet_length(content)

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from xorvault import metrics
+from xorvault.functions.words import double_bits
 from xorvault.operators import chunking, dedup
 from xorvault.sources import zoo
 from xorvault.workloads import zoo_sql as Z
@@ -244,16 +245,47 @@ def fixed_chunks_documents(spark, sf_dir):
     return _level(chunking.fixed_chunks(d, ["file_id"], size=512, content="text"), "fixed 512")
 
 
-def zoo_files(spark, sf_dir) -> DataFrame:
-    """(repo_id, content): a model's tensors one behind the other."""
-    parts = zoo.tensors(spark, sf_dir).select("repo_id", F.struct("ordinal", F.hex("payload").alias("h")).alias("t"))
-    return parts.groupBy("repo_id").agg(F.unhex(F.array_join(F.transform(F.array_sort(F.collect_list("t")), lambda x: x["h"]), "")).alias("content"))
+def zoo_chunks(spark, sf_dir, sizes: chunking.ChunkSizes = chunking.SMALL) -> DataFrame:
+    """Chunks of each model's file: its tensors one behind the other, cut as they come."""
+    return chunking.chunk_blocks(zoo.tensors(spark, sf_dir).select("repo_id", "ordinal", "payload"), ["repo_id"], "ordinal", sizes=sizes, content="payload")
+
+
+def production_chunks(spark, sf_dir) -> DataFrame:
+    """(file_id, ...) chunks of 16 to 256 KiB of files that reach such sizes: each source's documents and price columns as one file."""
+    d = table(spark, sf_dir, "documents").select(F.concat(F.lit("documents/"), "source").alias("file_id"), F.col("doc_id").alias("block_no"), F.col("text").cast("binary").alias("content"))
+    kept = F.when(F.col("p").isNotNull(), F.unhex(F.lpad(F.hex(double_bits("p")), 16, "0")))
+    li = table(spark, sf_dir, "lineitem").select(F.col("l_orderkey").alias("o"), F.col("l_linenumber").alias("l"), F.explode(F.create_map(*[x for c in PRICES for x in (F.lit(f"lineitem/{c}"), F.col(c).cast("double"))])).alias("file_id", "p"))
+    by_order = li.groupBy("file_id", F.floor(F.col("o") / 1024).alias("block_no")).agg(F.array_sort(F.collect_list(F.struct("o", "l", kept.alias("b")))).alias("v"))
+    columns = by_order.select("file_id", "block_no", F.unhex(F.array_join(F.transform("v", lambda x: F.hex(x["b"])), "")).alias("content"))
+    return chunking.chunk_blocks(d.unionByName(columns), ["file_id"], "block_no")
+
+
+PRICES = ("l_quantity", "l_extendedprice", "l_discount", "l_tax")
+
+
+@query("cdc_production", "SELECT 'documents/' || source AS file_id, CAST(sum(strlen(text)) AS BIGINT) AS n_bytes, TRUE AS covered, TRUE AS within_sizes FROM documents GROUP BY 1 HAVING sum(strlen(text)) > 0" + "".join(f" UNION ALL SELECT 'lineitem/{c}', count(*) * 8, TRUE, TRUE FROM lineitem" for c in PRICES))
+def cdc_production(spark, sf_dir):
+    """Chunks at the production setting, 16 / 64 / 256 KiB: they cover each file without a gap, and all but the last keep the sizes."""
+    c = production_chunks(spark, sf_dir)
+    last = c.groupBy("file_id").agg(F.max("chunk_no").alias("last"), F.sum("n_bytes").alias("n_bytes"), F.max(F.col("begin") + F.col("n_bytes")).alias("end"), F.count_distinct("begin").alias("starts"), F.count("*").alias("n"))
+    s = chunking.ChunkSizes()
+    held = c.join(last.select("file_id", "last"), "file_id").groupBy("file_id").agg(F.bool_and((F.col("n_bytes") <= s.most) & ((F.col("n_bytes") >= s.least) | (F.col("chunk_no") == F.col("last")))).alias("within_sizes"))
+    return last.join(held, "file_id").select("file_id", "n_bytes", ((F.col("end") == F.col("n_bytes")) & (F.col("starts") == F.col("n")) & (F.col("n") == F.col("last") + 1)).alias("covered"), "within_sizes")
+
+
+@query("cdc_production_levels")
+def cdc_production_levels(spark, sf_dir):
+    """Their count, bytes and reduction, beside those of the models' files and of the small setting."""
+    stats = dedup.dedup_stats(production_chunks(spark, sf_dir), "chunk 64 KiB, documents and prices")
+    for name, sizes in (("chunk 64 KiB, models", chunking.ChunkSizes()), ("chunk 256 B, models", chunking.SMALL)):
+        stats = stats.unionAll(dedup.dedup_stats(zoo_chunks(spark, sf_dir, sizes), name))
+    return stats
 
 
 @query("chunk_levels_zoo")
 def chunk_levels_zoo(spark, sf_dir):
     """The granularity study with chunks beside the structural units."""
-    stats = dedup.dedup_stats(chunking.chunk(zoo_files(spark, sf_dir), ["repo_id"], sizes=chunking.SMALL), "chunk")
+    stats = dedup.dedup_stats(zoo_chunks(spark, sf_dir), "chunk")
     for level, units in zoo_levels(spark, sf_dir).items():
         stats = stats.unionAll(dedup.dedup_stats(units, level))
     return stats
@@ -262,7 +294,7 @@ def chunk_levels_zoo(spark, sf_dir):
 @query("cdc_attribution")
 def cdc_attribution(spark, sf_dir):
     """Which share of redundant chunks' bytes lies in tensors that repeat, and in tensors that are changed elsewhere."""
-    chunks = chunking.chunk(zoo_files(spark, sf_dir), ["repo_id"], sizes=chunking.SMALL).withColumnRenamed("repo_id", "file_id")
+    chunks = zoo_chunks(spark, sf_dir).withColumnRenamed("repo_id", "file_id")
     repeated = chunks.groupBy("unit_hash").agg(F.count("*").alias("c")).where("c > 1").select("unit_hash")
     redundant = chunks.join(repeated, "unit_hash", "left_semi")
     t = zoo.tensors(spark, sf_dir).drop("payload").select(F.col("repo_id").alias("file_id"), F.col("ordinal").alias("unit"), F.col("offset").alias("begin"), "n_bytes", "tensor_hash")
@@ -275,8 +307,7 @@ def cdc_attribution(spark, sf_dir):
 def chunk_vs_tensor_repo(spark, sf_dir):
     """One family as one repository: unique bytes by chunk and by tensor."""
     one = zoo.tensors(spark, sf_dir).where("family = 0")
-    files = zoo_files(spark, sf_dir).where(F.col("repo_id").startswith("m0_"))
-    c = dedup.dedup_stats(chunking.chunk(files, ["repo_id"], sizes=chunking.SMALL), "chunk")
+    c = dedup.dedup_stats(zoo_chunks(spark, sf_dir).where(F.col("repo_id").startswith("m0_")), "chunk")
     return c.unionAll(dedup.dedup_stats(one.drop("payload").withColumn("unit_hash", dedup.tensor_identity()), "tensor")).select("level", "total_bytes", "unique_bytes", "drr")
 
 
@@ -291,7 +322,7 @@ def dedup_map_repo(spark, sf_dir):
 
 @query("dedup_map_chunks")
 def dedup_map_chunks(spark, sf_dir):
-    c = chunking.chunk(zoo_files(spark, sf_dir), ["repo_id"], sizes=chunking.SMALL).select(F.lit("chunk").alias("level"), "repo_id", F.col("chunk_no").alias("unit_no"), "begin", "n_bytes", "unit_hash")
+    c = zoo_chunks(spark, sf_dir).select(F.lit("chunk").alias("level"), "repo_id", F.col("chunk_no").alias("unit_no"), "begin", "n_bytes", "unit_hash")
     return dedup.dedup_map(c, "m0_v5")
 
 

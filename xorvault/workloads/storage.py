@@ -12,7 +12,7 @@ from xorvault.plans import hub
 from xorvault.operators.graph import shared_dir
 from xorvault.sources import zoo
 from xorvault.workloads import zoo_sql as Z
-from xorvault.workloads.dedup import float_tensors, zoo_files
+from xorvault.workloads.dedup import float_tensors, zoo_chunks
 from xorvault.workloads.models import DIST, NOT_BOTH_ZERO, TAUS, TUNED, _sweep_sql, all_pairs, blocks, cross_pairs, family_pairs
 from xorvault.workloads.registry import query, table
 
@@ -230,8 +230,8 @@ def order_ablation(spark, sf_dir):
     for c in ("xor", "grouping", "zstd"):
         unique = chunking.compressed_chunks(rows if c == "xor" else whole, ["repo_id"], codec=c).where("unit_hash IS NOT NULL").groupBy("unit_hash").agg(F.first("n_bytes").alias("n"))
         made.append(stored(unique.agg(F.sum("n").alias("s")), f"{c} then chunks"))
-    files = zoo_files(spark, sf_dir).join(t.select("repo_id").distinct(), "repo_id")
-    made.append(stored(chunking.chunk(files, ["repo_id"], sizes=chunking.SMALL).groupBy("unit_hash").agg(F.first("n_bytes").alias("n")).agg(F.sum("n").alias("s")), "chunks"))
+    chunks = zoo_chunks(spark, sf_dir).join(t.select("repo_id").distinct(), "repo_id", "left_semi")
+    made.append(stored(chunks.groupBy("unit_hash").agg(F.first("n_bytes").alias("n")).agg(F.sum("n").alias("s")), "chunks"))
     made.append(stored(dedup.dedup_tensors(t).pool.agg(F.sum("n_bytes").alias("s")), "tensors"))
     made.append(stored(dedup.files_of(t).groupBy("unit_hash").agg(F.first("n_bytes").alias("n")).agg(F.sum("n").alias("s")), "files"))
     alone = whole.select("repo_id", "payload", "dtype")
@@ -433,21 +433,83 @@ def route_formats(spark, sf_dir):
 
 @query("drr_curves_coded")
 def drr_curves_coded(spark, sf_dir):
-    """Reduction against the number of uploads for the coders: zstd and grouping by file, XOR by tensor, each with chunks behind it."""
+    """Reduction against the number of uploads: chunks alone, component grouping behind file deduplication, and zstd and grouping
+    by file and XOR by tensor, each with chunks behind it."""
     rows = _order_rows(spark, sf_dir)
     seq = zoo.repos(spark, sf_dir).select("repo_id", F.col("seq").cast("bigint").alias("seq"))
     raw = plain_repos(spark, sf_dir)[0].groupBy("repo_id").agg(F.sum("n_bytes").alias("raw")).join(seq, "repo_id")
     whole = codecs.whole_files(rows).withColumn("payload_b", F.lit(None).cast("binary"))
+
+    def first_of_each(chunks: DataFrame) -> DataFrame:
+        marked = dedup.with_canonical(chunks.join(seq, "repo_id"), ["unit_hash"], ("seq", "chunk_no", "begin"))
+        return marked.groupBy("repo_id").agg(F.sum(F.when(F.col("is_dup"), 0).otherwise(F.col("n_bytes"))).alias("stored"))
+
+    stored = {f"{c} then chunks": first_of_each(chunking.compressed_chunks(rows if c == "xor" else whole, ["repo_id"], codec=c).where("unit_hash IS NOT NULL")) for c in ("zstd", "grouping", "xor")}
+    stored["chunks"] = first_of_each(zoo_chunks(spark, sf_dir).join(raw.select("repo_id"), "repo_id", "left_semi"))
+    stored["grouping with files"] = codecs.standalone_encode(whole.select("repo_id", "payload", "dtype"), ["repo_id"], codecs=("grouping_huffman",)).groupBy("repo_id").agg(F.sum("n_stored").alias("stored"))
     made = None
-    for c in ("zstd", "grouping", "xor"):
-        chunks = chunking.compressed_chunks(rows if c == "xor" else whole, ["repo_id"], codec=c).where("unit_hash IS NOT NULL").join(seq, "repo_id")
-        marked = dedup.with_canonical(chunks, ["unit_hash"], ("seq", "chunk_no", "begin"))
-        stored = marked.groupBy("repo_id").agg(F.sum(F.when(F.col("is_dup"), 0).otherwise(F.col("n_bytes"))).alias("stored"))
-        one = dedup.prefix_curve(raw.join(stored, "repo_id", "left").select("seq", "raw", F.coalesce("stored", F.lit(0)).alias("stored"))).withColumn("method", F.lit(f"{c} then chunks"))
+    for name, each in stored.items():
+        one = dedup.prefix_curve(raw.join(each, "repo_id", "left").select("seq", "raw", F.coalesce("stored", F.lit(0)).alias("stored"))).withColumn("method", F.lit(name))
         made = one if made is None else made.unionAll(one)
     return made
 
 
+@query("relative_factors")
+def relative_factors(spark, sf_dir):
+    """How many times, and by how many points, one method reduces more than another."""
+    pairs = [("chunks", "files"), ("chunks", "tensors"), ("engine", "chunks"), ("engine", "zstd then chunks"), ("engine", "grouping then chunks"), ("engine", "grouping with files"), ("engine", "xor then chunks")]
+    drr = graph.checkpointed(order_ablation(spark, sf_dir).select("method", "drr"))
+    of = lambda c: drr.select(F.col("method").alias(c), F.col("drr").alias(f"{c}_drr"))
+    both = spark.createDataFrame(pairs, "method string, against string").join(of("method"), "method").join(of("against"), "against")
+    return both.select("method", "against", F.round(metrics.relative(F.col("method_drr"), F.col("against_drr")), 4).alias("times"), F.round(100 * (F.col("method_drr") - F.col("against_drr")), 2).alias("points"))
+
+
+@query("quantized_container", lambda: f"WITH {Z.tensors(('v0',))} SELECT replace(repo_id, '_v0', '_v10') AS repo_id, CAST(ordinal AS INTEGER) AS ordinal, name, 'I8' AS dtype, (n_elems + {quantize.BLOCK - 1}) // {quantize.BLOCK} * {quantize.BLOCK + 2} AS n_bytes, TRUE AS same_bytes FROM tn")
+def quantized_container(spark, sf_dir):
+    """Quantized models written as containers, and their tensors found again from the typed table."""
+    import pyarrow as pa
+
+    from xorvault.sources import archive
+
+    def packed(key, group):
+        rows = sorted(group.to_pylist(), key=lambda r: r["ordinal"])
+        data = archive.write_quantized([(r["name"], r["shape"], r["payload"]) for r in rows], {"block": quantize.BLOCK})
+        return pa.table({"repo_id": pa.array([key[0].as_py()], pa.string()), "path": pa.array(["model.gguf"], pa.string()), "content": pa.array([data], pa.binary())})
+
+    t = zoo.tensors(spark, sf_dir).where("variant = 'v10'")
+    files = t.select("repo_id", "ordinal", "name", "shape", "payload").groupBy("repo_id").applyInArrow(packed, "repo_id string, path string, content binary")
+    got = archive.extract_tensors(files).select("repo_id", "ordinal", "name", "dtype", "n_bytes", F.col("tensor_hash").alias("got"))
+    return got.join(t.select("repo_id", "ordinal", "tensor_hash"), ["repo_id", "ordinal"]).select("repo_id", "ordinal", "name", "dtype", "n_bytes", (F.col("got") == F.col("tensor_hash")).alias("same_bytes"))
+
+
+@query("bitdist_fp64", """WITH w AS (SELECT l_suppkey, CAST(CAST(l_extendedprice AS BIT) AS BIGINT) AS x, CAST(CAST(l_extendedprice * (1 - l_discount) AS BIT) AS BIGINT) AS y FROM lineitem)
+SELECT l_suppkey, count(*) AS n, CAST(sum(bit_count(xor(x, y))) AS BIGINT) AS bits, round(CAST(sum(bit_count(xor(x, y))) AS DOUBLE) / count(*), 6) AS distance FROM w WHERE NOT ((x & 9223372036854775807) = 0 AND (y & 9223372036854775807) = 0) GROUP BY 1""")
+def bitdist_fp64(spark, sf_dir):
+    """FP64 distances of prices and discounted prices by supplier, in Catalyst expressions."""
+    li = table(spark, sf_dir, "lineitem").select("l_suppkey", W.double_bits("l_extendedprice").alias("x"), W.double_bits(F.col("l_extendedprice") * (1 - F.col("l_discount"))).alias("y"))
+    zero = lambda c: F.col(c).bitwiseAND(F.lit((1 << 63) - 1)) == 0
+    d = li.where(~(zero("x") & zero("y"))).groupBy("l_suppkey").agg(F.count("*").alias("n"), F.sum(F.bit_count(F.col("x").bitwiseXOR(F.col("y")))).cast("bigint").alias("bits"))
+    return d.withColumn("distance", F.round(F.col("bits") / F.col("n"), 6))
+
+
+@query("bitdist_dtype_tensors")
+def bitdist_dtype_tensors(spark, sf_dir):
+    """The block path at each width: distances of tuned models from their base, rewritten as FP16, BF16, FP32 and FP64."""
+    import numpy as np
+
+    b = coded_pairs(spark, sf_dir).where("dtype = 'BF16'")
+
+    def recast(a, base):
+        out = []
+        for t, kind in (("F16", "<f2"), ("F32", "<f4"), ("F64", "<f8")):
+            x, y = (W.floats(W.words(p, "BF16"), "BF16").astype(kind).tobytes() for p in (a, base))
+            out.append({"dtype": t, "payload_a": x, "payload_b": y})
+        return {"made": [*out, {"dtype": "BF16", "payload_a": a, "payload_b": base}]}
+
+    rows = codecs.on_rows(b, ["model", "ordinal"], ["payload_a", "payload_b"], recast, "made array<struct<dtype: string, payload_a: binary, payload_b: binary>>").select("model", "ordinal", F.inline("made"))
+    return bitdist.bit_distance(rows.withColumn("width", F.col("dtype")), by=("model", "width"))
+
+
 @query("throughput_kernels")
 def throughput_kernels(spark, sf_dir):
     """MB/s of one task's kernels on this input: hashing, XOR coding and decoding, grouping, chunking (one figure per partition)."""

@@ -7,23 +7,23 @@ import uuid
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from xorvault.operators.graph import shared_dir
 from xorvault.streaming import uploads as U
 from xorvault.workloads.registry import query, table
 
 
 def _folder(spark, name: str) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None) or "/tmp"
-    return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
 
 
 def _ran(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """The stream's rows after one run over all input, by way of a Parquet sink or, for updates, batches of them."""
+    """The stream's rows after one run over all input, by way of a Parquet sink; in complete mode the last batch has them all."""
     spark = stream.sparkSession
     out, check = _folder(spark, "stream"), _folder(spark, "stream-state")
     if mode == "append":
         stream.writeStream.format("parquet").option("path", out).option("checkpointLocation", check).trigger(availableNow=True).start().awaitTermination()
     else:
-        stream.writeStream.outputMode(mode).foreachBatch(lambda df, k: df.withColumn("batch", F.lit(k)).write.mode("overwrite").parquet(f"{out}/batch_no={k}")).option("checkpointLocation", check).trigger(availableNow=True).start().awaitTermination()
+        stream.writeStream.outputMode(mode).foreachBatch(lambda df, k: df.write.mode("overwrite").parquet(f"{out}/batch_no={0 if mode == 'complete' else k}")).option("checkpointLocation", check).trigger(availableNow=True).start().awaitTermination()
     return spark.read.schema(stream.schema).parquet(out).select(*stream.columns)
 
 
@@ -44,9 +44,42 @@ CONTENT = "CAST(json_extract(props, '$.k') AS BIGINT)"
 
 @query("stream_upload_dedup", f"SELECT {CONTENT} AS content_id, min(event_id) AS first_event, count(*) AS uploads, count(*) - 1 AS duplicate_uploads FROM events GROUP BY 1")
 def stream_upload_dedup(spark, sf_dir):
-    """The batch twin of first-seen deduplication: contents with their first event and copies."""
-    e = U.uploads(table(spark, sf_dir, "events"))
-    return e.groupBy("content_id").agg(F.min("event_id").alias("first_event"), F.count("*").alias("uploads"), (F.count("*") - 1).alias("duplicate_uploads"))
+    """Contents with their first event and copies, kept up to date by the stream."""
+    e = _source(spark, sf_dir).groupBy("content_id").agg(F.min("event_id").alias("first_event"), F.count("*").alias("uploads"), (F.count("*") - 1).alias("duplicate_uploads"))
+    return _ran(e, "complete")
+
+
+@query("stream_pool_probe", f"SELECT DISTINCT {CONTENT} AS content_id FROM events")
+def stream_pool_probe(spark, sf_dir):
+    """Contents that batches of uploads appended to a pool, each after a look at what is there."""
+    pool = _folder(spark, "pool")
+    U.dedup_into_pool(_source(spark, sf_dir), pool, _folder(spark, "pool-state")).awaitTermination()
+    return spark.read.schema("content_id bigint, ts timestamp, batch int").parquet(pool).select("content_id")
+
+
+@query("stream_content_state", f"SELECT {CONTENT} AS content_id, arg_min(user_id, event_id) AS owner, count(*) AS refs FROM events GROUP BY 1")
+def stream_content_state(spark, sf_dir):
+    """First owner and references of each content, in the stream's state."""
+    key, rocks = "spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+    was = spark.conf.get(key, None)
+    spark.conf.set(key, rocks)
+    try:
+        return _ran(U.content_state(_source(spark, sf_dir)), "update")
+    finally:
+        spark.conf.set(key, was) if was else spark.conf.unset(key)
+
+
+@query("stream_first_seen_watermark", f"SELECT DISTINCT {CONTENT} AS content_id FROM events")
+def stream_first_seen_watermark(spark, sf_dir):
+    """First-seen contents with state that a watermark bounds; its delay covers the whole input."""
+    return _ran(U.first_seen(_source(spark, sf_dir), within="400 days")).select("content_id")
+
+
+@query("stream_with_base", f"WITH e AS (SELECT event_id, event_type, {CONTENT} AS c FROM events), b AS (SELECT DISTINCT c, c % 10 AS family FROM e WHERE event_type = 'signup') SELECT event_id, e.c AS content_id, family FROM e LEFT JOIN b USING (c)")
+def stream_with_base(spark, sf_dir):
+    """Uploads tagged with the family of their content, by a join with a static table of bases."""
+    bases = U.uploads(table(spark, sf_dir, "events")).where("kind = 'base'").select("content_id", (F.col("content_id") % 10).alias("family")).distinct()
+    return _ran(U.with_base(_source(spark, sf_dir), bases).select("event_id", "content_id", "family"))
 
 
 @query("stream_first_seen", f"SELECT DISTINCT {CONTENT} AS content_id FROM events")
@@ -65,13 +98,13 @@ def stream_windows_daily(spark, sf_dir):
 @query("stream_sessions", """WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 30 MINUTES THEN 0 ELSE 1 END AS new FROM events), s AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g)
 SELECT user_id, CAST(count(*) AS BIGINT) AS uploads, CAST(epoch_us(min(ts)) // 1000 AS BIGINT) AS start_ms FROM s GROUP BY user_id, k""")
 def stream_sessions(spark, sf_dir):
-    """Sessions of uploads by user, in batch over the same function."""
-    return U.sessions(U.uploads(table(spark, sf_dir, "events"))).select("user_id", "uploads", F.unix_millis("start").alias("start_ms"))
+    """Sessions of uploads by user."""
+    return _ran(U.sessions(_source(spark, sf_dir)), "complete").select("user_id", "uploads", F.unix_millis("start").alias("start_ms"))
 
 
 @query("stream_sliding_weeks", "WITH d AS (SELECT unnest(range(0, 7)) AS k), e AS (SELECT CAST(ts AS DATE) - CAST(k AS INTEGER) AS start FROM events, d) SELECT CAST(start AS VARCHAR) AS start_day, count(*) AS uploads FROM e GROUP BY 1")
 def stream_sliding_weeks(spark, sf_dir):
-    return U.sliding(U.uploads(table(spark, sf_dir, "events"))).select(F.col("start").cast("date").cast("string").alias("start_day"), "uploads")
+    return _ran(U.sliding(_source(spark, sf_dir)), "complete").select(F.col("start").cast("date").cast("string").alias("start_day"), "uploads")
 
 
 @query("stream_first_downloads", f"""WITH e AS (SELECT event_id, ts, event_type, {CONTENT} AS c FROM events) SELECT u.c AS content_id, u.event_id AS upload, r.event_id AS retrieval FROM e u JOIN e r ON u.c = r.c AND r.ts >= u.ts AND r.ts <= u.ts + INTERVAL 1 HOUR WHERE u.event_type IN ('signup', 'purchase') AND r.event_type IN ('view', 'click')""")
