@@ -1,11 +1,16 @@
+import math
 import random
+import re
 import tracemalloc
 import zlib
+from collections import Counter
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
-from xorvault.llm.decontaminate import ItemIndex, Match, Words, contaminated_column, find_contamination
+from xorvault.llm import queries
+from xorvault.llm.decontaminate import ItemIndex, Match, Words, densest, find_contamination, without_contaminated
 from xorvault.llm.linear import isotonic, platt
 from xorvault.llm.quality_svm import fit_hinge, fit_quality, score_quality
 from xorvault.llm.token_counts import PretokenTrie, count_tokens, default_ranks, loaded, piece_scores
@@ -178,7 +183,72 @@ def test_leaks(spark):
     assert got == [(1, 1), (3, 2), (3, 2), (6, 5)]
     assert sorted((r.doc_id, r.item_id) for r in find_contamination(docs, items, match=Match(shard_items=1, shards_per_scan=2)).collect()) == got
     assert find_contamination(docs, items.limit(0)).count() == 0 and find_contamination(docs.limit(0), items).count() == 0
-    assert [r.n for r in docs.select(contaminated_column(items)("text")["n_items"].alias("n")).collect()] == [1, 0, 1, 0, 0, 1, 0, 1]
+    for match in (Match(), Match(shard_items=1, shards_per_scan=2)):
+        clean = without_contaminated(docs.withColumn("_items", F.lit(3)), items, match=match)
+        assert clean.columns == [*docs.columns, "_items"] and sorted(r.doc_id for r in clean.collect()) == [2, 4, 5, 7]
+
+
+def test_answers_must_be_at_the_question(spark):
+    """The words of a question's answer strewn over a long text are no leak; the answer some words after the question is."""
+    rng = random.Random(15)
+    filler = lambda n: " ".join("".join(rng.choices("mnopqr", k=rng.randint(2, 7))) for _ in range(n))
+    question, answer = "Where does the silver river of the northern vale begin its run?", "It starts at the high glacier of Morn."
+    strewn = question + " " + " ".join(filler(130) + " " + w for w in answer.split())
+    rows = [(1, strewn), (2, filler(300) + " " + question + " Answer, in short: " + answer + filler(300)), (3, answer + " " + filler(10) + " " + question)]
+    got = [r.doc_id for r in find_contamination(spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame([(1, f"{question} {answer}")], "item_id long, text string")).collect()]
+    assert sorted(got) == [2, 3]
+
+
+def brute_leaks(docs, items, match=Match()):
+    """(doc, item) pairs by scoring every piece for every pair of halves, and looking at every window."""
+    items = sorted({(i, t) for i, t in items if t and re.findall(r"\w+", t)}, key=lambda x: (str(x[0]), x[1]))
+    split = lambda s: re.findall(r"\w+", s.lower())
+    pieces = []
+    for j, (_, t) in enumerate(items):
+        w = split(t)
+        size = math.ceil(len(w) / math.ceil(len(w) / (match.half * 3 // 2)))
+        pieces += [(j, w[k : k + size]) for k in range(0, len(w), size)]
+    mean = sum(len(p) for _, p in pieces) / max(1, len(pieces))
+    df = Counter(t for _, p in pieces for t in set(p))
+    vocabulary = {w for _, t in items for w in split(t)}
+    weight = lambda t, p: math.log(1 + (len(pieces) - df[t] + 0.5) / (df[t] + 0.5)) * p.count(t) * (match.k1 + 1) / (p.count(t) + match.k1 * (1 - match.b + match.b * len(p) / mean))
+    weights = [(j, {t: weight(t, p) for t in set(p)}) for j, p in pieces]
+    out = []
+    for i, text in docs:
+        w = [x if x in vocabulary else None for x in split(text or "")]
+        found = set()
+        for h in range(0, len(w), match.half):
+            query = set(w[h : h + 2 * match.half])
+            found |= {j for j, p in weights if sum(v for t, v in p.items() if t in query) >= match.least_share * sum(p.values())}
+        for j in found:
+            s = [x for x in re.split(r"(?<=[.!?])\s+", items[j][1].strip()) if re.search(r"\w", x)]
+            q, a = (split(" ".join(s[:-1])) if len(s) > 1 else split(items[j][1])), split(s[-1])
+            n = min(3, len(q))
+            grams = lambda x: [tuple(x[k : k + n]) for k in range(len(x) - n + 1)]
+            own, seen, width = set(grams(q)), grams(w), 3 * (len(q) + len(a)) // 2 + match.half
+            best, start = max(((len(own & set(seen[k : k + width])), -k) for k in range(len(seen)) if seen[k] in own), default=(0, 0))
+            near = set(w[max(0, -start - len(a) - match.half) : -start + width + len(a) + match.half])
+            if best >= match.question_overlap * len(own) and sum(t in near for t in a) >= match.answer_overlap * len(a):
+                out.append((i, items[j][0]))
+    return out
+
+
+def test_leaks_as_brute_force(spark, sf_dir):
+    docs = [(r.doc_id, r.text) for r in spark.read.parquet(f"{sf_dir}/documents.parquet").collect()]
+    items = [(r.item_id, r.text) for r in spark.read.parquet(f"{sf_dir}/benchmark.parquet").collect()]
+    got = sorted((r.doc_id, r.item_id) for r in queries.op10_bm25_decontamination(spark, sf_dir).collect())
+    assert got == sorted(brute_leaks(docs, items)) and got
+    assert {(i, j) for i, t in docs for j, x in items if x and x in (t or "")} <= set(got)
+
+
+def test_densest():
+    rng = random.Random(4)
+    for _ in range(200):
+        hits = [(rng.randrange(60), rng.choice("abcdef")) for _ in range(rng.randint(0, 25))]
+        start, count = densest(hits, 9)
+        each = {p: len({g for q, g in hits if p <= q < p + 9}) for p, _ in hits}
+        assert count == max(each.values(), default=0)
+        assert not hits or len({g for q, g in hits if start <= q < start + 9}) == count
 
 
 def test_repeated_item_rows(spark):
