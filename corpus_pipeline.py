@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 
 from xorvault.llm.common import fresh, shared_dir
 from xorvault.llm.compression_rules import rules_column
-from xorvault.llm.decontaminate import contaminated_column
+from xorvault.llm.decontaminate import without_contaminated
 from xorvault.llm.jaccard_forest import digest_column, marked_rows
 from xorvault.llm.pair_index_bpe import encode_documents
 from xorvault.llm.secret_guess import secrets_column
@@ -57,9 +57,7 @@ def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    mark = fresh(docs, "_items")
-    items = spark.read.parquet(f"{sf_dir}/benchmark.parquet")
-    return docs.withColumn(mark, contaminated_column(items)(F.col("text"))["n_items"]).where(F.col(mark) == 0).drop(mark)
+    return without_contaminated(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
 def secret_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
