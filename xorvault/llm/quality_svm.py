@@ -1,13 +1,16 @@
 """Quality classifier: a support vector machine on n-gram indicators scaled by naive Bayes log-count ratios.
 
-A document's features are indicators of n-grams over word forms. A form keeps what a word looks like (case, digits,
-punctuation, whether the word repeats one just before) and drops which letters it has, since prose has an open
-vocabulary. Each indicator is scaled by the log ratio of its smoothed class frequencies; on these a linear
-hinge-loss model is fitted by dual coordinate descent, interpolated towards the plain Bayes weights, and its margins
-are calibrated to probabilities on out-of-fold margins.
+A document's features are indicators of its words, and of n-grams over word forms, as in prose, with its open vocabulary,
+single words say little. A form keeps what a word looks like (case, digits, punctuation, whether the word repeats one just
+before) and drops which letters it has. Each indicator is scaled by the log ratio of its smoothed class frequencies; on
+these a linear hinge-loss model is fitted by dual coordinate descent, interpolated towards the plain Bayes weights, and its
+margins are calibrated to probabilities on out-of-fold margins.
 
 The fit uses a bounded sample of labelled rows outside the held-out fold (`train_rows`); scoring covers every whole text.
-An empty or null text has only the bias feature, so its score is that of a featureless text.
+An empty or null text has only the bias feature, so its score is that of a featureless text. Repeated rows get equal scores;
+a repeated label row counts once, as the greatest of its labels; an empty table of documents gives an empty result, and one
+of labels (or labels of one class) the smoothed rate for every row. Equal scores stay equal: nothing is ranked. Columns
+other than those named aren't read, whatever their names.
 """
 
 from __future__ import annotations
@@ -44,22 +47,27 @@ def form(word: bytes) -> str:
                 out.append(c)
         elif len(out) < 2 or out[-1] != m[5] or out[-2] != m[5]:
             out.append(m[5])
-    return "".join(out[:12])
+    return "".join(out)
 
 
 class Forms(dict):
+    """Words' forms; long words, which are rare, aren't remembered."""
+
     def __missing__(self, word: bytes) -> str:
-        if len(self) > 300_000:
-            self.clear()
-        self[word] = f = form(word)
+        f = form(word)
+        if len(word) <= 256:
+            if len(self) > 300_000:
+                self.clear()
+            self[word] = f
         return f
 
 
 def ngrams(words: list[bytes], forms: Forms) -> set[tuple]:
-    """The distinct n-grams of a text's forms and of its repeat marks."""
+    """The distinct words of a text, and n-grams of its forms and of its repeat marks."""
     f = [*map(forms.__getitem__, words)]
     f.append("$")
-    out = set(zip(f))
+    out = set(zip(words))
+    out.update(zip(f))
     out.update(zip(f, f[1:]))
     out.update(zip(f, f[1:], f[2:]))
     same = [a == b for a, b in zip(words, words[1:])]
@@ -76,6 +84,9 @@ def ngrams(words: list[bytes], forms: Forms) -> set[tuple]:
 
 
 def key(gram: tuple) -> int:
+    """A feature's number: words are bytes, and forms text."""
+    if isinstance(gram[0], bytes):
+        return xxhash.xxh64_intdigest(gram[0], 1) >> 1
     return xxhash.xxh64_intdigest("\x01".join(gram)) >> 1
 
 

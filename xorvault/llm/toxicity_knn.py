@@ -7,10 +7,13 @@ are. Document frequencies come from the whole corpus. Examples are indexed by te
 examples, and each term keeps its greatest weight per block. A query adds these up to bounds of all blocks, opens blocks
 from the highest bound down and stops when no closed block can reach the k-th best cosine, so the neighbours are exact.
 Equal cosines go to the lower example. Votes are weighted by cosine; the vote share is calibrated by an isotonic fit on
-the examples themselves, each scored without itself. The neighbours' ids and shared terms are the evidence.
+the examples, each scored by terms chosen, and among examples indexed, without its fifth of the sample. The ids of all
+voting neighbours and the shared terms are the evidence.
 
 The index holds at most `train_rows` examples, which bounds its broadcast; scoring covers every whole text. A text with
-no chosen term (also an empty or null one) gets the calibrated rate of such examples and no evidence.
+no chosen term (also an empty or null one) gets the calibrated rate of such examples and no evidence. Repeated rows get
+equal results; a repeated label row counts once, as the greatest of its labels; an empty table of documents gives an empty
+result, and one of labels the score 0.5 for every row. Columns other than those named aren't read, whatever their names.
 """
 
 from __future__ import annotations
@@ -154,27 +157,58 @@ class ToxicityModel:
         return float(np.interp(share, self.knots, self.levels))
 
 
-def contrast(featured: DataFrame, least_chi2: float, least_df: int, most: int) -> list[bytes]:
-    """Terms of rows (label, terms) that are more frequent in the positive class than chance allows, strongest first.
+#: Parts of the sample that calibration leaves out in turn.
+PARTS = 5
 
-    Counts are a Spark aggregate; at most `most` terms come to the driver. Of terms of which one is another's stem only
-    the stronger stays.
+
+def contrast(featured: DataFrame, least_chi2: float, least_df: int) -> list[list[bytes]]:
+    """Terms of rows (label, part, terms) that are more frequent in the positive class than chance allows, strongest first:
+    by all rows, then by those outside each part.
+
+    Counts are one Spark aggregate; only terms that pass come to the driver, a part of those of the bounded sample. Of terms
+    of which one is another's stem only the stronger stays.
     """
-    size = featured.agg(F.sum("label").alias("p"), F.sum(1 - F.col("label")).alias("n"))
-    counts = featured.select("label", F.explode("terms").alias("t")).groupBy("t").agg(F.sum("label").alias("a"), F.sum(1 - F.col("label")).alias("b")).where(F.col("a") + F.col("b") >= least_df)
-    a, b, p, n = (F.col(c).cast("double") for c in "abpn")
-    chi2 = (p + n) * F.pow(a * (n - b) - b * (p - a), 2) / ((a + b) * (p + n - a - b) * p * n)
-    strong = counts.crossJoin(F.broadcast(size)).where(a * n > b * p).select("t", chi2.alias("chi2")).where(F.col("chi2") >= least_chi2)
-    kept: list[bytes] = []
-    for r in strong.orderBy(F.desc("chi2"), "t").limit(most).collect():
-        stem = bytes(r["t"]).rstrip(b"-")
-        if not any(stem.startswith(k.rstrip(b"-")) or k.startswith(stem) for k in kept):
-            kept.append(bytes(r["t"]))
-    return kept
-
-
-def fit_toxicity(docs: DataFrame, labels: DataFrame, *, label: str = "toxic", folds: int = 5, held_out: int = 0, train_rows: int = 8000, k: int = 15, least_chi2: float = 30.0, least_df: int = 4, most_terms: int = 2000, id_col: str = "doc_id", text_col: str = "text") -> ToxicityModel:
-    sample = stored(labelled_sample(docs, labels, label, folds=folds, held_out=held_out, rows=train_rows, id_col=id_col, text_col=text_col), "toxicity-sample")
+    negative = 1 - F.col("label")
+    sizes = {r["part"]: (r["p"], r["n"]) for r in featured.groupBy("part").agg(F.sum("label").alias("p"), F.sum(negative).alias("n")).collect()}
+    counts = featured.select("label", "part", F.explode("terms").alias("t")).groupBy("t")
+    of = lambda v, k: F.sum(F.when(F.col("part") == k, v).otherwise(0))
+    counts = counts.agg(F.sum("label").alias("a"), F.sum(negative).alias("b"), *[x for k in range(PARTS) for x in (of(F.col("label"), k).alias(f"a{k}"), of(negative, k).alias(f"b{k}"))])
+    total = [sum(x[i] for x in sizes.values()) for i in (0, 1)]
+
+    def chi2(a, b, p: int, n: int):
+        strong = (a + b >= least_df) & (a * n > b * p)
+        return F.when(strong, (p + n) * F.pow(a * n - b * p, 2.0) / ((a + b) * (p + n - a - b) * p * n)).otherwise(0.0) if p and n else F.lit(0.0)
+
+    a, b = F.col("a").cast("double"), F.col("b").cast("double")
+    each = [chi2(a, b, *total)] + [chi2(a - F.col(f"a{k}"), b - F.col(f"b{k}"), *(total[i] - sizes.get(k, (0, 0))[i] for i in (0, 1))) for k in range(PARTS)]
+    rows = counts.select("t", F.array(*each).alias("chi2")).where(F.array_max("chi2") >= least_chi2).collect()
+    out = []
+    for k in range(1 + PARTS):
+        kept: list[bytes] = []
+        for r in sorted((r for r in rows if r["chi2"][k] >= least_chi2), key=lambda r: (-r["chi2"][k], bytes(r["t"]))):
+            stem = bytes(r["t"]).rstrip(b"-")
+            if not any(stem.startswith(x.rstrip(b"-")) or x.startswith(stem) for x in kept):
+                kept.append(bytes(r["t"]))
+        out.append(sorted(kept))
+    return out
+
+
+def built_index(terms: list[bytes], examples: list[tuple], idf: np.ndarray) -> tuple[BlockMaxIndex, list]:
+    """The index of examples (id, label, counts by term), and the examples in its order."""
+    index = BlockMaxIndex(len(terms) + 1, [], np.zeros(0, np.int64), np.append(idf, 1.0))
+    vectors = [index.vector(c) for _, _, c in examples]
+    # Examples that are alike lie together, so that block maxima are tight: by their heaviest chosen term, then by its share.
+    heavy = [max(((w, t) for t, w in zip(v[0].tolist(), v[1].tolist()) if t < len(terms)), default=(0.0, -1)) for v in vectors]
+    order = sorted(range(len(examples)), key=lambda j: (heavy[j][1], round(heavy[j][0], 1), len(examples[j][0] or ""), examples[j][0] or ""))
+    plain = index.vector({len(terms): 1})
+    index.ids, index.label = [examples[j][0] for j in order], np.array([examples[j][1] for j in order], np.int64)
+    index.add([vectors[j] if len(vectors[j][0]) else plain for j in order])
+    return index, [examples[j] for j in order]
+
+
+def fit_toxicity(docs: DataFrame, labels: DataFrame, *, label: str = "toxic", folds: int = 5, held_out: int = 0, train_rows: int = 8000, k: int = 15, least_chi2: float = 30.0, least_df: int = 4, id_col: str = "doc_id", text_col: str = "text") -> ToxicityModel:
+    sample = labelled_sample(docs, labels, label, folds=folds, held_out=held_out, rows=train_rows, id_col=id_col, text_col=text_col)
+    sample = stored(sample.withColumn("_part", F.pmod(F.xxhash64(id_col), F.lit(PARTS)).cast("int")), "toxicity-sample")
 
     def featured(batches):
         memo: dict[bytes, tuple] = {}
@@ -189,37 +223,41 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, *, label: str = "toxic", fo
                         memo[w] = terms_of_word(w)
                     found.update(memo[w])
                 sets.append(list(found))
-            yield {"label": batch.column("_label"), "terms": sets}
+            yield {"label": batch.column("_label"), "part": batch.column("_part"), "terms": sets}
 
-    chosen = contrast(map_arrow(sample, featured, "label int, terms array<binary>"), least_chi2, least_df, most_terms)
-    terms = sorted(chosen)
-    number = {t: j for j, t in enumerate(terms)}
+    chosen = contrast(map_arrow(sample, featured, "label int, part int, terms array<binary>"), least_chi2, least_df)
+    numbers = [{t: j for j, t in enumerate(terms)} for terms in chosen]
 
     def counted(batches):
-        known = Terms(number)
+        known = [Terms(x) for x in numbers]
         for batch in slices(batches):
-            rows = [known.counts(x or "") for x in batch.column("_text").to_pylist()]
-            yield {"id": batch.column(id_col).cast(pa.string()), "label": batch.column("_label"), "terms": [list(r) for r in rows], "counts": [list(r.values()) for r in rows]}
-
-    got = map_arrow(sample, counted, "id string, label int, terms array<int>, counts array<int>").toArrow().to_pylist()
-    n_docs, df = _document_frequencies(docs, number, text_col)
-    index = BlockMaxIndex(len(terms) + 1, [], np.zeros(0, np.int64), np.append(np.log((1 + n_docs) / (1 + df)) + 1, 1.0))
-    vectors = [index.vector(dict(zip(r["terms"], r["counts"]))) for r in got]
-    # Examples that are alike lie together, so that block maxima are tight: by their heaviest chosen term, then by its share.
-    heavy = [max(((w, t) for t, w in zip(v[0].tolist(), v[1].tolist()) if t < len(terms)), default=(0.0, -1)) for v in vectors]
-    order = sorted(range(len(got)), key=lambda j: (heavy[j][1], round(heavy[j][0], 1), len(got[j]["id"]), got[j]["id"]))
-    got, vectors = [got[j] for j in order], [vectors[j] for j in order]
-    y = np.array([r["label"] for r in got], np.int64)
-    index.ids, index.label = [r["id"] for r in got], y
-    plain = index.vector({len(terms): 1})
-    index.add([v if len(v[0]) else plain for v in vectors])
-    some = [j for j, r in enumerate(got) if r["terms"]]
-    none = np.array([not r["terms"] for r in got], bool)
-    bare = (y[none].sum() + 0.5) / (none.sum() + 2) if len(y) else 0.5
-    model = ToxicityModel(terms, index, k, np.zeros(1), np.full(1, 0.5), float(bare))
-    if some:
-        shares = np.array([model.share(*index.nearest(*vectors[j], k, without=j)) for j in some])
-        model.knots, model.levels = isotonic(shares, y[some].astype(float), prior=float(y[some].mean()))
+            rows = [[x.counts(t or "") for x in known] for t in batch.column("_text").to_pylist()]
+            yield {"id": batch.column(id_col).cast(pa.string()), "label": batch.column("_label"), "part": batch.column("_part"), "terms": [[list(c) for c in r] for r in rows], "counts": [[list(c.values()) for c in r] for r in rows]}
+
+    got = map_arrow(sample, counted, "id string, label int, part int, terms array<array<int>>, counts array<array<int>>").toArrow().to_pylist()
+    got.sort(key=lambda r: (len(r["id"] or ""), r["id"] or ""))
+    every = sorted({t for terms in chosen for t in terms})
+    n_docs, df = _document_frequencies(docs, {t: j for j, t in enumerate(every)}, text_col)
+    idf = {t: float(x) for t, x in zip(every, np.log((1 + n_docs) / (1 + df)) + 1)}
+    rows = lambda v, without: [(r["id"], r["label"], dict(zip(r["terms"][v], r["counts"][v]))) for r in got if r["part"] != without]
+    weights = lambda v: np.array([idf[t] for t in chosen[v]])
+    index, _ = built_index(chosen[0], rows(0, None), weights(0))
+    model = ToxicityModel(chosen[0], index, k, np.zeros(1), np.full(1, 0.5), 0.5)
+    # Calibration: each example is scored by terms that were chosen, and examples that are indexed, without its part.
+    shares, truth, bare = [], [], []
+    for part in range(PARTS):
+        other = ToxicityModel(chosen[1 + part], built_index(chosen[1 + part], rows(1 + part, part), weights(1 + part))[0], k, model.knots, model.levels, 0.5)
+        for r in got:
+            if r["part"] == part:
+                counts = dict(zip(r["terms"][1 + part], r["counts"][1 + part]))
+                if counts:
+                    shares.append(other.share(*other.index.nearest(*other.index.vector(counts), k)))
+                    truth.append(r["label"])
+                else:
+                    bare.append(r["label"])
+    model.bare = float((sum(bare) + 0.5) / (len(bare) + 2)) if got else 0.5
+    if shares:
+        model.knots, model.levels = isotonic(np.array(shares), np.array(truth, float), prior=float(np.mean(truth)))
     return model
 
 
@@ -261,7 +299,7 @@ def score_toxicity(docs: DataFrame, labels: DataFrame, *, threshold: float = 0.5
                     known.clear()
                 found, cosine = model.index.nearest(*model.index.vector(counts), model.k) if counts else (np.zeros(0, np.int64), np.zeros(0))
                 score = model.calibrated(model.share(found, cosine)) if len(found) else model.bare
-                known[at] = {"score": score, "neighbours": [model.index.ids[j] for j in found[:5]], "shared_terms": [model.terms[t].decode() for t in sorted(counts) if t < len(model.terms)]}
+                known[at] = {"score": score, "neighbours": [model.index.ids[j] for j in found], "shared_terms": [model.terms[t].decode() for t in sorted(counts) if t < len(model.terms)]}
             return known[at]
 
         return lambda texts: [one(x) for x in texts]
