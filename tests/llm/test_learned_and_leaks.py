@@ -12,9 +12,13 @@ from pyspark.sql import functions as F
 from xorvault.llm import queries
 from xorvault.llm.decontaminate import ItemIndex, Match, Words, densest, find_contamination, without_contaminated
 from xorvault.llm.linear import isotonic, platt
-from xorvault.llm.quality_svm import fit_hinge, fit_quality, score_quality
+from xorvault.llm.common import words_of
+from xorvault.llm.compression_rules import quality_rules
+from xorvault.llm.pair_index_bpe import encode_documents
+from xorvault.llm.quality_svm import Forms, fit_hinge, fit_quality, form, key, ngrams, score_quality
+from xorvault.llm.secret_guess import scan_secrets
 from xorvault.llm.token_counts import PretokenTrie, count_tokens, default_ranks, loaded, piece_scores
-from xorvault.llm.toxicity_knn import BlockMaxIndex, score_toxicity
+from xorvault.llm.toxicity_knn import PARTS, BlockMaxIndex, built_index, fit_toxicity, score_toxicity, terms_of_word
 
 # --- Token counts
 
@@ -168,6 +172,131 @@ def test_toxicity(spark):
     assert score_toxicity(docs, labels.limit(0)).count() == len(rows) + 2
 
 
+def test_toxicity_as_brute_force(spark):
+    """Terms by their chi-square, document frequencies, cosines over dense vectors, votes, and calibration without each part."""
+    rng = random.Random(12)
+    calm = "the quiet river runs past old stones under a wide pale sky and birds rest".split()
+    bad = ["vilewretch", "foulbeast", "nastyfool", "vilewretches"]
+    rows = []
+    for k in range(500):
+        w = rng.choices(calm, k=rng.randint(20, 60))
+        toxic = int(k % 4 == 0)
+        for _ in range(rng.randint(1, 4) if toxic else int(rng.random() < 0.05)):
+            w[rng.randrange(len(w))] = rng.choice(bad)
+        rows.append((k, " ".join(w), toxic))
+    docs = spark.createDataFrame([(i, t) for i, t, _ in rows], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, y) for i, _, y in rows], "doc_id long, toxic int")
+    part = {r.doc_id: r.p for r in docs.selectExpr("doc_id", f"pmod(xxhash64(doc_id), {PARTS}) AS p").collect()}
+    examples = [(i, t, y) for i, t, y in rows if zlib.crc32(str(i).encode()) % 5 != 0]
+    words = {i: t.split() for i, t, _ in rows}
+    terms_of = {i: {t for w in words[i] for t in terms_of_word(w.encode())} for i in words}
+
+    def strong(of):
+        p, n = sum(y for *_, y in of), sum(1 - y for *_, y in of)
+        out = []
+        for t in set().union(*(terms_of[i] for i, *_ in of)):
+            a, b = sum(y for i, _, y in of if t in terms_of[i]), sum(1 - y for i, _, y in of if t in terms_of[i])
+            if a + b >= 4 and a * n > b * p:
+                table = np.array([[a, b], [p - a, n - b]], float)
+                want = table.sum(1, keepdims=True) @ table.sum(0, keepdims=True) / table.sum()
+                if (x := (((table - want) ** 2) / want).sum()) >= 30:
+                    out.append((x, t))
+        kept = []
+        for _, t in sorted(out, key=lambda x: (-round(x[0], 9), x[1])):
+            stem = t.rstrip(b"-")
+            if not any(stem.startswith(u.rstrip(b"-")) or u.startswith(stem) for u in kept):
+                kept.append(t)
+        return sorted(kept)
+
+    def dense(terms, i):
+        idf = [math.log((1 + len(rows)) / (1 + sum(t in terms_of[j] for j in terms_of))) + 1 for t in terms]
+        hits = [[t for t in terms_of_word(w.encode()) if t in terms] for w in words[i]]
+        count = Counter(t for h in hits for t in h)
+        v = np.array([(1 + math.log(count[t])) * x if count[t] else 0.0 for t, x in zip(terms, idf)] + [1 + math.log(rest) if (rest := sum(not h for h in hits)) else 0.0])
+        return count, v / (np.linalg.norm(v) or 1.0)
+
+    def share(i, terms, order, truth):
+        count, v = dense(terms, i)
+        if not count:
+            return None
+        cosine = np.round(np.array([dense(terms, j)[1] @ v for j in order]), 12)
+        near = [j for j in np.lexsort((np.arange(len(order)), -cosine))[:15] if cosine[j] > 0]
+        return sum(cosine[j] * truth[order[j]] for j in near) / (sum(cosine[j] for j in near) + 0.25)
+
+    model = fit_toxicity(docs, labels)
+    truth = {i: y for i, _, y in rows}
+    assert model.terms == strong(examples) and len(model.terms) >= 3
+    order = [int(i) for i in model.index.ids]
+    assert sorted(order) == [i for i, *_ in examples]
+    got = {r.doc_id: r for r in score_toxicity(docs, labels).collect()}
+    for i in range(0, 500, 7):
+        x = share(i, model.terms, order, truth)
+        assert got[i].score == pytest.approx(model.bare if x is None else float(np.interp(x, model.knots, model.levels)), abs=1e-6)
+        assert x is None or len(got[i].neighbours.split(",")) == 15
+    shares, seen, bare = [], [], []
+    for k in range(PARTS):
+        rest = [x for x in examples if part[x[0]] != k]
+        terms = strong(rest)
+        index, _ = built_index(terms, [(str(i), y, {}) for i, _, y in rest], np.ones(len(terms)))
+        for i, _, y in (x for x in examples if part[x[0]] == k):
+            x = share(i, terms, [int(j) for j in index.ids], truth)
+            (bare if x is None else seen).append(y)
+            shares += [] if x is None else [x]
+    assert model.bare == pytest.approx((sum(bare) + 0.5) / (len(bare) + 2))
+    knots, levels = isotonic(np.array(shares), np.array(seen, float), prior=float(np.mean(seen)))
+    at = np.linspace(0, 1, 50)
+    assert np.interp(at, model.knots, model.levels) == pytest.approx(np.interp(at, knots, levels), abs=1e-6)
+
+
+def test_quality_as_brute_force(spark):
+    """Scores are the calibrated margin over a text's known features; ratios are smoothed log ratios of class frequencies."""
+    rows, docs, labels = labelled(spark, 240)
+    model = fit_quality(docs, labels)
+    at = {int(k): j for j, k in enumerate(model.keys)}
+    forms = Forms()
+    features = {i: {at[x] for g in ngrams(words_of(t), forms) if (x := key(g)) in at} for i, t, _ in rows}
+    got = {r.doc_id: r.score for r in score_quality(docs, labels).collect()}
+    for i in features:
+        f = sorted(features[i])
+        margin = float(model.ratio[f] @ model.weight[f]) / (float(np.linalg.norm(model.ratio[f])) or 1.0) + model.bias
+        assert got[i] == pytest.approx(1 / (1 + math.exp(-max(-30, min(30, model.a * margin + model.b)))), abs=1e-9)
+    train = [(i, y) for i, _, y in rows if zlib.crc32(str(i).encode()) % 4 != 2]
+    for y, side in ((1, 1), (0, -1)):
+        assert any(side * r > 0.5 for r in model.ratio)
+    j = at[key((b"BUY!!",))]
+    pos, neg = (sum(j in features[i] for i, t in train if t == y) for y in (1, 0))
+    n_pos, n_neg = (sum(t == y for _, t in train) for y in (1, 0))
+    assert model.ratio[j] == pytest.approx(math.log((1 + pos) / (2 + n_pos)) - math.log((1 + neg) / (2 + n_neg)))
+
+
+def test_forms_are_whole():
+    """A word's form goes to its end, however long."""
+    assert form(b"a1" * 20) == "a0" * 20 and form(b"a1" * 20 + b"!") != form(b"a1" * 20 + b"?")
+    assert len(form(b"aB3-" * 250_000)) == 1_000_000
+
+
+ROWS = [(1, None), (2, ""), (3, "plain words here"), (3, "plain words here"), (None, "plain words here"), (None, None), (4, "x" * 300_000), (5, "word " * 60_000)]
+
+
+@pytest.mark.parametrize("name", ["tokens", "quality", "toxicity", "rules", "secrets", "bpe", "leaks"])
+def test_odd_rows(spark, name):
+    """Null and repeated ids and texts, very long words and texts, and columns with the names that operators use."""
+    docs = spark.createDataFrame([(i, t, 1, "k") for i, t in ROWS], "doc_id long, text string, score int, _r string")
+    labels = spark.createDataFrame([(3, 1, 0, "x"), (3, 1, 0, "x"), (None, 0, 1, "x"), (2, None, None, "x")], "doc_id long, quality int, toxic int, text string")
+    items = spark.createDataFrame([(1, "plain words here", 1), (1, "plain words here", 1), (None, None, 1)], "item_id long, text string, doc_id int")
+    run = {
+        "tokens": lambda d: count_tokens(d), "quality": lambda d: score_quality(d, labels), "toxicity": lambda d: score_toxicity(d, labels),
+        "rules": lambda d: quality_rules(d), "secrets": lambda d: scan_secrets(d), "bpe": lambda d: encode_documents(d), "leaks": lambda d: find_contamination(d, items),
+    }[name]
+    got = [tuple(r) for r in run(docs).collect()]
+    if name == "leaks":
+        assert sorted(map(str, (r[:2] for r in got))) == sorted(["(3, 1)", "(3, 1)", "(None, 1)"])
+    else:
+        assert sorted(str(r[0]) for r in got) == sorted(str(i) for i, _ in ROWS)
+        assert len({repr(r[1:]) for r in got if r[0] == 3}) == 1
+    assert run(docs.limit(0)).count() == 0
+
+
 # --- Decontamination
 
 ITEMS = [(1, "Where does the silver river of the northern vale begin its run? It starts at the high glacier of Morn."), (2, "Name the colour of copper salts in flame. The flame turns green."), (3, None), (4, ""), (5, " ".join(f"long{k}" for k in range(300)) + ". The end is here.")]
