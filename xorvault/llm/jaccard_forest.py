@@ -42,7 +42,7 @@ from pyspark.sql import functions as F
 from .common import WordHashes, cut, map_arrow, mixed, rolled, slices, stored, text_function, words_of
 
 #: Parts that the rows of one key are dealt to in joins on nodes and roots.
-SALTS = 32
+SALTS = 8
 
 
 @dataclass(frozen=True)
@@ -331,7 +331,7 @@ def digest_column():
 def _joined(docs: DataFrame, forest: Forest, id_col: str, text_col: str, heads: bool) -> DataFrame:
     kind = docs.schema[id_col].dataType.simpleString()
     rows = stored(signed(docs, forest, id_col, text_col), "signatures")
-    texts = rows.where("h IS NOT NULL").groupBy("h").agg(F.min("id").alias("rep"), F.count("*").alias("copies"), F.first("keys").alias("keys"), F.first("tails").alias("tails"))
+    texts = stored(rows.where("h IS NOT NULL").groupBy("h").agg(F.min("id").alias("rep"), F.count("*").alias("copies"), F.first("keys").alias("keys"), F.first("tails").alias("tails")), "texts")
 
     # One row for each text and node of its that others share; large nodes are cut in parts.
     places = stored(located(texts, forest), "nodes").select("h", "rep", "nodes", F.explode("nodes").alias("node"))
