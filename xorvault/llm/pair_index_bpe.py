@@ -27,7 +27,7 @@ PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!
 SELF_BYTES = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
 
 #: Distinct pre-tokens whose ids a Python worker remembers.
-REMEMBERED = 800_000
+REMEMBERED = 400_000
 
 
 def default_vocabulary() -> str:
