@@ -28,7 +28,8 @@ read, whatever their names.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections import defaultdict
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -156,14 +157,15 @@ def matrix(table: pa.Table, column: str) -> np.ndarray:
     return pc.list_flatten(table[column]).to_numpy().reshape(table.num_rows, -1)
 
 
-def numbered(texts: list[list[bytes]], known: dict[bytes, int] | None = None) -> tuple[np.ndarray, np.ndarray, dict[bytes, int]]:
-    """All texts' words as numbers, one text behind the other; the texts' lengths; and the numbers by word."""
-    known = {} if known is None else known
-    for words in texts:
-        for w in words:
-            known.setdefault(w, len(known))
-    lengths = np.array([len(t) for t in texts], np.int64)
-    return np.fromiter((known[w] for t in texts for w in t), np.int64, int(lengths.sum())), lengths, known
+def numbered(texts: Iterable[list[bytes]]) -> tuple[np.ndarray, np.ndarray, dict[bytes, int]]:
+    """All texts' words as numbers, one text behind the other; the texts' lengths; and the numbers by word.
+
+    Each text's words are let go before the next one's are made, so that a node of long texts takes four bytes a word.
+    """
+    known: dict[bytes, int] = defaultdict(lambda: len(known))
+    ids = [np.fromiter(map(known.__getitem__, words), np.int32, len(words)) for words in texts]
+    lengths = np.array([len(t) for t in ids], np.int64)
+    return np.concatenate([*ids, np.zeros(0, np.int32)]).astype(np.int64), lengths, dict(known)
 
 
 def shingle_sets(ids: np.ndarray, lengths: np.ndarray, size: int) -> list[np.ndarray]:
@@ -173,7 +175,6 @@ def shingle_sets(ids: np.ndarray, lengths: np.ndarray, size: int) -> list[np.nda
     """
     if not len(ids):
         return [ids for _ in lengths]
-    doc = np.repeat(np.arange(len(lengths)), lengths)
     gram, have = ids, 1
     while have < size and len(gram) > 1:
         step = min(have, size - have, len(gram) - 1)
@@ -367,17 +368,19 @@ def _joined(docs: DataFrame, forest: Forest, id_col: str, text_col: str, heads:
 
     def verify(batches):
         for table in groups(batches, by):
-            texts, keep, seen = [], [], set()
-            for k, (h, text) in enumerate(zip(table["h"].to_pylist(), table["text"].to_pylist())):
-                words = words_of(text)
-                if h not in seen and digest(words) == h:
-                    seen.add(h)
-                    keep.append(k)
-                    texts.append(words)
+            keep, seen, column = [], set(), table["text"]
+
+            def texts(table=table, keep=keep, seen=seen, column=column):
+                for k, h in enumerate(table["h"].to_pylist()):
+                    if h not in seen and digest(words := words_of(column[k].as_py())) == h:
+                        seen.add(h)
+                        keep.append(k)
+                        yield words
+
+            ids, lengths, known = numbered(texts())
             table = table.drop_columns(["text"]).take(pa.array(keep, pa.int64()))
             if not keep:
                 continue
-            ids, lengths, known = numbered(texts)
             node, part, parts = (table[c][0].as_py() for c in ("node", "part", "parts"))
             if len(keep) > 1:
                 got = found(table, shingle_sets(ids, lengths, forest.shingle), table["part"].to_numpy())
