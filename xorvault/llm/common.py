@@ -40,6 +40,8 @@ def text_function(make: Callable[[], Callable[[list[str]], list[dict]]], ddl: st
         for batch in batches:
             made = [_structs(work, batch.slice(at, n), arrow) for at, n in spans([batch], len(batch), ROWS_PER_CALL)]
             yield pa.concat_arrays(made) if made else pa.array([], arrow)
+        if rest := getattr(work, "rest", None):
+            rest()
 
     return F.arrow_udf(run, kind)
 

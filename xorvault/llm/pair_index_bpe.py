@@ -14,6 +14,7 @@ import hashlib
 import heapq
 import json
 from functools import lru_cache
+from itertools import islice
 
 import numpy as np
 import regex
@@ -26,8 +27,9 @@ from .common import text_function
 PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 SELF_BYTES = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
 
-#: Distinct pre-tokens whose ids a Python worker remembers.
+#: Distinct pre-tokens whose ids a Python worker remembers in a task, and from one task to the next.
 REMEMBERED = 400_000
+KEPT = 100_000
 
 
 def default_vocabulary() -> str:
@@ -151,6 +153,11 @@ class PairIndexBpe:
         get = known.__getitem__
         return [b"".join(x.to_bytes(4, "little") if special else b"".join(map(get, x)) for special, x in row) for row in parts]
 
+    def rest(self) -> None:
+        """Between tasks, only the pre-tokens that were met first, which are mostly the frequent ones, stay remembered."""
+        if len(self.known) > KEPT:
+            self.known = dict(islice(self.known.items(), KEPT))
+
     def decode(self, ids: bytes) -> str:
         return b"".join(map(self.pieces.__getitem__, np.frombuffer(ids, "<u4").tolist())).decode("utf-8", "replace")
 
@@ -175,6 +182,7 @@ def bpe_column(path: str, keep_ids: bool = False):
                 out.append(row)
             return out
 
+        work.rest = bpe.rest
         return work
 
     return text_function(make, "n_tokens bigint, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * keep_ids)
