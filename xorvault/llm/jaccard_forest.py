@@ -259,9 +259,9 @@ def roots(links: np.ndarray) -> np.ndarray:
 
 def salted_join(many: DataFrame, few: DataFrame, key: str, by: Column, how: str = "inner") -> DataFrame:
     """many.join(few, key), where a key that has any share of `many` is dealt by a hash of `by`, and each row of `few`, one per
-    key, is sent to all parts."""
+    key, is sent to all parts. `few` grows with the data, so it is merged, never broadcast."""
     salt = many.withColumn("_salt", F.pmod(F.xxhash64(by), F.lit(SALTS)))
-    return salt.join(few.withColumn("_salt", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(SALTS - 1).cast("bigint")))), [key, "_salt"], how).drop("_salt")
+    return salt.join(few.withColumn("_salt", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(SALTS - 1).cast("bigint")))).hint("merge"), [key, "_salt"], how).drop("_salt")
 
 
 def components(edges: DataFrame, rounds: int = 40) -> DataFrame:
