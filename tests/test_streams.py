@@ -1,7 +1,9 @@
+import duckdb
 import pytest
 from pyspark.sql import functions as F
 
 from xorvault.streaming import uploads as U
+from xorvault.workloads import ORACLES, QUERIES
 
 
 @pytest.fixture
@@ -49,6 +51,23 @@ def test_state_per_content(spark, folder, tmp_path, sf_dir):
     assert {r.content_id: r.refs for r in last.collect()} == want and last.where("owners <> 1").count() == 0
 
 
+def test_owner_whatever_the_order_of_rows(spark, tmp_path):
+    """The least event id with a user owns a content, also where it comes in a later Arrow batch of its group, or there is none."""
+    rows = spark.range(12_000).select((12_000 - F.col("id")).alias("event_id"), F.expr("timestamp_ntz'2024-01-01 00:00:00'").alias("ts"), F.expr("CASE WHEN id % 4 = 3 THEN NULL ELSE 9007199254740993 + 12000 - id END").alias("user_id"), F.lit("view").alias("event_type"), F.lit(1.0).alias("value"), F.expr("CASE id % 4 WHEN 0 THEN '{\"k\": 7}' WHEN 1 THEN '{\"k\": 7}' WHEN 2 THEN '{}' ELSE '{\"k\": 8}' END").alias("props"))
+    rows.coalesce(1).write.parquet(f"{tmp_path}/sf/events.parquet")
+    batch = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    was = spark.conf.get(batch)
+    spark.conf.set(batch, 100)
+    try:
+        got = {r.content_id: (r.owner, r.refs) for r in QUERIES["stream_content_state"](spark, f"{tmp_path}/sf").collect()}
+    finally:
+        spark.conf.set(batch, was)
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/sf/events.parquet/*.parquet'")
+    assert got == {c: (o, n) for c, o, n in con.execute(ORACLES["stream_content_state"]).fetchall()}
+    assert got == {7: (9007199254740993 + 3, 6000), None: (9007199254740993 + 2, 3000), 8: (None, 3000)}
+
+
 def test_late_rows_are_dropped(spark, folder, tmp_path, sf_dir):
     late = spark.read.parquet(f"{sf_dir}/events.parquet").limit(5).withColumn("event_id", F.col("event_id") + 10_000_000)
     late.coalesce(1).write.mode("append").parquet(folder)

@@ -56,19 +56,22 @@ def _exists(spark: SparkSession, path: str) -> bool:
 
 
 class ContentState(StatefulProcessor):
-    """First owner, first time and reference count of each content."""
+    """First owner and reference count of each content; the owner is that of the least event id, in whatever order rows come."""
 
     def init(self, handle: StatefulProcessorHandle) -> None:
-        self.state = handle.getValueState("content", "owner long, refs long")
+        self.state = handle.getValueState("content", "first long, owner long, refs long")
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timer_values) -> Iterator[pd.DataFrame]:
-        held = self.state.get() if self.state.exists() else None
-        owner, refs = (held[0], held[1]) if held else (None, 0)
+        first, owner, refs = self.state.get() if self.state.exists() else (None, None, 0)
         for part in rows:
-            if owner is None and len(part):
-                owner = int(part.sort_values("event_id")["user_id"].iloc[0])
             refs += len(part)
-        self.state.update((owner, refs))
+            owned = part[part["owned"]]
+            if len(owned):
+                k = int(owned["event_id"].to_numpy().argmin())
+                at = int(owned["event_id"].iloc[k])
+                if first is None or at < first:
+                    first, owner = at, int(owned["user_id"].iloc[k])
+        self.state.update((first, owner, refs))
         yield pd.DataFrame({"content_id": [key[0]], "owner": [owner], "refs": [refs]})
 
     def close(self) -> None:
@@ -76,8 +79,10 @@ class ContentState(StatefulProcessor):
 
 
 def content_state(stream: DataFrame) -> DataFrame:
-    """(content_id, owner, refs) after each batch; needs the RocksDB state store provider."""
-    return stream.groupBy("content_id").transformWithStateInPandas(ContentState(), outputStructType="content_id bigint, owner bigint, refs bigint", outputMode="Update", timeMode="None")
+    """(content_id, owner, refs) after each batch; needs the RocksDB state store provider. Rows without a user or an id own nothing."""
+    whole = lambda c: F.coalesce(c, F.lit(0)).alias(c)  # noqa: E731 -- with nulls, pandas would hold ids as floats
+    owned = (F.col("event_id").isNotNull() & F.col("user_id").isNotNull()).alias("owned")
+    return stream.select("content_id", whole("event_id"), whole("user_id"), owned).groupBy("content_id").transformWithStateInPandas(ContentState(), outputStructType="content_id bigint, owner bigint, refs bigint", outputMode="Update", timeMode="None")
 
 
 def tumbling(df: DataFrame, width: str = "1 day", late: str = "1 day") -> DataFrame:

@@ -59,14 +59,15 @@ def stream_pool_probe(spark, sf_dir):
 
 @query("stream_content_state", f"SELECT {CONTENT} AS content_id, arg_min(user_id, event_id) AS owner, count(*) AS refs FROM events GROUP BY 1")
 def stream_content_state(spark, sf_dir):
-    """First owner and references of each content, in the stream's state."""
+    """First owner and references of each content, in the stream's state; of several batches' updates, the last (with most references)."""
     key, rocks = "spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
     was = spark.conf.get(key, None)
     spark.conf.set(key, rocks)
     try:
-        return _ran(U.content_state(_source(spark, sf_dir)), "update")
+        states = _ran(U.content_state(_source(spark, sf_dir)), "update")
     finally:
         spark.conf.set(key, was) if was else spark.conf.unset(key)
+    return states.groupBy("content_id").agg(F.max_by("owner", "refs").alias("owner"), F.max("refs").alias("refs"))
 
 
 @query("stream_first_seen_watermark", f"SELECT DISTINCT {CONTENT} AS content_id FROM events")
