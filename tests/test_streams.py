@@ -1,7 +1,10 @@
+import re
+
 import duckdb
 import pytest
 from pyspark.sql import functions as F
 
+from tests.oracle import differences
 from xorvault.streaming import uploads as U
 from xorvault.workloads import ORACLES, QUERIES
 
@@ -94,3 +97,18 @@ def test_joins(spark, folder, tmp_path, sf_dir):
     u, r = e.where("kind IN ('base', 'tuned')").alias("u"), e.where("kind = 'retrieval'").alias("r")
     want = u.join(r, F.expr("u.content_id = r.content_id AND r.ts >= u.ts AND r.ts <= u.ts + INTERVAL 6 HOURS")).count()
     assert met.count() == want
+
+
+def test_downloads_are_looked_up_by_time_too(spark, tmp_path):
+    """Rows on the edges of slots and intervals; the join's keys hold a slot beside the content."""
+    at = [-14_400, -3_600, -1, 0, 3_599, 3_600, 7_200, 10_800, 14_399, 14_400, 18_000, 18_001]
+    for k, kind in enumerate(("signup", "view")):
+        rows = spark.createDataFrame([(i + 100 * k, t, "{\"k\": %d}" % c) for c in (1, 2) for i, t in enumerate(at)], "event_id long, t long, props string")
+        rows.select("event_id", F.expr("CAST(timestamp_seconds(1704067200 + t) AS timestamp_ntz)").alias("ts"), F.lit(1).cast("long").alias("user_id"), F.lit(kind).alias("event_type"), F.lit(1.0).alias("value"), "props").coalesce(1).write.mode("append").parquet(f"{tmp_path}/sf/events.parquet")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/sf/events.parquet/*.parquet'")
+    assert differences(QUERIES["stream_first_downloads"](spark, f"{tmp_path}/sf"), con, ORACLES["stream_first_downloads"]) == ""
+    e = U.uploads(spark.read.parquet(f"{tmp_path}/sf/events.parquet"))
+    plan = U.first_downloads(e.where("kind = 'base'"), e.where("kind = 'retrieval'"), within="1 hour")._jdf.queryExecution().sparkPlan().toString()
+    keys = re.search(r"Join \[([^\]]*)\]", plan).group(1).split(",")
+    assert len(keys) == 2, keys

@@ -109,8 +109,16 @@ def with_base(stream: DataFrame, bases: DataFrame) -> DataFrame:
 
 
 def first_downloads(uploaded: DataFrame, retrieved: DataFrame, *, within: str = "1 day", late: str = "1 day") -> DataFrame:
-    """Stream-stream interval join: retrievals of a content within a time after its upload."""
+    """Stream-stream interval join: retrievals of a content within a time after its upload.
+
+    The join's state is looked up by equal keys only, so time is cut into slots of four such lengths: an upload stands in each
+    slot that its interval meets, a retrieval in its own. A pair meets once, and no row is held against a content's whole history.
+    """
+    width = f"greatest(4 * unix_micros(timestamp_seconds(0) + INTERVAL {within}), 1)"
+    slot = lambda t: f"CAST(floor(unix_micros({t}) / {width}) AS BIGINT)"
     u = uploaded.withWatermark("ts", late).select(F.col("content_id").alias("u_content"), F.col("ts").alias("u_ts"), F.col("event_id").alias("upload"))
+    u = u.select("*", F.explode(F.expr(f"sequence({slot('u_ts')}, {slot(f'u_ts + INTERVAL {within}')})")).alias("u_slot"))
     r = retrieved.withWatermark("ts", late).select(F.col("content_id").alias("r_content"), F.col("ts").alias("r_ts"), F.col("event_id").alias("retrieval"))
-    met = F.expr(f"u_content = r_content AND r_ts >= u_ts AND r_ts <= u_ts + INTERVAL {within}")
+    r = r.withColumn("r_slot", F.expr(slot("r_ts")))
+    met = F.expr(f"u_content = r_content AND u_slot = r_slot AND r_ts >= u_ts AND r_ts <= u_ts + INTERVAL {within}")
     return u.join(r, met).select(F.col("u_content").alias("content_id"), "upload", "retrieval", "u_ts", "r_ts")
