@@ -1,14 +1,16 @@
 """The pipeline, restoring, fallbacks, families and plans on the zoo."""
 
+import duckdb
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from tests.oracle import differences
 from xorvault import metrics
 from xorvault.operators import align, bitdist, dedup, family, graph
 from xorvault.plans import hub
 from xorvault.sources import archive, zoo
-from xorvault.workloads import QUERIES, storage
+from xorvault.workloads import ORACLES, QUERIES, storage
 
 
 def rows(df):
@@ -206,12 +208,26 @@ def test_sweeps_have_pairs_across_families(spark, sf_dir):
 
 
 def test_monte_carlo_draws(spark, sf_dir):
-    assert {r.n for r in QUERIES["mc_generators"](spark, sf_dir).collect()} == {100_000}
+    n = spark.read.parquet(f"{sf_dir}/embeddings.parquet").agg(F.sum(F.size("embedding"))).first()[0]  # every weight is drawn
+    made = {r.generator: r for r in QUERIES["mc_generators"](spark, sf_dir).collect()}
+    assert {r.n for r in made.values()} == {n} and max(r.expected for r in made.values()) - min(r.expected for r in made.values()) < 0.05
     grid = {(r.sigma_w, r.sigma_d): r for r in QUERIES["mc_expected_grid"](spark, sf_dir).collect()}
-    assert len(grid) == 42 and {r.n for r in grid.values()} == {100_000}
+    assert len(grid) == 42 and {r.n for r in grid.values()} == {n}
     assert grid[0.02, 0.002].expected == QUERIES["mc_point"](spark, sf_dir).first().expected
 
 
+@pytest.mark.parametrize("name", ["mc_expected_grid", "mc_point", "mc_generators"])
+def test_monte_carlo_reads_its_weights(spark, tmp_path, name):
+    """The draws follow the table, odd values left out, and agree with the SQL twin."""
+    odd = "array(CAST(0.5 AS FLOAT), CAST(-0.25 AS FLOAT), CAST('NaN' AS FLOAT), CAST('Infinity' AS FLOAT), CAST(NULL AS FLOAT), CAST(0 AS FLOAT))"
+    spark.range(40).selectExpr("id AS vec_id", f"CASE WHEN id < 30 THEN {odd} END AS embedding", "CAST(id % 3 AS INT) AS label").coalesce(1).write.parquet(f"{tmp_path}/embeddings.parquet")
+    assert {r.n for r in QUERIES[name](spark, str(tmp_path)).collect()} == {90}
+    if name in ORACLES:
+        con = duckdb.connect()
+        con.execute(f"CREATE VIEW embeddings AS SELECT * FROM '{tmp_path}/embeddings.parquet/*.parquet'")
+        assert differences(QUERIES[name](spark, str(tmp_path)), con, ORACLES[name]) == ""
+
+
 def test_items_in_parts(spark, sf_dir, monkeypatch):
     from xorvault.workloads import models
 
