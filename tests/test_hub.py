@@ -228,6 +228,18 @@ def test_monte_carlo_reads_its_weights(spark, tmp_path, name):
         assert differences(QUERIES[name](spark, str(tmp_path)), con, ORACLES[name]) == ""
 
 
+def test_index_of_the_table_that_is_there(spark, tmp_path):
+    """Two texts and three lines of 9 bytes; no row for a null."""
+    spark.createDataFrame([("a\nb",), ("a\nb",), ("b\nc",), (None,)], "text string").coalesce(1).write.parquet(f"{tmp_path}/documents.parquet")
+    df = QUERIES["metadata_published"](spark, str(tmp_path))
+    counts = {"file": 2, "line": 3}
+    assert {r.level: r.projected_gb for r in df.collect()} == {k: round(metrics.projected_gb(n, sample_tb=9e-12), 3) for k, n in counts.items()}
+    assert {r.level: r.metadata_mib for r in df.collect()} == {k: round(n * 64 / 2**20, 6) for k, n in counts.items()}
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents.parquet/*.parquet'")
+    assert differences(df, con, ORACLES["metadata_published"]) == ""
+
+
 def test_items_in_parts(spark, sf_dir, monkeypatch):
     from xorvault.workloads import models
 
