@@ -240,6 +240,14 @@ def test_index_of_the_table_that_is_there(spark, tmp_path):
     assert differences(df, con, ORACLES["metadata_published"]) == ""
 
 
+def test_capabilities_are_measured(spark, sf_dir, monkeypatch):
+    """A technique that stores its input as it is loses its flags."""
+    monkeypatch.setitem(storage.TECHNIQUES, "zstd", (None, storage._kept))
+    monkeypatch.setitem(storage.TECHNIQUES, "xor delta", (storage._whole, storage._kept))
+    got = {r.technique: (r.dedup, r.compression, r.cross_model, r.lossless) for r in QUERIES["capabilities"](spark, sf_dir).collect()}
+    assert got["zstd"] == (False, False, False, True) and got["xor delta"] == (True, False, False, True) and got["engine"] == (True,) * 4
+
+
 def test_items_in_parts(spark, sf_dir, monkeypatch):
     from xorvault.workloads import models
 
